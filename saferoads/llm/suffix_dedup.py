@@ -35,7 +35,7 @@ from saferoads.llm.blocks import mixed, powers_of
 from saferoads.plans.runtime import durable
 
 DEPTH, GRAM, STEP = 400, 128, 16
-SEGMENT = 2 << 20
+SEGMENT = 1 << 18
 BASE = 0x9E3779B97F4A7C15
 
 
