@@ -15,6 +15,8 @@ toxic ones (0 if there is none at all).
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -71,7 +73,7 @@ def spread(bounds: np.ndarray, chosen: np.ndarray) -> tuple[np.ndarray, np.ndarr
     return np.arange(len(which)) + (bounds[chosen] - np.concatenate([[0], np.cumsum(sizes)[:-1]]))[which], which
 
 
-def fit_table(texts: list[bytes], labels: np.ndarray, seed: int = 7, rounds: int = 6, batch: int = 768, rate: float = 0.05) -> np.ndarray:
+def fit_table(texts: list[bytes], labels: np.ndarray, seed: int = 7, rounds: int = 6, batch: int = 768, rate: float = 0.05, steps: int = 25) -> np.ndarray:
     """Margin of every row of the table (embedding times the difference of the classes' weights), last the bias."""
     rng = np.random.default_rng(seed)
     size = 2 << BITS
@@ -97,10 +99,10 @@ def fit_table(texts: list[bytes], labels: np.ndarray, seed: int = 7, rounds: int
             use = (truth == 0) | (margin >= best[doc_of])
         positive = np.flatnonzero(use & (truth == 1))
         negative = np.flatnonzero(use & (truth == 0))
-        for start in range(0, len(negative), batch * 7):
-            if start == 0:
-                rng.shuffle(negative)
-            chosen = np.concatenate([negative[start : start + batch * 7], rng.choice(positive, batch)])
+        rng.shuffle(negative)
+        for k in range(max(-(-len(negative) // (batch * 7)), steps)):
+            some = np.arange(k * batch * 7, min((k + 1) * batch * 7, k * batch * 7 + len(negative))) % len(negative)
+            chosen = np.concatenate([negative[some], rng.choice(positive, -(-len(some) // 7))])
             token, block = spread(bounds, chosen)
             flat, of_token = spread(of_word, word[token])
             r, b = rows[flat], block[of_token]
@@ -145,16 +147,17 @@ def margins(texts: list[bytes], model: np.ndarray) -> np.ndarray:
 def calibrate(margin: np.ndarray, labels: np.ndarray, share: float) -> tuple[float, float]:
     """Logistic fit (slope, offset); the classes weigh as in the whole of the labels."""
     x = np.maximum(margin, -30.0)
+    center, width = x.mean(), max(x.std(), 1e-6)
+    z = np.stack([(x - center) / width, np.ones(len(x))], 1)
     weight = np.where(labels == 1, share / max(labels.mean(), 1e-9), (1 - share) / max(1 - labels.mean(), 1e-9))
-    a, b = 1.0, 0.0
-    for _ in range(50):
-        p = 1 / (1 + np.exp(-np.clip(a * x + b, -30, 30)))
-        g = weight * (p - labels)
-        h = weight * np.maximum(p * (1 - p), 1e-6)
-        hess = np.array([[(h * x * x).sum() + 1e-3, (h * x).sum()], [(h * x).sum(), h.sum() + 1e-3]])
-        da, db = np.linalg.solve(hess, [(g * x).sum() + 1e-3 * (a - 1), g.sum()])
-        a, b = a - np.clip(da, -1, 1), b - np.clip(db, -3, 3)
-    return float(a), float(b)
+    w = np.array([1.0, math.log(max(share, 1e-6) / max(1 - share, 1e-6))])
+    for _ in range(30):
+        p = 1 / (1 + np.exp(-z @ w))
+        slope = z.T @ (weight * (p - labels)) + 0.1 * w * [1, 0]
+        bend = z.T @ (z * (weight * p * (1 - p))[:, None]) + np.diag([0.1, 1e-6])
+        move = np.linalg.solve(bend, slope)
+        w -= move / max(1.0, np.abs(move).max())
+    return float(w[0] / width), float(w[1] - w[0] * center / width)
 
 
 def passage(text: bytes, seed: int, most: int = 4096) -> bytes:
