@@ -73,7 +73,7 @@ def spread(bounds: np.ndarray, chosen: np.ndarray) -> tuple[np.ndarray, np.ndarr
     return np.arange(len(which)) + (bounds[chosen] - np.concatenate([[0], np.cumsum(sizes)[:-1]]))[which], which
 
 
-def fit_table(texts: list[bytes], labels: np.ndarray, seed: int = 7, rounds: int = 6, batch: int = 768, rate: float = 0.05, steps: int = 25) -> np.ndarray:
+def fit_table(texts: list[bytes], labels: np.ndarray, seed: int = 7, rounds: int = 6, batch: int = 768, rate: float = 0.05, steps: int = 25, drop: float = 0.5) -> np.ndarray:
     """Margin of every row of the table (embedding times the difference of the classes' weights), last the bias."""
     rng = np.random.default_rng(seed)
     size = 2 << BITS
@@ -107,6 +107,8 @@ def fit_table(texts: list[bytes], labels: np.ndarray, seed: int = 7, rounds: int
             flat, of_token = spread(of_word, word[token])
             r, b = rows[flat], block[of_token]
             w = (1 / (subs[word[token]] * words[chosen][block]))[of_token]
+            kept = rng.random(len(r)) >= drop  # no subword is relied on alone
+            r, b, w = r[kept], b[kept], w[kept] / (1 - drop)
             hidden = np.stack([np.bincount(b, table[r, d] * w, len(chosen)) for d in range(DIM)], 1).astype(np.float32)
             logits = hidden @ top + bias
             p = np.exp(logits - logits.max(1, keepdims=True))

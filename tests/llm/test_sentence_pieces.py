@@ -44,7 +44,8 @@ def test_equals_the_library(model):
             continue
         best = sp.nbest_encode(t, nbest_size=2)[0]  # the lattice's best path; encode() takes shortcuts
         if not any(sp.is_byte(x) for x in best):
-            assert sum(sp.get_score(x) for x in mine) == sum(sp.get_score(x) for x in best), t
+            mine_score, best_score = (sum(sp.get_score(x) for x in path) for path in (mine, best))
+            assert mine_score >= best_score and (mine_score == best_score or best_score < -1e8), t  # single floats lose digits there
         assert sp.decode(mine) == t.replace("▁", " ")
 
 
