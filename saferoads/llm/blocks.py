@@ -6,6 +6,7 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 
 #: Bytes of text handled at once; a longer document makes a block of its own.
 BLOCK_BYTES = 1 << 20
@@ -28,6 +29,20 @@ def cut_blocks(texts: list[bytes], most: int = BLOCK_BYTES):
         yield first, len(texts)
 
 
+def text_blocks(column, most: int = BLOCK_BYTES):
+    """Yields (first, last, texts) of runs of rows of a string column, so that few texts are held as objects at once."""
+    raw = column.cast(pa.large_binary())
+    sizes = pc.fill_null(pc.binary_length(raw), 0).to_numpy(zero_copy_only=False)
+    first = size = 0
+    for i, n in enumerate(sizes.tolist()):
+        if i > first and size + n > most:
+            yield first, i, byte_texts(raw.slice(first, i - first))
+            first, size = i, 0
+        size += n + 1
+    if first < len(sizes):
+        yield first, len(sizes), byte_texts(raw.slice(first))
+
+
 def joined(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """One byte array with a newline before, between and after the texts; starts and ends of each text."""
     sizes = np.fromiter(map(len, texts), np.int64, len(texts))

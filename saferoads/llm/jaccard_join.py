@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from saferoads.llm.bitmap import bitmap_of, keep_marked
-from saferoads.llm.blocks import byte_texts, cut_blocks, joined, mixed, space_table, word_bounds, word_hashes
+from saferoads.llm.blocks import joined, mixed, space_table, text_blocks, word_bounds, word_hashes
 from saferoads.plans.components import connected_components
 from saferoads.plans.runtime import durable
 
@@ -150,9 +150,9 @@ def sketches(docs: DataFrame, words: int, percent: int) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            ids, texts = batch.column("doc_id").cast(pa.int64()), byte_texts(batch.column("text"))
-            for a, b in cut_blocks(texts):
-                grams, bounds = ngram_sets(texts[a:b], words)
+            ids = batch.column("doc_id").cast(pa.int64())
+            for a, b, texts in text_blocks(batch.column("text")):
+                grams, bounds = ngram_sets(texts, words)
                 n, size = b - a, np.diff(bounds)
                 sums = [np.concatenate([[U(0)], np.cumsum(mixed(grams + U(s)), dtype=U)]) for s in (11, 12)]
                 f1, f2 = ((s[bounds[1:]] - s[bounds[:-1]]).view(np.int64) for s in sums)
@@ -196,10 +196,12 @@ def verified(pairs_with_texts: DataFrame, words: int, percent: int) -> DataFrame
 
         for batch in batches:
             keep = []
-            for a, b, ta, tb in zip(*(batch.column(c).to_pylist() for c in ("a", "b", "ta", "tb")), strict=True):
-                x, y = set_of((a, hash(ta)), ta), ngram_sets([tb.encode()], words)[0]
-                common = len(np.intersect1d(x, y, assume_unique=True))
-                keep.append(100 * common >= percent * (len(x) + len(y) - common))
+            for at in range(0, batch.num_rows, 200):
+                part = batch.slice(at, 200)
+                for a, b, ta, tb in zip(*(part.column(c).to_pylist() for c in ("a", "b", "ta", "tb")), strict=True):
+                    x, y = set_of((a, hash(ta)), ta), ngram_sets([tb.encode()], words)[0]
+                    common = len(np.intersect1d(x, y, assume_unique=True))
+                    keep.append(100 * common >= percent * (len(x) + len(y) - common))
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
     return pairs_with_texts.mapInArrow(run, "a bigint, b bigint")
@@ -265,7 +267,7 @@ def components(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> D
     bitmap = bitmap_of(copies.select(mark), "mark")
     marked = whole.withColumn("mark", F.xxhash64("doc", "n", "f1", "f2"))
     maybe = keep_marked(marked, "mark", bitmap).join(copies, ["doc", "n", "f1", "f2"], "left_anti")
-    singles = keep_marked(marked, "mark", bitmap, wanted=False).unionByName(maybe.select(marked.columns))
+    singles = durable(keep_marked(marked, "mark", bitmap, wanted=False).unionByName(maybe.select(marked.columns)))
     buckets = durable(candidates(singles))
 
     ids = buckets.select("doc").distinct()

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from saferoads.llm.blocks import byte_texts, cut_blocks, gram_buckets, joined, letter_table, lowered_latin, split_of, word_bounds, word_hashes
+from saferoads.llm.blocks import gram_buckets, joined, letter_table, lowered_latin, split_of, text_blocks, word_bounds, word_hashes
 
 BITS, GRAMS, CHAIN = 16, (2, 3, 4), 64
 LETTER = re.compile(r"[^\W\d_]")
@@ -67,8 +67,8 @@ def chains(doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.where(there, cell, 0), there
 
 
-def forward_backward(score: np.ndarray, there: np.ndarray, moves: np.ndarray):
-    """score: chains x positions x labels. Posteriors of labels, and summed posteriors of moves."""
+def forward_backward(score: np.ndarray, there: np.ndarray, moves: np.ndarray, with_moves: bool = True):
+    """score: chains x positions x labels. Posteriors of labels, and summed posteriors of moves if wanted."""
     likely = np.exp(score - score.max(2, keepdims=True))
     likely[~there] = 1.0
     step = np.exp(moves - moves.max())
@@ -84,6 +84,8 @@ def forward_backward(score: np.ndarray, there: np.ndarray, moves: np.ndarray):
         next_ = likely[:, t + 1] * behind[t + 1]
         b = next_ @ step.T
         behind[t] = np.where(there[:, t + 1, None], b / b.sum(1, keepdims=True), 1.0)
+        if not with_moves:
+            continue
         joint = ahead[t][:, :, None] * step[None] * next_[:, None, :]
         joint /= joint.sum((1, 2), keepdims=True)
         pairs += joint[there[:, t + 1]].sum(0)
@@ -165,7 +167,7 @@ def label_words(texts: list[bytes], model: dict) -> tuple[np.ndarray, np.ndarray
         return np.zeros((0, len(model["names"]))), doc
     cell, there = chains(doc)
     out = np.empty((len(doc), len(model["names"])))
-    post, _ = forward_backward(score[cell], there, model["moves"])
+    post, _ = forward_backward(score[cell], there, model["moves"], with_moves=False)
     out[cell[there]] = post[there]
     return out, doc
 
@@ -178,16 +180,13 @@ def predict(docs: DataFrame, model: dict, fold: tuple[int, int] = (4, 2)) -> Dat
         names = np.array([*sent.value["names"], "und"], object)
         k = len(names) - 1
         for batch in batches:
-            texts = byte_texts(batch.column("text"))
-            pick, score = np.full(len(texts), k), np.zeros(len(texts))
-            if k:
+            pick, score = np.full(batch.num_rows, k), np.zeros(batch.num_rows)
+            for a, b, texts in text_blocks(batch.column("text")) if k else ():
                 lettered = np.array([LETTER.search(t.decode("utf-8", "replace")) is not None for t in texts], bool)
-                for a, b in cut_blocks(texts):
-                    post, doc = label_words(texts[a:b], sent.value)
-                    sums = np.stack([np.bincount(doc, post[:, j], b - a) for j in range(k)], 1) if len(doc) else np.zeros((b - a, k))
-                    pick[a:b] = sums.argmax(1)
-                    score[a:b] = sums.max(1) / np.maximum(sums.sum(1), 1e-9)
-                pick[~lettered], score[~lettered] = k, 0.0
+                post, doc = label_words(texts, sent.value)
+                sums = np.stack([np.bincount(doc, post[:, j], b - a) for j in range(k)], 1) if len(doc) else np.zeros((b - a, k))
+                pick[a:b] = np.where(lettered, sums.argmax(1), k)
+                score[a:b] = np.where(lettered, sums.max(1) / np.maximum(sums.sum(1), 1e-9), 0.0)
             ids = batch.column("doc_id")
             held = split_of(ids.to_pylist(), fold[0]) == fold[1]
             yield pa.RecordBatch.from_arrays([ids.cast(pa.int64()), pa.array(held), pa.array(names[pick].tolist(), pa.string()), pa.array(np.clip(score, 0, 1))], ["doc_id", "held_out", "lang_pred", "score"])
@@ -202,9 +201,9 @@ def word_labels(docs: DataFrame, model: dict) -> DataFrame:
     def run(batches):
         names = np.array(sent.value["names"], object)
         for batch in batches:
-            texts, ids = byte_texts(batch.column("text")), batch.column("doc_id").to_numpy(zero_copy_only=False)
-            for a, b in cut_blocks(texts) if len(names) else ():
-                post, doc = label_words(texts[a:b], sent.value)
+            ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
+            for a, b, texts in text_blocks(batch.column("text")) if len(names) else ():
+                post, doc = label_words(texts, sent.value)
                 if len(doc):
                     index = np.arange(len(doc)) - np.searchsorted(doc, doc)
                     yield pa.RecordBatch.from_arrays([pa.array(ids[a:b][doc], pa.int64()), pa.array(index), pa.array(names[post.argmax(1)].tolist(), pa.string()), pa.array(post.max(1))], ["doc_id", "word_index", "lang_pred", "score"])

@@ -17,7 +17,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from saferoads.llm.blocks import byte_texts, cut_blocks, powers_of, word_hashes
+from saferoads.llm.blocks import text_blocks, word_hashes
 
 SPACE = "▁".encode()
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
@@ -267,10 +267,10 @@ def encode_documents(docs: DataFrame, model: bytes) -> DataFrame:
     def run(batches):
         encoder = Encoder(Pieces(model))
         for batch in batches:
-            keys, texts = batch.column("doc_id").cast(pa.int64()), byte_texts(batch.column("text"))
-            for a, b in cut_blocks(texts):
-                ids, bounds = encoder.encode(texts[a:b])
-                back = [x == t.replace(SPACE, b" ") for x, t in zip(decode(ids, bounds, encoder.pieces), texts[a:b], strict=True)]
+            keys = batch.column("doc_id").cast(pa.int64())
+            for a, b, texts in text_blocks(batch.column("text")):
+                ids, bounds = encoder.encode(texts)
+                back = [x == t.replace(SPACE, b" ") for x, t in zip(decode(ids, bounds, encoder.pieces), texts, strict=True)]
                 lists = pa.ListArray.from_arrays(pa.array(bounds.astype(np.int32)), pa.array(ids.astype(np.int32)))
                 yield pa.RecordBatch.from_arrays([keys.slice(a, b - a), pa.array(np.diff(bounds)), lists, pa.array(back)], ["doc_id", "n_tokens", "ids", "round_trip"])
 

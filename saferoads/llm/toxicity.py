@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from saferoads.llm.blocks import byte_texts, cut_blocks, gram_buckets, joined, letter_table, lowered_latin, split_of, word_bounds, word_hashes
+from saferoads.llm.blocks import gram_buckets, joined, letter_table, lowered_latin, split_of, text_blocks, word_bounds, word_hashes
 
 BITS, GRAMS, WORDS, DIM = 16, (3, 4, 5), 4, 8
 THRESHOLD = 0.3
@@ -195,12 +195,12 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = 900, longest: int
     return {"model": model, "share": share, "slope": slope, "offset": offset}
 
 
-def scores(texts: list[bytes], trained: dict) -> np.ndarray:
+def scores(column, trained: dict) -> np.ndarray:
     if trained["model"] is None:
-        return np.full(len(texts), float(trained["share"]))
-    out = np.empty(len(texts))
-    for a, b in cut_blocks(texts):
-        m = np.maximum(margins(texts[a:b], trained["model"]), -30.0)
+        return np.full(len(column), float(trained["share"]))
+    out = np.empty(len(column))
+    for a, b, texts in text_blocks(column):
+        m = np.maximum(margins(texts, trained["model"]), -30.0)
         out[a:b] = 1 / (1 + np.exp(-np.clip(trained["slope"] * m + trained["offset"], -60, 60)))
     return out
 
@@ -212,7 +212,7 @@ def score(docs: DataFrame, trained: dict, fold: tuple[int, int] = (4, 2)) -> Dat
     def run(batches):
         for batch in batches:
             ids = batch.column("doc_id")
-            s = scores(byte_texts(batch.column("text")), sent.value)
+            s = scores(batch.column("text"), sent.value)
             held = split_of(ids.to_pylist(), fold[0]) == fold[1]
             yield pa.RecordBatch.from_arrays([ids.cast(pa.int64()), pa.array(held), pa.array(s), pa.array((s >= THRESHOLD).astype(np.int32))], ["doc_id", "held_out", "score", "predicted"])
 
@@ -225,7 +225,7 @@ def drop_toxic(docs: DataFrame, trained: dict) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            keep = scores(byte_texts(batch.column("text")), sent.value) < THRESHOLD
+            keep = scores(batch.column("text"), sent.value) < THRESHOLD
             yield batch.filter(pa.array(keep))
 
     return docs.mapInArrow(run, docs.schema)
