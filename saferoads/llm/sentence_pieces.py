@@ -17,7 +17,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from saferoads.llm.blocks import text_blocks, word_hashes
+from saferoads.llm.blocks import mixed, powers_of, text_blocks, word_hashes
 
 SPACE = "▁".encode()
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
@@ -84,6 +84,13 @@ class Pieces:
         h = word_hashes(np.frombuffer(b"".join(self.text[i] for i in used), np.uint8), ends - sizes, ends)
         order = np.argsort(h)
         self.keys, self.ids, self.longest = h[order], used[order], int(sizes.max())
+        # Every beginning of a piece, with the piece's id where it is one: a substring that is none ends a probe.
+        first = np.repeat(ends - sizes, sizes)
+        stop = np.arange(len(first)) + 1
+        h = word_hashes(np.frombuffer(b"".join(self.text[i] for i in used), np.uint8), first, stop)
+        self.begin = np.unique(h)
+        self.begin_id = np.full(len(self.begin), -1)
+        self.begin_id[np.searchsorted(self.begin, self.keys)] = self.ids
         # What decoding writes for each id.
         written = [bytes([int(t[3:5], 16)]) if k == BYTE else b"" if k == CONTROL else " ⁇ ".encode() if k == UNKNOWN else t for t, k in zip(self.text, self.kind, strict=True)]
         sizes = np.array([len(w) for w in written])
@@ -100,50 +107,48 @@ CHAR_SIZE = np.ones(256, np.int64)
 CHAR_SIZE[0xC0:0xE0], CHAR_SIZE[0xE0:0xF0], CHAR_SIZE[0xF0:] = 2, 3, 4
 
 
-def solve_equal(rows: np.ndarray, pieces: Pieces) -> list[np.ndarray]:
-    """Piece ids of words of one length; rows: words x bytes."""
+def solve_equal(rows: np.ndarray, pieces: Pieces) -> tuple[np.ndarray, np.ndarray]:
+    """Piece ids of words of one length, one word after the other, and their numbers; rows: words x bytes."""
     count, n = rows.shape
-    best = np.full((count, n + 1), -np.inf, np.float32)
-    best[:, 0] = 0
-    came, used = np.zeros((count, n + 1), np.int32), np.full((count, n + 1), -1, np.int32)
-    flat = np.ascontiguousarray(rows).ravel()
-    first = np.arange(count) * n
+    best = np.full((n + 1, count), -np.inf, np.float32)
+    best[0] = 0
+    came, used = np.zeros((n + 1, count), np.int32), np.full((n + 1, count), -1, np.int32)
+    terms = np.ascontiguousarray(rows.T).astype(np.uint64) + np.uint64(1)
+    weights = powers_of(pow(BASE, -1, 1 << 64), n)
     for s in range(n):
-        live = np.flatnonzero(np.isfinite(best[:, s]))
+        live = np.flatnonzero(best[s] > -np.inf)
         if not len(live):
             continue
         size = np.minimum(CHAR_SIZE[rows[live, s]], n - s)
-        covered = np.zeros(len(live), bool)
-        here = best[live, s]
+        bare, here = np.ones(count, bool), best[s]
+        at, h = live, np.zeros(len(live), np.uint64)
         for m in range(1, min(pieces.longest, n - s) + 1):
-            found = pieces.match(word_hashes_at(flat, first[live] + s, m))
-            hit = np.flatnonzero(found >= 0)
-            covered[hit] |= size[hit] == m
-            sums = here[hit] + pieces.score[found[hit]]
-            better = sums > best[live[hit], s + m]
-            to = live[hit[better]]
-            best[to, s + m], came[to, s + m], used[to, s + m] = sums[better], s, found[hit[better]]
-        bare = np.flatnonzero(~covered)
-        sums, end = here[bare] + pieces.unknown_score, s + size[bare]
-        better = sums > best[live[bare], end]
-        to, end = live[bare[better]], end[better]
-        best[to, end], came[to, end], used[to, end] = sums[better], s, pieces.unknown
+            h = h + terms[s + m - 1, at] * weights[m - 1]
+            full = mixed(h + np.uint64(m))
+            place = np.minimum(np.searchsorted(pieces.begin, full), len(pieces.begin) - 1)
+            on = pieces.begin[place] == full
+            if not on.all():
+                at, h, place = at[on], h[on], place[on]
+            if not len(at):
+                break
+            piece = pieces.begin_id[place]
+            hit = piece >= 0
+            to, found = at[hit], piece[hit]
+            bare[to[CHAR_SIZE[rows[to, s]] == m]] = False
+            sums = here[to] + pieces.score[found]
+            better = sums > best[s + m, to]
+            to, found = to[better], found[better]
+            best[s + m, to], came[s + m, to], used[s + m, to] = sums[better], s, found
+        open_ = bare[live]
+        to, end = live[open_], s + size[open_]
+        sums = here[to] + pieces.unknown_score
+        better = sums > best[end, to]
+        to, end = to[better], end[better]
+        best[end, to], came[end, to], used[end, to] = sums[better], s, pieces.unknown
     return backtrace(rows, came, used, pieces)
 
 
-def word_hashes_at(flat: np.ndarray, at: np.ndarray, size: int) -> np.ndarray:
-    """word_hashes of the substrings of one size, without prefix sums over everything."""
-    from saferoads.llm.blocks import mixed
-
-    inverse = pow(BASE, -1, 1 << 64)
-    power, h = 1, np.zeros(len(at), np.uint64)
-    for k in range(size):
-        h += (flat[at + k].astype(np.uint64) + np.uint64(1)) * np.uint64(power)
-        power = power * inverse & (1 << 64) - 1
-    return mixed(h + np.uint64(size))
-
-
-def solve_long(word: np.ndarray, pieces: Pieces) -> np.ndarray:
+def solve_long(word: np.ndarray, pieces: Pieces) -> tuple[np.ndarray, np.ndarray]:
     """One long word: all substrings are probed for each size at once, then sums run along the word."""
     n = len(word)
     starts: list[list[tuple[int, int]]] = [[] for _ in range(n)]
@@ -152,7 +157,7 @@ def solve_long(word: np.ndarray, pieces: Pieces) -> np.ndarray:
         found = pieces.match(word_hashes(word, at, at + m))
         for s in np.flatnonzero(found >= 0).tolist():
             starts[s].append((m, int(found[s])))
-    best, came, used = np.full(n + 1, -np.inf, np.float32), np.zeros((1, n + 1), np.int32), np.full((1, n + 1), -1, np.int32)
+    best, came, used = np.full(n + 1, -np.inf, np.float32), np.zeros((n + 1, 1), np.int32), np.full((n + 1, 1), -1, np.int32)
     best[0] = 0
     size = CHAR_SIZE[word].tolist()
     for s in range(n):
@@ -163,35 +168,40 @@ def solve_long(word: np.ndarray, pieces: Pieces) -> np.ndarray:
             edges.append((min(size[s], n - s), pieces.unknown, pieces.unknown_score))
         for m, i, score in edges:
             if best[s] + score > best[s + m]:
-                best[s + m], came[0, s + m], used[0, s + m] = best[s] + score, s, i
-    return backtrace(word[None, :], came, used, pieces)[0]
+                best[s + m], came[s + m, 0], used[s + m, 0] = best[s] + score, s, i
+    return backtrace(word[None, :], came, used, pieces)
 
 
-def backtrace(rows: np.ndarray, came: np.ndarray, used: np.ndarray, pieces: Pieces) -> list[np.ndarray]:
+def backtrace(rows: np.ndarray, came: np.ndarray, used: np.ndarray, pieces: Pieces) -> tuple[np.ndarray, np.ndarray]:
     """Follows the backpointers of all rows together; unknown pieces become bytes where the model has them."""
     count, n = rows.shape
-    at, steps = np.full(count, n), []
-    everyone = np.arange(count)
-    while (at > 0).any():
-        live = at > 0
-        piece = np.where(live, used[everyone, at], -1)
-        before = np.where(live, came[everyone, at], 0)
-        steps.append((piece, before, at))
-        at = before
-    out: list[list[int]] = [[] for _ in range(count)]
-    for piece, before, end in reversed(steps):
-        for i in np.flatnonzero(piece >= 0).tolist():
-            if piece[i] == pieces.unknown and (pieces.byte_ids >= 0).all():
-                out[i] += pieces.byte_ids[rows[i, before[i] : end[i]]].tolist()
-            else:
-                out[i].append(int(piece[i]))
-    return [np.array(x, np.int32) for x in out]
+    at, live = np.full(count, n), np.arange(count)
+    who, what, where, stop = [], [], [], []
+    while len(live):
+        end = at[live]
+        before = came[end, live]
+        who.append(live)
+        what.append(used[end, live])
+        where.append(before)
+        stop.append(end)
+        at[live] = before
+        live = live[before > 0]
+    who, what, where, stop = (np.concatenate(x) for x in (who, what, where, stop))
+    order = np.lexsort((where, who))
+    who, what, where, stop = who[order], what[order], where[order], stop[order]
+    if (pieces.byte_ids >= 0).all() and (what == pieces.unknown).any():
+        repeat = np.where(what == pieces.unknown, stop - where, 1)
+        first = np.repeat(np.cumsum(repeat) - repeat, repeat)
+        byte = rows[np.repeat(who, repeat), np.minimum(np.repeat(where, repeat) + np.arange(len(first)) - first, n - 1)]
+        what = np.where(np.repeat(what, repeat) == pieces.unknown, pieces.byte_ids[byte], np.repeat(what, repeat))
+        who = np.repeat(who, repeat)
+    return what.astype(np.int32), np.bincount(who, minlength=count)
 
 
 class Encoder:
     """Encodes blocks of texts; solved words are kept, at most `keep` of them."""
 
-    def __init__(self, pieces: Pieces, keep: int = 400_000):
+    def __init__(self, pieces: Pieces, keep: int = 1_000_000):
         self.pieces, self.keep = pieces, keep
         self._reset()
 
@@ -233,19 +243,15 @@ class Encoder:
 
     def _learn(self, data, hashes, ws, we):
         size = we - ws
-        solved: list = [None] * len(hashes)
+        flat, start, count, at = [self.flat], np.zeros(len(hashes), np.int64), np.zeros(len(hashes), np.int64), len(self.flat)
         for n in np.unique(size):
             group = np.flatnonzero(size == n)
-            if n > LONG_WORD:
-                for g in group:
-                    solved[g] = solve_long(data[ws[g] : we[g]], self.pieces)
-                continue
-            for part in np.array_split(group, -(-len(group) // 20_000)):
-                for g, ids in zip(part, solve_equal(data[ws[part][:, None] + np.arange(n)], self.pieces), strict=True):
-                    solved[g] = ids
-        count = np.array([len(s) for s in solved])
-        start = len(self.flat) + np.cumsum(count) - count
-        self.flat = np.concatenate([self.flat, *solved])
+            for part in np.array_split(group, -(-len(group) // 20_000)) if n <= LONG_WORD else group[:, None]:
+                ids, counts = solve_equal(data[ws[part][:, None] + np.arange(n)], self.pieces) if n <= LONG_WORD else solve_long(data[ws[part[0]] : we[part[0]]], self.pieces)
+                flat.append(ids)
+                count[part], start[part] = counts, at + np.cumsum(counts) - counts
+                at += len(ids)
+        self.flat = np.concatenate(flat)
         known = np.concatenate([self.known, hashes])
         order = np.argsort(known)
         self.known, self.start, self.size = known[order], np.concatenate([self.start, start])[order], np.concatenate([self.size, count])[order]
@@ -268,7 +274,7 @@ def encode_documents(docs: DataFrame, model: bytes) -> DataFrame:
         encoder = Encoder(Pieces(model))
         for batch in batches:
             keys = batch.column("doc_id").cast(pa.int64())
-            for a, b, texts in text_blocks(batch.column("text")):
+            for a, b, texts in text_blocks(batch.column("text"), 2 << 20):
                 ids, bounds = encoder.encode(texts)
                 back = [x == t.replace(SPACE, b" ") for x, t in zip(decode(ids, bounds, encoder.pieces), texts, strict=True)]
                 lists = pa.ListArray.from_arrays(pa.array(bounds.astype(np.int32)), pa.array(ids.astype(np.int32)))
