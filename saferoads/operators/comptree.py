@@ -6,16 +6,19 @@ run of the component search, over vertices coded as vid * LEVELS + level.
 
 from __future__ import annotations
 
+import heapq
 from collections.abc import Iterable
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from saferoads.functions.safety import LexSafety, Measure
 from saferoads.operators.expand import LABEL, answers, fixpoint, nearest_lists, seed_labels
 from saferoads.plans.components import connected_components
-from saferoads.plans.runtime import durable
+from saferoads.plans.runtime import durable, small_enough
 from saferoads.sources.networks import Network
 
 LEVELS = 64
@@ -94,6 +97,73 @@ def build_comptree(net: Network, height: int | None = None, reach: float | None
     return CompTree(chain, durable(node_stats(net, chain, cuts)), durable(border_distances(net, chain, cuts, reach)), net.smax, reach, cuts)
 
 
+def build_comptree_local(net: Network, height: int | None = None, reach: float | None = None) -> CompTree:
+    """The same index for a network of a checked size: every level is a task that holds the arcs."""
+    from saferoads.operators.kernel import MOST_ARCS
+
+    if not small_enough(net.edges, MOST_ARCS // 2):
+        raise ValueError("the network is too large for this build")
+    cuts = cuts_of(net.smax, height)
+    arcs = net.arcs.select("src", "dst", "len", "ess").toArrow()
+    vids = np.sort(net.vertices.select("vid").toArrow().column("vid").to_numpy())
+    pois = net.pois.toArrow().column("poi").to_numpy()
+    spark = net.vertices.sparkSession
+    sent = spark.sparkContext.broadcast((vids, [arcs.column(c).to_numpy() for c in ("src", "dst", "len", "ess")], pois))  # at most MOST_ARCS arcs
+
+    def run(batches):
+        for batch in batches:
+            for level in batch.column("lvl").to_pylist():
+                rows = level_rows(level, *sent.value, reach)
+                kinds = (pa.int32(), pa.int64(), pa.int64(), pa.bool_(), pa.int64(), pa.int64())
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(rows, kinds, strict=True)], ["lvl", "vid", "comp", "border", "d_border", "d_poi"])
+
+    levels = spark.createDataFrame([(c,) for c in cuts], "lvl int").repartition(len(cuts), "lvl")
+    found = durable(levels.mapInArrow(run, "lvl int, vid bigint, comp bigint, border boolean, d_border bigint, d_poi bigint"))
+    chain = found.select("vid", "lvl", "comp")
+    return CompTree(chain, durable(node_stats(net, chain, cuts)), found.where("border").select("lvl", "comp", "vid", "d_border", "d_poi"), net.smax, reach, cuts)
+
+
+def level_rows(level: int, vids: np.ndarray, arcs: list, pois: np.ndarray, reach: float | None) -> tuple:
+    """Components of one level, its borders, and their distances by one search for two sources and one for one."""
+    src, dst, length, ess = arcs
+    s, d = np.searchsorted(vids, src), np.searchsorted(vids, dst)
+    least = np.full(len(vids), 1 << 30)
+    np.minimum.at(least, s, ess)
+    keep = ess > level
+    order = np.argsort(s[keep], kind="stable")
+    s, d, n = s[keep][order], d[keep][order].tolist(), length[keep][order].tolist()
+    first = np.searchsorted(s, np.arange(len(vids) + 1)).tolist()
+    comp = [-1] * len(vids)
+    for v in range(len(vids)):  # in order of ids, so a component is named by its least
+        if comp[v] < 0:
+            comp[v], todo = v, [v]
+            while todo:
+                x = todo.pop()
+                for y in d[first[x] : first[x + 1]]:
+                    if comp[y] < 0:
+                        comp[y] = v
+                        todo.append(y)
+    border = least <= level
+
+    def spread(sources, k):
+        heap, seen = [(0, v, v) for v in sources], [[] for _ in vids]
+        heapq.heapify(heap)
+        while heap:
+            dist, source, v = heapq.heappop(heap)
+            if len(seen[v]) >= k or any(x == source for x, _ in seen[v]):
+                continue
+            seen[v].append((source, dist))
+            for i in range(first[v], first[v + 1]):
+                if (reach is None or dist + n[i] < reach) and len(seen[d[i]]) < k:
+                    heapq.heappush(heap, (dist + n[i], source, d[i]))
+        return seen
+
+    two = spread(np.flatnonzero(border).tolist(), 2)
+    home = spread(np.searchsorted(vids, pois).tolist(), 1)
+    other = [next((x for source, x in two[v] if source != v), None) for v in range(len(vids))]
+    return [level] * len(vids), vids.tolist(), vids[comp].tolist(), border.tolist(), other, [h[0][1] if h else None for h in home]
+
+
 def start_levels(tree: CompTree, queries: DataFrame) -> DataFrame:
     """qid, start: the deepest level whose component around the query holds k POIs (the lowest one if none does)."""
     at = queries.join(tree.pointers, queries.src == tree.pointers.vid).join(tree.nodes.select("lvl", "comp", "n_pois"), ["lvl", "comp"])

@@ -247,6 +247,27 @@ def euclid_query(g: Graph, start, k, dc, rules):
     return {v: found[v] for _, v in best}, paths, counts
 
 
+def knn_query(g: Graph, start, k):
+    """The k nearest POIs by network distance, ties to the lesser POI."""
+    heap, before, done, found, labels = [(0, start, -1)], {}, set(), {}, []
+    while heap:
+        dist, v, come = heapq.heappop(heap)
+        if len(found) >= k and dist > max(x[1] for x in found.values()):
+            break
+        if v in done:
+            continue
+        done.add(v)
+        me = len(labels)
+        labels.append((v, come))
+        if v in g.pois:
+            found[v] = (dist, dist, me)
+        for w, length, *_ in g.out[v]:
+            if w not in done:
+                heapq.heappush(heap, (dist + length, w, me))
+    best = sorted((x[1], p) for p, x in found.items())[:k]
+    return {p: found[p] for _, p in best}, labels, {"va": len(done), "popped": len(labels), "pushed": len(labels)}
+
+
 def trace(labels, me):
     out = []
     while me is not None and me >= 0:
@@ -341,7 +362,7 @@ def attach_cells(g: Graph):
     g.cells = (cell, local, overlay, d_border, d_poi)
 
 
-DEFAULT_RULES = {"expand": (1, 2), "comptree": (1, 2, 3, 4), "safevor": (1, 2, 5, 6, 7), "euclid": (1, 2)}
+DEFAULT_RULES = {"knn": (), "expand": (1, 2), "comptree": (1, 2, 3, 4), "safevor": (1, 2, 5, 6, 7), "euclid": (1, 2)}
 
 
 def grouped_search(net: Network, queries: DataFrame, method: str, rules: Iterable[int] | None = None, tree: CompTree | None = None, literal: bool = False) -> DataFrame:
@@ -383,6 +404,8 @@ def grouped_search(net: Network, queries: DataFrame, method: str, rules: Iterabl
                         found, labels, c = expand_query(g, start, k, dc, rules)
                     elif method == "comptree":
                         found, labels, c = comptree_query(g, start, k, dc, rules, literal)
+                    elif method == "knn":
+                        found, labels, c = knn_query(g, start, k)
                     elif method == "safevor":
                         found, labels, c = safevor_query(g, start, k, dc, rules)
                     else:
@@ -392,7 +415,7 @@ def grouped_search(net: Network, queries: DataFrame, method: str, rules: Iterabl
                     out.append((qid, 0, None, None, None, None, *counts))
                 for r, (key, p) in enumerate(sorted((x[0], p) for p, x in found.items())):
                     path = labels[p] if method == "euclid" else trace(labels, found[p][2]) if found[p][2] is not None else None
-                    out.append((qid, r + 1, int(g.vids[p]), found[p][1], g.vector(key), None if path is None else [int(g.vids[x]) for x in path], *counts))
+                    out.append((qid, r + 1, int(g.vids[p]), found[p][1], None if method == "knn" else g.vector(key), None if path is None else [int(g.vids[x]) for x in path], *counts))
             if out:
                 yield pa.RecordBatch.from_pylist([dict(zip(NAMES, row, strict=True)) for row in out], schema=ARROW)
 

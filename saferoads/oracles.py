@@ -200,3 +200,4 @@ SQL: dict[str, str] = {
     "incident_cube": "SELECT event_type, part, count(*) AS n, CAST(grouping_id(event_type, part) AS INTEGER) AS grp FROM (SELECT event_type, CASE WHEN hour(ts) BETWEEN 6 AND 17 THEN 'day' ELSE 'night' END AS part FROM events) GROUP BY CUBE (event_type, part)",
     "answers_setops": f"WITH RECURSIVE {net()}, {labels()}, {top()}, {NEAREST_DC} SELECT coalesce(a.qid, n.qid) AS qid, coalesce(a.poi, n.poi) AS poi, CASE WHEN n.poi IS NULL THEN 'safest' WHEN a.poi IS NULL THEN 'nearest' ELSE 'both' END AS side FROM ans a FULL JOIN knn n ON a.qid = n.qid AND a.poi = n.poi",
 }
+SQL["knn_kernel"], SQL["border_distance_local"], SQL["comptree_nodes_local"] = SQL["knn_topk"], SQL["border_distance"], SQL["comptree_nodes"]

@@ -80,7 +80,8 @@ def index_stats(net: Network, which: str, reach: float | None = None) -> dict:
     return {"index": which, "seconds": seconds, "rows": sum(t.count() for t in tables), "border_share": border_share(index, net.vertices.count())}
 
 
-def default_queries(net: Network, k: int, delta: float, n: int = 100) -> DataFrame:
-    """The sampled queries with dc = delta * distance of the k-th nearest POI."""
+def default_queries(net: Network, k: int, delta: float, n: int = 100, local: bool = False) -> DataFrame:
+    """The sampled queries with dc = delta * distance of the k-th nearest POI; local: by the kernel."""
     asked = sample_queries(net, k, 0.0, n)
-    return durable(set_dc(asked, knn(net, asked, k), delta))
+    nearest = grouped_search(net, asked, "knn").where("rnk > 0").select("qid", "rnk", "poi", "dist") if local else knn(net, asked, k)
+    return durable(set_dc(asked, nearest, delta))

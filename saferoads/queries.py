@@ -132,7 +132,7 @@ def safest_safevor(spark, sf_dir):
 def _kernel(method):
     def query(spark, sf_dir):
         net = net_p(spark, sf_dir)
-        tree = comptree.build_comptree(net, reach=DC) if method == "comptree" else None
+        tree = comptree.build_comptree_local(net, reach=DC) if method == "comptree" else None
         return shown(grouped_search(net, asked(net), method, tree=tree).where("rnk > 0"))
 
     return query
@@ -299,12 +299,25 @@ def answers_setops(spark, sf_dir):
     return both.withColumn("side", F.lit("both")).unionAll(first.withColumn("side", F.lit("safest"))).unionAll(second.withColumn("side", F.lit("nearest")))
 
 
+def knn_kernel(spark, sf_dir):
+    net = net_p(spark, sf_dir)
+    return grouped_search(net, asked(net), "knn").where("rnk > 0").select("qid", "rnk", "poi", "dist")
+
+
+def border_distance_local(spark, sf_dir):
+    return comptree.build_comptree_local(net_p(spark, sf_dir), reach=DC).borders
+
+
+def comptree_nodes_local(spark, sf_dir):
+    return comptree.build_comptree_local(net_p(spark, sf_dir), reach=DC).nodes
+
+
 def ablation(spark, sf_dir):
     net = net_p(spark, sf_dir)
-    return evaluation.ablation(net, asked(net, n=20), comptree.build_comptree(net, reach=DC), sets={"expand": [(1, 2)], "comptree": [(1, 2), (1, 2, 3), (1, 2, 4), (1, 2, 3, 4)], "safevor": [(1, 2), (1, 2, 5, 6), (1, 2, 7), (1, 2, 5, 6, 7)]})
+    return evaluation.ablation(net, asked(net, n=20), comptree.build_comptree_local(net, reach=DC), sets={"expand": [(1, 2)], "comptree": [(1, 2), (1, 2, 3), (1, 2, 4), (1, 2, 3, 4)], "safevor": [(1, 2), (1, 2, 5, 6), (1, 2, 7), (1, 2, 5, 6, 7)]})
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
-    for f in (edges_lattice, incidents_per_edge, incidents_clustered, ess_histogram, poi_sample, level_weights, s_vector_paths, s_distance_paths, pss_paths, safest_expand, safest_expand_clustered, safest_expand_smax5, safest_brute, safest_euclid, safest_comptree, safest_comptree_height5, safest_safevor, safest_pairs, safest_frontier, euclid_candidates, knn_topk, dc_by_delta, comptree_pointers, comptree_nodes, comptree_borders, border_distance, usn_assignment, cell_borders, cell_adjacency, cell_sizes, effectiveness, zone_safest, min_ess_safest, product_ess_safest, daynight_ess, trade_edges, trade_components, proximity_edges, ess_asof, ess_weekly_windows, incident_cube, answers_setops, ablation)
+    for f in (edges_lattice, incidents_per_edge, incidents_clustered, ess_histogram, poi_sample, level_weights, s_vector_paths, s_distance_paths, pss_paths, safest_expand, safest_expand_clustered, safest_expand_smax5, safest_brute, safest_euclid, safest_comptree, safest_comptree_height5, safest_safevor, safest_pairs, safest_frontier, euclid_candidates, knn_topk, dc_by_delta, comptree_pointers, comptree_nodes, comptree_borders, border_distance, usn_assignment, cell_borders, cell_adjacency, cell_sizes, effectiveness, zone_safest, min_ess_safest, product_ess_safest, daynight_ess, trade_edges, trade_components, proximity_edges, ess_asof, ess_weekly_windows, incident_cube, answers_setops, knn_kernel, border_distance_local, comptree_nodes_local, ablation)
 } | {f"kernel_{m}": _kernel(m) for m in ("expand", "comptree", "safevor", "euclid")}
