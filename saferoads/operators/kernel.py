@@ -7,6 +7,7 @@ Keys are single integers: 24 bits for each level, the worst level highest, so th
 
 from __future__ import annotations
 
+import bisect
 import heapq
 from collections.abc import Iterable
 from math import inf
@@ -54,15 +55,20 @@ def set_of(vids, memory={}):  # noqa: B006  one entry, for the arrays of one tas
     return memory["set"]
 
 
-def expand_query(g: Graph, start, k, dc, rules, targets=None, bound=None, most=3_000_000, drop_step=None):
+def expand_query(g: Graph, start, k, dc, rules, targets=None, known=None, most=3_000_000, drop_step=None):
     """Pops paths, the safest first, until k POIs (or all targets) are popped. Returns answers {poi: (key, dist, label)},
-    the labels as (vertex, label before), and counts."""
+    the labels as (vertex, label before), and counts. known: (keys of answers known before, number asked for): with k
+    of them, or of them and the targets found, paths beyond the last are out (Rule 7)."""
     wanted = g.pois if targets is None else targets
     heap, labels, best, found = [(0, 0, start, -1)], [], {}, {}
     popped = pushed = 0
-    two, seven = 2 in rules, bound is not None
+    two, seven = 2 in rules, known is not None
+    keys, asked = (sorted(known[0]), known[1]) if seven else ([], 0)
+    bound = keys[asked - 1] if seven and len(keys) >= asked else inf
     while heap:
         key, dist, v, before = heapq.heappop(heap)
+        if seven and key > bound:
+            break
         if two:
             if dist >= best.get(v, inf):
                 continue
@@ -74,6 +80,9 @@ def expand_query(g: Graph, start, k, dc, rules, targets=None, bound=None, most=3
             found[v] = (key, dist, me)
             if len(found) >= k:
                 break
+            if seven:
+                bisect.insort(keys, key)
+                bound = keys[asked - 1] if len(keys) >= asked else inf
         for w, length, ess, unit in g.out[v]:
             new = dist + length
             if new >= dc or (two and new >= best.get(w, inf)):
@@ -211,7 +220,7 @@ def safevor_query(g: Graph, start, k, dc, rules):
     valid = [x for x in listed if x[1] < dc]
     others = {v for _, dist, v in listed if dist >= dc}
     counts["extra"] = len(others)
-    bound = sorted(valid)[k - 1][0] if len(valid) >= k and 7 in rules else None
+    known = ([key for key, _, _ in valid], k) if 7 in rules else None
     found = {v: (key, dist, None) for key, dist, v in valid}
     labels: list = []
     if others:
@@ -223,7 +232,7 @@ def safevor_query(g: Graph, start, k, dc, rules):
                 return False
             return (5 in rules) if cell[v] not in others else (6 in rules and dist + d_poi.get(v, inf) >= dc)
 
-        more, labels, c = expand_query(g, start, len(others), dc, rules, others, bound, drop_step=vain if {5, 6} & set(rules) else None)
+        more, labels, c = expand_query(g, start, len(others), dc, rules, others, known, drop_step=vain if {5, 6} & set(rules) else None)
         found |= more
         for x in ("popped", "pushed"):
             counts[x] += c[x]

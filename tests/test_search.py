@@ -105,6 +105,12 @@ def test_update_equals_rebuild(spark, case):
     assert same(vor.cells, built.cells) and same(vor.borders, built.borders) and same(vor.adjacency, built.adjacency) and same(vor.border_distances, built.border_distances)
 
 
+def test_local_build_equals_rounds(case):
+    for height, reach in ((None, None), (2, 30.0)):
+        a, b = comptree.build_comptree(case[2], height, reach), comptree.build_comptree_local(case[2], height, reach)
+        assert same(a.pointers, b.pointers) and same(a.nodes, b.nodes) and same(a.borders, b.borders)
+
+
 def test_index_round_trip(spark, case, tmp_path):
     tree = comptree.build_comptree(case[2], height=2)
     assert tree.cuts == (0, 1)
