@@ -1,7 +1,8 @@
-"""Connected components by random contraction: every round a vertex joins the neighbour of least hash.
+"""Connected components by contraction: every round a vertex joins the neighbour of least rank.
 
-The number of vertices falls by a constant factor a round whatever the diameter, so a long road
-component takes O(log V) rounds; all steps are joins and pre-aggregated minima.
+The first round ranks by id, which ends stars around their least vertex at once; later rounds rank by hash, so the number
+of vertices falls by a constant factor a round whatever the diameter: a long road component takes O(log V) rounds. All
+steps are joins and pre-aggregated minima.
 """
 
 from __future__ import annotations
@@ -19,14 +20,16 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFr
     """
     links = edges.select(F.col(a).cast("bigint").alias("a"), F.col(b).cast("bigint").alias("b")).where("a <> b").distinct()
     links = durable(links)
-    labels = durable(links.select(F.explode(F.array("a", "b")).alias("id")).distinct().withColumn("cur", F.col("id")))
+    labels = links.select(F.explode(F.array("a", "b")).alias("id")).distinct().withColumn("cur", F.col("id"))
     turn = 0
     while not links.isEmpty():
         both = links.union(links.select("b", "a"))
-        rank = lambda c: F.struct(F.xxhash64(F.lit(turn), F.col(c)), F.col(c).alias("v"))
+        rank = lambda c: F.struct(F.lit(0) if turn == 0 else F.xxhash64(F.lit(turn), F.col(c)), F.col(c).alias("v"))
         nearest = both.groupBy("a").agg(F.least(F.min(rank("b")), F.min(rank("a")))["v"].alias("to"))
         nearest = durable(nearest)
-        labels = durable(labels.join(nearest, labels.cur == nearest.a, "left").select("id", F.coalesce("to", "cur").alias("cur")))
+        labels = labels.join(nearest, labels.cur == nearest.a, "left").select("id", F.coalesce("to", "cur").alias("cur"))
+        if turn % 4 == 3:
+            labels = durable(labels)
         ends = nearest.select(F.col("a").alias("v"), "to")
         links = (
             links.join(ends.withColumnsRenamed({"v": "a", "to": "ta"}), "a")
@@ -37,5 +40,6 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFr
         )
         links = durable(links)
         turn += 1
+    labels = durable(labels)
     least = labels.groupBy("cur").agg(F.min("id").alias("comp"))
     return labels.join(least, "cur").select("id", "comp")

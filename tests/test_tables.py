@@ -109,3 +109,28 @@ def test_entry(spark):
     df = entry.entry(spark)
     assert df.columns == ["qid", "rnk", "poi", "dist", "sd"] and df.count() > 0
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_text_source(spark, tmp_path):
+    from saferoads.sources.text_source import RoadText
+
+    (tmp_path / "a.txt").write_text("1 2 10 3\n# note\n\n2 3 11 4 # end\n")
+    (tmp_path / "b.txt").write_text("3 4 12 5\n")
+    spark.dataSource.register(RoadText)
+    got = spark.read.format("roadtext").load(str(tmp_path / "*.txt")).collect()
+    assert sorted(tuple(r) for r in got) == [(1, 2, 10, 3), (2, 3, 11, 4), (3, 4, 12, 5)]
+
+
+def test_sweeps(spark):
+    from saferoads.plans import workloads
+
+    rows = workloads.sweep(spark, SMALL, "delta", (1.25, 2.0), n=6, rho=0.1, k=3).collect()
+    pushed = {(r["method"], r["value"]): r["pushed"] for r in rows}
+    assert all(pushed[m, 1.25] <= pushed[m, 2.0] for m in ("expand", "comptree"))
+    by_k = workloads.sweep(spark, SMALL, "k", (1, 10), ("expand",), n=6, rho=0.1).collect()
+    assert {r["value"]: r["pushed"] for r in by_k}[1.0] < {r["value"]: r["pushed"] for r in by_k}[10.0]
+    e = workloads.effectiveness_by_delta(spark, SMALL, n=6, rho=0.1, k=3).orderBy("delta").collect()
+    # Larger bounds: fewer common POIs, safer and longer paths.
+    assert e[0]["common"] >= e[-1]["common"] and e[0]["pss_safest"] <= e[-1]["pss_safest"] and e[0]["length_ratio"] <= e[-1]["length_ratio"]
+    stats = workloads.index_sweep(spark, SMALL, "comptree", "smax", (5,)).first()
+    assert 0 < stats["border_share"] <= 1 and stats["seconds"] > 0
