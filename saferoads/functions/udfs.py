@@ -31,3 +31,31 @@ def register(spark: SparkSession) -> None:
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION safer(a ARRAY<BIGINT>, b ARRAY<BIGINT>) RETURNS BOOLEAN RETURN a < b")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION pss(sd ARRAY<BIGINT>, base DOUBLE) RETURNS DOUBLE RETURN try_divide(1D, aggregate(sd, 0D, (s, x) -> s * base + x))")
     spark.udtf.register("path_edges", PathEdges)
+
+
+def register_safest_paths(spark: SparkSession, net, name: str = "safest_paths") -> None:
+    """SQL table function name(src, k, dc) over a network of a checked size: rnk, poi, dist, sd, path."""
+    from saferoads.operators.kernel import MOST_ARCS, Graph, expand_query, trace
+    from saferoads.plans.runtime import small_enough
+
+    if not small_enough(net.edges, MOST_ARCS // 2):
+        raise ValueError("the network is too large for a table function")
+    arcs = net.arcs.select("src", "dst", "len", "ess").toArrow()
+    arrays = [arcs.column(c).to_numpy() for c in ("src", "dst", "len", "ess")]
+    pois, smax = np.sort(net.pois.toArrow().column("poi").to_numpy()), net.smax
+
+    @F.udtf(returnType="rnk int, poi bigint, dist bigint, sd array<bigint>, path array<bigint>")
+    class SafestPaths:
+        def __init__(self):
+            self.graph = Graph(*arrays, pois, smax)
+
+        def eval(self, src: int, k: int, dc: float):
+            start = self.graph.index_of(src)
+            if start is None:
+                return
+            found, labels, _ = expand_query(self.graph, start, k, float(dc), {1, 2})
+            for r, (key, p) in enumerate(sorted((x[0], p) for p, x in found.items())):
+                path = trace(labels, found[p][2])
+                yield r + 1, int(self.graph.vids[p]), found[p][1], self.graph.vector(key), [int(self.graph.vids[v]) for v in path]
+
+    spark.udtf.register(name, SafestPaths)

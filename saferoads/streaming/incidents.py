@@ -57,3 +57,22 @@ def with_edges(incidents: DataFrame, edges: DataFrame) -> DataFrame:
 def apply_batches(changes: DataFrame, apply: Callable[[DataFrame, int], None], checkpoint: str):
     """Runs apply(batch, number) for each micro-batch; a number that was applied before must be skipped by `apply`."""
     return changes.writeStream.foreachBatch(apply).option("checkpointLocation", checkpoint).outputMode("update").start()
+
+
+class VersionedIndex:
+    """Applies change batches to a network and its component tree; each batch leaves a version in the shared folder.
+
+    A batch number whose version is complete is skipped, so a batch that is sent again after a failure counts once."""
+
+    def __init__(self, net, tree, root: str):
+        self.net, self.tree, self.root, self.applied = net, tree, root, -1
+
+    def __call__(self, changes: DataFrame, number: int) -> None:
+        from saferoads.operators.update import comptree_update, save_index
+
+        if number <= self.applied:
+            return
+        self.net, self.tree = comptree_update(self.net, self.tree, changes)
+        save_index(self.tree, f"{self.root}/version={number}")
+        self.net.edges.write.mode("overwrite").parquet(f"{self.root}/version={number}/edges")
+        self.applied = number

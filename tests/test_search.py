@@ -164,3 +164,27 @@ def test_connected_components(spark):
 def test_weights_are_scaled(spark):
     got = scale_weights(spark.createDataFrame([(0.5,), (0.75,), (2.0,)], "len double")).collect()
     assert [r["len"] for r in got] == [1, 2, 4]
+
+
+def test_table_function(spark, case):
+    from saferoads.functions.udfs import register_safest_paths
+
+    edges, pois, net, _, rows = case
+    register_safest_paths(spark, net)
+    for _, v, k, dc in rows[:2]:
+        got = spark.sql(f"SELECT * FROM safest_paths({v}, {k}, {dc}D)").orderBy("rnk").collect()
+        assert [tuple(r["sd"]) for r in got] == brute(edges, pois, SMAX, v, k, dc) and all(r["path"][0] == v for r in got)
+
+
+def test_versioned_index(spark, case, tmp_path):
+    from saferoads.streaming.incidents import VersionedIndex
+
+    edges, _, net, _, _ = case
+    u, w, _, s = edges[4]
+    keeper = VersionedIndex(net, comptree.build_comptree_local(net), str(tmp_path))
+    changes = spark.createDataFrame([("ess", u, w, None, s % SMAX + 1, None, None)], update.CHANGES)
+    keeper(changes, 0)
+    keeper(changes, 0)  # sent again
+    built = comptree.build_comptree_local(keeper.net)
+    assert same(keeper.tree.borders, built.borders)
+    assert same(update.load_index(spark, f"{tmp_path}/version=0", keeper.tree).nodes, built.nodes)
