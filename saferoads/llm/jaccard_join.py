@@ -1,19 +1,19 @@
 """Jaccard join of word n-gram sets by a partition of the hashed universe and the pigeonhole principle.
 
 Sets of sizes a and b that reach the similarity differ in at most H = (1 - t) / (1 + t) * (a + b) elements. Sizes fall
-into bands that double; a pair meets in the band of its larger set. The band cuts the universe into m segments by
-hash. Of these, d are indexed with their one-deletion neighbourhoods and cover two differences each, the others by
-their exact subsets: if no one-deletion segment matches, at least m - d - (H - 2d) exact ones are equal. `allocate`
-picks d and m from a cost of index rows and expected chance meetings.
+into bands that double; a pair meets in the band of its larger set. The band cuts the universe into m segments by hash
+and indexes every set's exact subsets: m - H segments at least are equal. Segments of short sets would be empty too
+often; where that costs more (`allocate`), the sets of a band are indexed whole, with the neighbourhoods of one deletion
+and, where the bound allows more differences, of as many.
 
-More segments than the bound asks for leave room for choice. A set keeps its H - 2d + 1 + e segments of most elements (an
+More segments than the bound asks for leave room for choice. A set keeps its H + 1 + e segments of most elements (an
 order both sides of a pair know), so linked sets share e + 1 buckets at least. Sets with fewer shared buckets are
 out, and each set drops its e most frequent buckets: of e + 1 shared ones the rarest is dropped by neither side.
 
 Equal sets are one class from the start. Links are verified exactly on the texts, in rounds: every bucket names a
 leader, its members are compared with it, and linked classes join a component; a last round compares all pairs of
-a bucket that are still in different components. A pair inside a component needs no comparison, so a group of
-thousands of copies costs about one comparison each, and no link between components is lost.
+a bucket that are still in different components, those of large buckets in blocks. A pair inside a component needs no
+comparison, so a group of thousands of copies costs about one comparison each, and no link between components is lost.
 
 Null or empty texts have an empty set and link with nothing. Rows without doc_id take no part: their component is null.
 Rows of one doc_id are one vertex. An empty table gives no rows.
@@ -21,6 +21,9 @@ Rows of one doc_id are one vertex. An empty table gives no rows.
 
 from __future__ import annotations
 
+import itertools
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -44,20 +47,23 @@ def largest_partner(a, percent: int):
 
 
 def spare(h):
-    return 1 + h // 8
+    return h // 8
 
 
-def allocate(largest: int, percent: int) -> tuple[int, int]:
-    """(segments m, of these with one-deletion neighbourhoods d) for sets of at most `largest` elements."""
-    h = int(most_differences(largest, largest, percent))
-    best = None
-    for d in range(h // 2 + 1):
-        m = h - d + 1 + spare(h)
-        elements = largest / m
-        cost = d * (elements + 1) + (m - d) + 32 * m * 0.5**elements
-        if best is None or cost < best[0]:
-            best = (cost, m, d)
-    return best[1], best[2]
+def allocate(band: int, percent: int) -> tuple[int, bool]:
+    """Segments of a band (sizes 2^band to 2^(band + 1) - 1), and whether its sets are indexed whole with their deletion
+    neighbourhoods instead. By cost: rows of the largest set, and the risk that the smallest one has too few segments with
+    elements, so that empty ones, which all sets share, would have to stand in."""
+    largest, smallest = (2 << band) - 1, 1 << band
+    h = most_differences(largest, largest, percent)
+    m = h + 1 + spare(h)
+    if band > 6:
+        return m, False  # a neighbourhood would have millions of rows
+    low = most_differences(smallest, largest_partner(smallest, percent), percent)
+    lacking = m - (low + 1 + spare(low)) + 1
+    risk = min(1.0, math.comb(m, lacking) * math.exp(-smallest / m * lacking))
+    around = sum(math.comb(largest, j) for j in range(h + 1))
+    return m, around <= m + 1e4 * risk
 
 
 def ngram_sets(texts: list[bytes], words: int):
@@ -95,53 +101,54 @@ def ngram_sets(texts: list[bytes], words: int):
 def bucket_keys(grams: np.ndarray, bounds: np.ndarray, chosen: np.ndarray, band: int, partner: np.ndarray, percent: int):
     """Bucket keys of the chosen sets in one band; partner: largest size that each can meet there.
 
-    Returns exact keys and their set, one-deletion keys and their set, and the spare e of each chosen set."""
-    m, d = allocate((2 << band) - 1, percent)
+    Returns exact keys and their set, deletion keys and their set, and the spare e of each chosen set."""
+    m, whole = allocate(band, percent)
     sizes = (bounds[chosen + 1] - bounds[chosen]).astype(np.int64)
     h = most_differences(sizes, partner, percent)
     e = spare(h)
+    none = np.zeros(0, U), np.zeros(0, np.int64)
+    value = mixed(grams + U(0x632BE59BD9B4E019))
+    if whole:
+        near, who = [], []
+        for i in np.flatnonzero(h > 0):  # with no difference allowed, equal sets are one class already
+            own = value[bounds[chosen[i]] : bounds[chosen[i] + 1]]
+            total = own.sum(dtype=U)
+            for j in range(h[i] + 1):
+                picks = np.array(list(itertools.combinations(range(len(own)), j)), np.int64).reshape(math.comb(len(own), j), j)
+                near.append(total - own[picks].sum(1, dtype=U))
+                who.append(np.full(len(picks), i))
+        if not near:
+            return *none, *none, e
+        return *none, mixed(np.concatenate(near) ^ mixed(U(band) + np.zeros(1, U))), np.concatenate(who), e
     of = np.repeat(np.arange(len(chosen)), sizes)
     flat = np.arange(len(of)) + (bounds[chosen] - np.concatenate([[0], np.cumsum(sizes)[:-1]]))[of]
-    g = grams[flat]
-    segment = ((g >> U(32)) * U(m) >> U(32)).astype(np.int64)  # rises with the hash, so segments are runs
+    segment = ((grams[flat] >> U(32)) * U(m) >> U(32)).astype(np.int64)  # rises with the hash, so segments are runs
     cell = of * m + segment
     head = np.flatnonzero(np.concatenate([[True], cell[1:] != cell[:-1]]))
-    value = mixed(g + U(0x632BE59BD9B4E019))
-    total = np.add.reduceat(value, head) if len(head) else np.zeros(0, U)
-    number = np.diff(np.append(head, len(g)))
-    at, owner = segment[head], of[head]
+    total = np.add.reduceat(value[flat], head)
+    weight, at, who = np.diff(np.append(head, len(flat))), segment[head], of[head]
     salt = lambda s: mixed(np.asarray(s, np.int64).astype(U) * U(64) + U(band + 1))
-
-    keep = np.where(h >= 2 * d, h - 2 * d + 1 + e, 0)
-    exact = at >= d
-    key, who, weight = mixed(total[exact] ^ salt(at[exact])), owner[exact], number[exact]
+    keep = h + 1 + e
+    key = mixed(total ^ salt(at))
     order = np.lexsort((key, -weight, who))
-    key, who = key[order], who[order]
+    key, place, who = key[order], at[order], who[order]
     start = np.searchsorted(who, np.arange(len(chosen)))
     kept = np.arange(len(who)) - start[who] < keep[who]
     filled = np.diff(np.append(start, len(who)))
     more_key, more_who = [], []
     for i in np.flatnonzero(filled < keep):  # too few segments have elements: empty ones count too
-        free = np.setdiff1d(np.arange(d, m), at[(owner == i) & exact])
+        free = np.setdiff1d(np.arange(m), place[start[i] : start[i] + filled[i]])
         empty = np.sort(mixed(salt(free)))[: keep[i] - filled[i]]
         more_key.append(empty)
         more_who.append(np.full(len(empty), i))
-    key, who = np.concatenate([key[kept], *more_key]), np.concatenate([who[kept], *more_who])
-
-    sums = np.zeros((len(chosen), d), U)
-    loose = at < d
-    sums[owner[loose], at[loose]] = total[loose]
-    near_key, near_who = mixed(sums ^ salt(np.arange(d))[None, :]).ravel(), np.repeat(np.arange(len(chosen)), d)
-    single = segment < d
-    less = mixed((sums[of[single], segment[single]] - value[single]) ^ salt(segment[single]))
-    return key, who, np.concatenate([near_key, less]), np.concatenate([near_who, of[single]]), e
+    return np.concatenate([key[kept], *more_key]), np.concatenate([who[kept], *more_who]), *none, e
 
 
 SKETCH = "doc bigint, n bigint, f1 bigint, f2 bigint, e_own int, e_next int, own array<bigint>, next array<bigint>, near array<bigint>"
 
 
 def sketches(docs: DataFrame, words: int, percent: int) -> DataFrame:
-    """One row for each row of docs: set size, fingerprint and bucket keys (own band, next band, one-deletion)."""
+    """One row for each row of docs: set size, fingerprint and bucket keys (own band, next band, deletions)."""
 
     def lists(key, who, n):
         order = np.argsort(who, kind="stable")
@@ -181,25 +188,94 @@ def sketches(docs: DataFrame, words: int, percent: int) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(run, SKETCH)
 
 
+SALTS, HOT, BLOCK = 16, 64, 512
+
+
+def with_texts(pairs: DataFrame, texts: DataFrame) -> DataFrame:
+    """a, b, ta, tb. The comparison takes long for few bytes, so partitions are dealt by number; a leader of many pairs
+    is dealt by salt as well."""
+    n = int(pairs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    salted = pairs.withColumn("salt", F.pmod(F.xxhash64("b"), F.lit(SALTS)))
+    one, other = texts.withColumnsRenamed({"doc": "a", "text": "ta"}), texts.withColumnsRenamed({"doc": "b", "text": "tb"})
+    leaders = salted.select("a", "salt").distinct().join(one, "a")
+    members = salted.repartition(n, "b").join(other.repartition(n, "b"), "b")
+    both = members.repartition(n, "a", "salt").join(leaders.repartition(n, "a", "salt"), ["a", "salt"])
+    return both.select("a", "b", "ta", "tb")
+
+
+def links_in_blocks(members: DataFrame, texts: DataFrame, words: int, percent: int) -> DataFrame:
+    """Links among the sets of large buckets, without a row for each pair.
+
+    Sets that large buckets connect form a group; a group is dealt into blocks of about BLOCK sets, and every two blocks
+    meet in a task of bounded size that counts all intersections by matrix products and returns the links."""
+    stars = members.join(members.groupBy("key").agg(F.min("doc").alias("a")), "key").select("a", F.col("doc").alias("b")).distinct()
+    groups = durable(connected_components(stars))
+    blocks = groups.groupBy("comp").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
+    label = members.select(F.col("doc").alias("id"), F.col("comp").alias("label")).distinct()
+    dealt = groups.join(label, "id").join(blocks, "comp").withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+    dealt = dealt.select(F.col("id").alias("doc"), "label", "comp", "own", other.alias("other"))
+    dealt = dealt.select("doc", "label", "comp", "own", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j")).join(texts, "doc")
+
+    def compare(rows):
+        docs, own, label = (rows.column(c).to_numpy() for c in ("doc", "own", "label"))
+        grams, bounds = ngram_sets([t.encode() for t in rows.column("text").to_pylist()], words)
+        size = np.diff(bounds)
+        _, column, count = np.unique(grams, return_inverse=True, return_counts=True)
+        shared = count > 1
+        number = np.cumsum(shared) - 1
+        owner = np.repeat(np.arange(len(docs)), size)
+        keep = shared[column]
+        column, owner = number[column[keep]], owner[keep]
+        order = np.argsort(column, kind="stable")
+        column, owner = column[order], owner[order]
+        common = np.zeros((len(docs), len(docs)), np.float32)
+        for start in range(0, int(shared.sum()), 4096):
+            a, b = np.searchsorted(column, (start, start + 4096))
+            has = np.zeros((len(docs), 4096), np.float32)
+            has[owner[a:b], column[a:b] - start] = 1
+            common += has @ has.T
+        near = 100 * common >= percent * (size[:, None] + size[None, :] - common)
+        near &= (label[:, None] < label[None, :]) & (size[:, None] > 0)
+        if rows.column("i")[0].as_py() != rows.column("j")[0].as_py():
+            near &= own[:, None] != own[None, :]
+        # A forest over the components is enough: links inside what is joined already add nothing.
+        up: dict = {}
+
+        def top(v):
+            while up.setdefault(v, v) != v:
+                up[v] = v = up[up[v]]
+            return v
+
+        a, b = [], []
+        for x, y in zip(*np.nonzero(near), strict=True):
+            p, q = top(label[x]), top(label[y])
+            if p != q:
+                up[p] = q
+                a.append(min(docs[x], docs[y]))
+                b.append(max(docs[x], docs[y]))
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+
+    return dealt.groupBy("comp", "i", "j").applyInArrow(compare, "a bigint, b bigint")
+
+
 def verified(pairs_with_texts: DataFrame, words: int, percent: int) -> DataFrame:
     """a, b, ta, tb -> the pairs (a, b) whose sets reach the similarity."""
 
     def run(batches):
         known: dict = {}
-
-        def set_of(doc, text):
-            if doc not in known:
-                if len(known) > 500:
-                    known.clear()
-                known[doc] = ngram_sets([text.encode()], words)[0]
-            return known[doc]
-
         for batch in batches:
             keep = []
             for at in range(0, batch.num_rows, 200):
                 part = batch.slice(at, 200)
-                for a, b, ta, tb in zip(*(part.column(c).to_pylist() for c in ("a", "b", "ta", "tb")), strict=True):
-                    x, y = set_of((a, hash(ta)), ta), ngram_sets([tb.encode()], words)[0]
+                first = part.column("ta").to_pylist()
+                grams, bounds = ngram_sets([t.encode() for t in part.column("tb").to_pylist()], words)
+                for i, text in enumerate(first):
+                    if text not in known:
+                        if len(known) >= 64:
+                            known.clear()
+                        known[text] = ngram_sets([text.encode()], words)[0]
+                    x, y = known[text], grams[bounds[i] : bounds[i + 1]]
                     common = len(np.intersect1d(x, y, assume_unique=True))
                     keep.append(100 * common >= percent * (len(x) + len(y) - common))
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
@@ -244,13 +320,17 @@ def linked(buckets: DataFrame, texts: DataFrame, words: int, percent: int, leade
             leaders = members.groupBy("key").agg(F.min(order).alias("l")).select("key", "l.doc", "l.n", "l.comp")
             pairs = members.alias("x").join(leaders.alias("y"), "key").where(fit).selectExpr("least(x.doc, y.doc) a", "greatest(x.doc, y.doc) b").distinct()
         else:
-            pairs = members.alias("x").join(members.alias("y"), "key").where(f"x.doc < y.doc and {fit}").selectExpr("x.doc a", "y.doc b").distinct()
+            hot = durable(members.groupBy("key").agg(F.count("*").alias("size")).where(F.col("size") > HOT).select("key"))
+            in_hot = members.join(hot, "key")
+            cold = members.join(hot, "key", "left_anti")
+            pairs = cold.alias("x").join(cold.alias("y"), "key").where(f"x.doc < y.doc and {fit}").selectExpr("x.doc a", "y.doc b").distinct()
         if tried is not None:
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
         pairs = durable(pairs)
         tried = pairs if tried is None else tried.unionAll(pairs)
-        one, other = texts.withColumnsRenamed({"doc": "a", "text": "ta"}), texts.withColumnsRenamed({"doc": "b", "text": "tb"})
-        found = durable(verified(pairs.join(other, "b").join(one, "a").select("a", "b", "ta", "tb"), words, percent))
+        found = durable(verified(with_texts(pairs, texts), words, percent))
+        if turn == leader_rounds and not hot.isEmpty():
+            found = found.unionAll(durable(links_in_blocks(in_hot, texts, words, percent)))
         edges = found if edges is None else edges.unionAll(found)
         labels = durable(connected_components(edges))
     return labels if labels is not None else spark.createDataFrame([], "id bigint, comp bigint")
@@ -276,11 +356,13 @@ def components(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> D
     texts = durable(keep_marked(texts, "mark", seen).join(ids, "doc", "left_semi").select("doc", "text"))
     labels = linked(buckets, texts, words, percent)
 
-    # Rows of one doc_id with different sets join their classes, too.
-    bridges = members.groupBy("doc").agg(F.min("rep").alias("x"), F.max("rep").alias("y")).where("x <> y or x <> doc").select(F.col("doc").alias("a"), F.explode(F.array("x", "y")).alias("b"))
-    labels = connected_components(labels.select(F.col("id").alias("a"), F.col("comp").alias("b")).unionAll(bridges))
-    out = sketch.select("doc", "n").join(labels.withColumnRenamed("id", "doc"), "doc", "left")
-    return out.select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("comp", "doc").alias("component_id"))
+    reps = durable(members.groupBy("doc").agg(F.min("rep").alias("rep"), F.max("rep").alias("last")))
+    bridges = reps.where("rep <> last").select(F.col("rep").alias("a"), F.col("last").alias("b"))
+    if not bridges.isEmpty():  # rows of one doc_id with different sets join their classes, too
+        labels = connected_components(labels.select(F.col("id").alias("a"), F.col("comp").alias("b")).unionAll(bridges))
+    named = reps.join(labels, reps.rep == labels.id, "left").select("doc", F.coalesce("comp", "rep").alias("component_id"))
+    out = sketch.select("doc", "n").join(named, "doc", "left")
+    return out.select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc").alias("component_id"))
 
 
 def keep_one(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:

@@ -67,6 +67,16 @@ def test_equals_all_pairs(spark, seed, longest, words, percent):
     assert sorted((tuple(r) for r in got), key=str) == brute(rows, words, percent)
 
 
+def test_large_buckets_in_blocks(spark, monkeypatch):
+    from saferoads.llm import jaccard_join
+
+    monkeypatch.setattr(jaccard_join, "HOT", 2)
+    monkeypatch.setattr(jaccard_join, "BLOCK", 7)
+    rows = made_up(6, 60)
+    got = components(spark.createDataFrame(rows, "doc_id bigint, text string"), 4, 85).collect()
+    assert sorted((tuple(r) for r in got), key=str) == brute(rows, 4, 85)
+
+
 def test_one_of_each_group_stays(spark):
     rows = made_up(9, 60)
     kept = keep_one(spark.createDataFrame([(*r, "x") for r in rows], "doc_id bigint, text string, key string"), 5, 80).collect()
@@ -80,7 +90,7 @@ def test_empty_table(spark):
 
 def test_allocation_covers_the_bound():
     for percent in (80, 85):
-        for largest in (1, 3, 7, 15, 31, 127, 1023, 65535):
-            m, d = allocate(largest, percent)
-            assert (m - d) + 2 * d > most_differences(largest, largest, percent)
-    assert allocate(15, 85)[1] > 0 and allocate(1023, 85)[1] == 0
+        for band in range(18):
+            m, whole = allocate(band, percent)
+            assert m > most_differences((2 << band) - 1, (2 << band) - 1, percent)
+            assert whole == (band <= 3)
