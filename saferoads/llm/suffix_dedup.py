@@ -90,15 +90,15 @@ class Digits:
         return text, at, length, digit, spans, again
 
 
-def segments(texts: list[bytes], depth: int):
-    """Groups of (text index, offset, bytes) of about SEGMENT bytes; a longer text is cut with depth - 1 bytes shared."""
+def segments(texts: list[bytes], depth: int, segment: int):
+    """Groups of (text index, offset, bytes) of about `segment` bytes; a longer text is cut with depth - 1 bytes shared."""
     group, size = [], 0
     for i, t in enumerate(texts):
         if len(t) < depth:
             continue
-        for offset in range(0, len(t) - depth + 1, SEGMENT):
-            part = t[offset : offset + SEGMENT + depth - 1]
-            if group and size + len(part) > 2 * SEGMENT:
+        for offset in range(0, len(t) - depth + 1, segment):
+            part = t[offset : offset + segment + depth - 1]
+            if group and size + len(part) > 2 * segment:
                 yield group
                 group, size = [], 0
             group.append((i, offset, part))
@@ -109,13 +109,14 @@ def segments(texts: list[bytes], depth: int):
 
 def find_runs(docs: DataFrame, depth: int, gram: int) -> DataFrame:
     """docs: doc, th (hash of the text), text. One row for each run."""
+    segment = SEGMENT
 
     def run(batches):
         digits = Digits(depth, gram)
         for batch in batches:
             doc, th = batch.column("doc").to_numpy(), batch.column("th").to_numpy()
             texts = batch.column("text").cast(pa.large_binary()).to_pylist()
-            for group in segments(texts, depth):
+            for group in segments(texts, depth, segment):
                 sizes = np.array([len(p) for _, _, p in group])
                 ends = np.cumsum(sizes)
                 found = digits.runs(np.frombuffer(b"".join(p for _, _, p in group), np.uint8), ends - sizes, ends)
@@ -135,7 +136,8 @@ def find_runs(docs: DataFrame, depth: int, gram: int) -> DataFrame:
 def cut_into_blocks(runs_with_text: DataFrame, depth: int, gram: int) -> DataFrame:
     """doc, th, text, runs array<struct<start, n, digit, single>>. One row for each block: common and joint digit;
     in groups whose gram repeats within a window (single) a block is one suffix, and windows that occur twice in
-    their own run come with times = 2 and as sure intervals (common is null)."""
+    their own run come with times = 2 and as sure intervals (common is null). Where a long text was cut, the runs on both sides
+    hold one and the same block; it comes once."""
     schema = "doc bigint, th bigint, at bigint, size int, digit bigint, common bigint, joint bigint, times int"
 
     def run(batches):
@@ -145,6 +147,7 @@ def cut_into_blocks(runs_with_text: DataFrame, depth: int, gram: int) -> DataFra
             for doc, th, text, runs in zip(*(batch.column(c).to_pylist() for c in ("doc", "th", "text", "runs")), strict=True):
                 raw = text.encode()
                 view = memoryview(raw)
+                done: set = set()
                 for r in runs:
                     s, n, digit = r["start"], r["n"], r["digit"]
                     if r["single"]:
@@ -160,6 +163,10 @@ def cut_into_blocks(runs_with_text: DataFrame, depth: int, gram: int) -> DataFra
                     anchor = s + int(np.argmax(h == np.uint64(digit & 0xFFFFFFFFFFFFFFFF)))
                     first = s - (s - anchor) % STEP
                     for x in range(first, s + n, STEP):
+                        if (x, digit) in done:
+                            continue
+                        if x < s or x + STEP > s + n:  # only these can belong to another run as well
+                            done.add((x, digit))
                         joint = xxhash.xxh3_64_intdigest(view[x : x + STEP - 1 + depth]) if x >= 0 and x + STEP - 1 + depth <= len(raw) else xxhash.xxh3_64_intdigest(f"{doc} {th} {x}")
                         common = xxhash.xxh3_64_intdigest(view[x + STEP - 1 : x + depth])
                         rows.append((doc, th, x, STEP, digit, common - (common >> 63 << 64), joint - (joint >> 63 << 64), 1))
@@ -177,7 +184,8 @@ def cut_into_blocks(runs_with_text: DataFrame, depth: int, gram: int) -> DataFra
 
 
 def single_suffixes(blocks_with_text: DataFrame, depth: int) -> DataFrame:
-    """doc, th, text, blocks array<struct<at, size, digit, common>>. One row for each suffix of the blocks."""
+    """doc, th, text, blocks array<struct<at, size, digit, common>>. One row for each suffix of the blocks; blocks of one
+    text can overlap, a suffix comes once for each digit and common digit."""
 
     def run(batches):
         for batch in batches:
@@ -185,12 +193,22 @@ def single_suffixes(blocks_with_text: DataFrame, depth: int) -> DataFrame:
             for doc, th, text, blocks in zip(*(batch.column(c).to_pylist() for c in ("doc", "th", "text", "blocks")), strict=True):
                 raw = text.encode()
                 view = memoryview(raw)
-                for b in blocks:
-                    for x in range(max(b["at"], 0), min(b["at"] + b["size"], len(raw) - depth + 1)):
+                last, end = None, 0
+                for b in sorted(blocks, key=lambda b: (b["digit"], b["common"], b["at"])):
+                    if (b["digit"], b["common"]) != last:
+                        last, end = (b["digit"], b["common"]), 0
+                    for x in range(max(b["at"], end), min(b["at"] + b["size"], len(raw) - depth + 1)):
                         v = xxhash.xxh3_64_intdigest(view[x : x + depth])
                         out.append((doc, th, x, b["digit"], b["common"], v - (v >> 63 << 64)))
+                    end = b["at"] + b["size"]
+                if len(out) > 20_000:
+                    yield as_batch(out)
+                    out = []
             if out:
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], ["doc", "th", "at", "digit", "common", "whole"])
+                yield as_batch(out)
+
+    def as_batch(out):
+        return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], ["doc", "th", "at", "digit", "common", "whole"])
 
     return blocks_with_text.mapInArrow(run, "doc bigint, th bigint, at bigint, digit bigint, common bigint, whole bigint")
 

@@ -58,3 +58,21 @@ def test_text_is_replaced_and_other_columns_stay(spark):
     got = {r["doc_id"]: r for r in remove_repeats(df, 40, 8, replace_text=True).collect()}
     assert got[1]["text"] == got[2]["text"] == "" and got[1]["n_chars"] == 0
     assert got[3]["text"] == "short" and got[3]["n_chars"] == 5 and got[2]["digit"] == "y"
+
+
+@pytest.mark.parametrize("seed, segment", [(4, 300), (5, 97), (6, 64)])
+def test_texts_cut_into_segments_equal_brute_force(spark, monkeypatch, seed, segment):
+    from saferoads.llm import suffix_dedup
+
+    monkeypatch.setattr(suffix_dedup, "SEGMENT", segment)
+    rng = random.Random(seed)
+    long = ["".join(rng.choice("abcdefgh ") for _ in range(5000)) for _ in range(3)]
+    rows = made_up(seed) + [(50, long[0]), (51, long[1]), (52, long[2] + long[1][700:1400]), (53, long[0][:250] * 8), (54, "xy" + long[2][333:999])]
+    got = remove_repeats(spark.createDataFrame(rows, SCHEMA), 40, 8).collect()
+    assert sorted((tuple(r) for r in got), key=str) == brute(rows, 40)
+
+
+def test_unique_long_text_stays(spark):
+    rng = random.Random(7)
+    rows = [(i, "".join(rng.choices("abcdefghijklmnopqrstuvwxyz ", k=900_000))) for i in range(2)]
+    assert [r["n_removed"] for r in remove_repeats(spark.createDataFrame(rows, SCHEMA)).collect()] == [0, 0]
