@@ -7,7 +7,7 @@ often; where that costs more (`allocate`), the sets of a band are indexed whole,
 and, where the bound allows more differences, of as many.
 
 More segments than the bound asks for leave room for choice. A set keeps its H + 1 + e segments of most elements (an
-order both sides of a pair know), so linked sets share e + 1 buckets at least. Sets with fewer shared buckets are
+order both sides of a pair know; e is one for all sets of a band), so linked sets share e + 1 buckets at least. Sets with fewer shared buckets are
 out, and each set drops its e most frequent buckets: of e + 1 shared ones the rarest is dropped by neither side.
 
 Equal sets are one class from the start. Links are verified exactly on the texts, in rounds: every bucket names a
@@ -50,17 +50,23 @@ def spare(h):
     return h // 8
 
 
+def band_spare(band: int, percent: int) -> int:
+    """e of a band: both sides of a pair have to drop the same number of buckets, so it cannot depend on the set."""
+    largest = (2 << band) - 1
+    return spare(most_differences(largest, largest, percent))
+
+
 def allocate(band: int, percent: int) -> tuple[int, bool]:
     """Segments of a band (sizes 2^band to 2^(band + 1) - 1), and whether its sets are indexed whole with their deletion
     neighbourhoods instead. By cost: rows of the largest set, and the risk that the smallest one has too few segments with
     elements, so that empty ones, which all sets share, would have to stand in."""
     largest, smallest = (2 << band) - 1, 1 << band
     h = most_differences(largest, largest, percent)
-    m = h + 1 + spare(h)
+    m = h + 1 + band_spare(band, percent)
     if band > 6:
         return m, False  # a neighbourhood would have millions of rows
     low = most_differences(smallest, largest_partner(smallest, percent), percent)
-    lacking = m - (low + 1 + spare(low)) + 1
+    lacking = m - (low + 1 + band_spare(band, percent)) + 1
     risk = min(1.0, math.comb(m, lacking) * math.exp(-smallest / m * lacking))
     around = sum(math.comb(largest, j) for j in range(h + 1))
     return m, around <= m + 1e4 * risk
@@ -101,11 +107,11 @@ def ngram_sets(texts: list[bytes], words: int):
 def bucket_keys(grams: np.ndarray, bounds: np.ndarray, chosen: np.ndarray, band: int, partner: np.ndarray, percent: int):
     """Bucket keys of the chosen sets in one band; partner: largest size that each can meet there.
 
-    Returns exact keys and their set, deletion keys and their set, and the spare e of each chosen set."""
+    Returns exact keys and their set, deletion keys and their set, and the spare e of the band."""
     m, whole = allocate(band, percent)
     sizes = (bounds[chosen + 1] - bounds[chosen]).astype(np.int64)
     h = most_differences(sizes, partner, percent)
-    e = spare(h)
+    e = band_spare(band, percent)
     none = np.zeros(0, U), np.zeros(0, np.int64)
     value = mixed(grams + U(0x632BE59BD9B4E019))
     if whole:

@@ -94,3 +94,26 @@ def test_allocation_covers_the_bound():
             m, whole = allocate(band, percent)
             assert m > most_differences((2 << band) - 1, (2 << band) - 1, percent)
             assert whole == (band <= 3)
+
+
+@pytest.mark.parametrize("words, percent", [(4, 85), (5, 80)])
+def test_pairs_at_the_threshold_link(spark, words, percent):
+    rng = random.Random(11)
+    rows = []
+    for i in range(400):
+        a = rng.randint(33, 60)
+        more = next(d for d in range(60, 0, -1) if 100 * a >= percent * (a + d))
+        w = ["p%dx%d" % (i, k) for k in range(a + words - 1 + more)]
+        rows += [(2 * i, " ".join(w[: a + words - 1])), (2 * i + 1, " ".join(w))]
+    got = components(spark.createDataFrame(rows, "doc_id bigint, text string"), words, percent).collect()
+    assert sorted(r["doc_id"] for r in got if r["component_id"] != r["doc_id"] // 2 * 2) == []
+
+
+def test_pairs_whose_bounds_differ_link(spark):
+    """Seven shingles more, at the threshold: found by search, one shared bucket at a spare of 0 on one side and 1 on the other."""
+    rows = []
+    for i in (546, 589, 1449, 2399, 3922):
+        w = ["p%dx%d" % (i, k) for k in range(50 + i % 6)]
+        rows += [(2 * i, " ".join(w[:-7])), (2 * i + 1, " ".join(w))]
+    got = components(spark.createDataFrame(rows, "doc_id bigint, text string"), 4, 85).collect()
+    assert [r["doc_id"] for r in got if r["component_id"] != r["doc_id"] // 2 * 2] == []
