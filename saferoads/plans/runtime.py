@@ -32,7 +32,18 @@ def durable(df: DataFrame) -> DataFrame:
     path = f"{shared_dir(spark)}/saferoads-{uuid.uuid4().hex}"
     df.write.parquet(path)
     _written.append((spark, path))
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._durable_path = path
+    return out
+
+
+def drop(*tables: DataFrame) -> None:
+    """Delete durable tables that no later step reads; other frames are left alone."""
+    for table in tables:
+        path = getattr(table, "__dict__", {}).get("_durable_path")
+        if path and (table.sparkSession, path) in _written:
+            forget(table.sparkSession, path)
+            _written.remove((table.sparkSession, path))
 
 
 def forget(spark: SparkSession, path: str) -> None:
