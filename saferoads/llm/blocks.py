@@ -118,6 +118,15 @@ def gram_buckets(shown: np.ndarray, n: int, bits: int) -> np.ndarray:
     return h >> np.uint32(32 - bits)
 
 
+def unused_name(df, name: str) -> str:
+    """`name`, or a longer one where df has such a column; Spark's names ignore case."""
+    taken = {c.lower() for c in df.columns}
+    name = f"_{name}"
+    while name in taken:
+        name += "_"
+    return name
+
+
 def split_of(doc_ids, parts: int) -> np.ndarray:
     """crc32 of the id as text, modulo parts; null ids count as the text 'null'."""
     return np.fromiter((zlib.crc32(str("null" if d is None else d).encode()) % parts for d in doc_ids), np.int64, len(doc_ids))

@@ -22,7 +22,8 @@ def byte_bpe() -> dict:
 
 
 def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return suffix_dedup.remove_repeats(read_table(spark, sf_dir, "documents"))
+    """Columns of the contract by windows of 400 bytes; n_passage_words by windows of 50 words, whatever their bytes."""
+    return suffix_dedup.remove_repeats(read_table(spark, sf_dir, "documents"), passages=suffix_dedup.word_unit())
 
 
 def op2_sentence_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
