@@ -156,9 +156,11 @@ def test_connected_components(spark):
     for a, b in edges:
         x, y = sorted((top(a), top(b)))
         up[y] = x
-    got = {r["id"]: r["comp"] for r in connected_components(spark.createDataFrame([*edges, (None, 3)], "a bigint, b bigint")).collect()}
     touched = {v for a, b in edges if a != b for v in (a, b)}
-    assert got == {v: top(v) for v in touched}
+    df = spark.createDataFrame([*edges, (None, 3)], "a bigint, b bigint")
+    for last in (0, 20, 16_384):  # all by rounds, rounds and a last task, the task alone
+        assert {r["id"]: r["comp"] for r in connected_components(df, last=last).collect()} == {v: top(v) for v in touched}
+    assert connected_components(df.where("a < 0")).count() == 0
 
 
 def test_weights_are_scaled(spark):
