@@ -63,7 +63,7 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", last: int
     if not maps:
         return labels
     for step in reversed(maps):
-        labels = step.join(labels, step.to == labels.id, "left").select(F.col("a").alias("id"), F.coalesce("comp", "to").alias("comp"))
+        labels = step.join(labels, step["to"] == labels["id"], "left").select(F.col("a").alias("id"), F.coalesce("comp", "to").alias("comp"))
     labels = durable(labels)
     drop(*maps)
     least = labels.groupBy("comp").agg(F.min("id").alias("least"))
