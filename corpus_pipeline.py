@@ -28,8 +28,8 @@ def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 
 
 def cut_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Bytes that windows of 400 bytes repeat anywhere in the rows are cut out; every row stays."""
-    return suffix_dedup.remove_repeats(docs, replace_text=True)
+    """Words covered by windows of 50 words that start anywhere else in the rows are cut out; every row stays."""
+    return suffix_dedup.remove_repeats(docs, replace_text=True, unit=suffix_dedup.word_unit())
 
 
 def replace_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
