@@ -16,7 +16,8 @@ a bucket that are still in different components, those of large buckets in block
 comparison, so a group of thousands of copies costs about one comparison each, and no link between components is lost.
 
 Null or empty texts have an empty set and link with nothing. Rows without doc_id take no part: their component is null.
-Rows of one doc_id are one vertex. An empty table gives no rows.
+Rows of one doc_id are one vertex: it has the links of all their sets. A pair exactly at the similarity is linked. Texts of
+any length are sets of their n-grams like others. Other columns of docs may have any name. An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -30,9 +31,9 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from saferoads.llm.bitmap import bitmap_of, keep_marked
-from saferoads.llm.blocks import joined, mixed, space_table, text_blocks, word_bounds, word_hashes
+from saferoads.llm.blocks import joined, mixed, space_table, text_blocks, unused_name, word_bounds, word_hashes
 from saferoads.plans.components import connected_components
-from saferoads.plans.runtime import durable
+from saferoads.plans.runtime import drop, durable
 
 WORDS, PERCENT = 4, 85
 U = np.uint64
@@ -194,19 +195,20 @@ def sketches(docs: DataFrame, words: int, percent: int) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(run, SKETCH)
 
 
-SALTS, HOT, BLOCK = 16, 64, 512
+#: Members compared with one copy of a leader's text; sets of a bucket that is compared in blocks; sets and bytes of a block.
+FOLLOWERS, HOT, BLOCK, BLOCK_BYTES = 2000, 64, 512, 1 << 20
 
 
 def with_texts(pairs: DataFrame, texts: DataFrame) -> DataFrame:
-    """a, b, ta, tb. The comparison takes long for few bytes, so partitions are dealt by number; a leader of many pairs
-    is dealt by salt as well."""
+    """a, salt, b, text: the text of every a (b is null), then those of its partners, in every partition in this order. The
+    comparison takes long for few bytes, so partitions are dealt by number; a leader of many pairs is dealt by salt."""
     n = int(pairs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    salted = pairs.withColumn("salt", F.pmod(F.xxhash64("b"), F.lit(SALTS)))
-    one, other = texts.withColumnsRenamed({"doc": "a", "text": "ta"}), texts.withColumnsRenamed({"doc": "b", "text": "tb"})
-    leaders = salted.select("a", "salt").distinct().join(one, "a")
-    members = salted.repartition(n, "b").join(other.repartition(n, "b"), "b")
-    both = members.repartition(n, "a", "salt").join(leaders.repartition(n, "a", "salt"), ["a", "salt"])
-    return both.select("a", "b", "ta", "tb")
+    many = pairs.groupBy("a").agg(F.ceil(F.count("*") / FOLLOWERS).cast("int").alias("salts")).where("salts > 1")
+    salted = pairs.join(many, "a", "left").select("a", F.coalesce(F.expr("pmod(xxhash64(b), salts)"), F.lit(0)).cast("int").alias("salt"), "b")
+    one, other = texts.withColumnRenamed("doc", "a"), texts.withColumnRenamed("doc", "b")
+    leaders = salted.select("a", "salt").distinct().join(one, "a").select("a", "salt", F.lit(None).cast("bigint").alias("b"), "text")
+    members = salted.join(other, "b").select("a", "salt", "b", "text")
+    return leaders.unionAll(members).repartition(n, "a", "salt").sortWithinPartitions("a", "salt", F.col("b").asc_nulls_first())
 
 
 def links_in_blocks(members: DataFrame, texts: DataFrame, words: int, percent: int) -> DataFrame:
@@ -216,7 +218,9 @@ def links_in_blocks(members: DataFrame, texts: DataFrame, words: int, percent: i
     meet in a task of bounded size that counts all intersections by matrix products and returns the links."""
     stars = members.join(members.groupBy("key").agg(F.min("doc").alias("a")), "key").select("a", F.col("doc").alias("b")).distinct()
     groups = durable(connected_components(stars))
-    blocks = groups.groupBy("comp").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
+    long = texts.select(F.col("doc").alias("id"), F.octet_length("text").alias("bytes"))
+    size = F.greatest(F.count("*") / BLOCK, F.sum("bytes") / BLOCK_BYTES)
+    blocks = groups.join(long, "id").groupBy("comp").agg(F.ceil(size).cast("int").alias("blocks"))
     label = members.select(F.col("doc").alias("id"), F.col("comp").alias("label")).distinct()
     dealt = groups.join(label, "id").join(blocks, "comp").withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
@@ -225,8 +229,8 @@ def links_in_blocks(members: DataFrame, texts: DataFrame, words: int, percent: i
 
     def compare(rows):
         docs, own, label = (rows.column(c).to_numpy() for c in ("doc", "own", "label"))
-        grams, bounds = ngram_sets([t.encode() for t in rows.column("text").to_pylist()], words)
-        size = np.diff(bounds)
+        found = [ngram_sets(part, words) for _, _, part in text_blocks(rows.column("text").combine_chunks())]
+        grams, size = np.concatenate([g for g, _ in found]), np.concatenate([np.diff(b) for _, b in found])
         _, column, count = np.unique(grams, return_inverse=True, return_counts=True)
         shared = count > 1
         number = np.cumsum(shared) - 1
@@ -236,7 +240,7 @@ def links_in_blocks(members: DataFrame, texts: DataFrame, words: int, percent: i
         order = np.argsort(column, kind="stable")
         column, owner = column[order], owner[order]
         common = np.zeros((len(docs), len(docs)), np.float32)
-        for start in range(0, int(shared.sum()), 4096):
+        for start in range(0, int(shared.sum()), 4096):  # a slice of the shared n-grams
             a, b = np.searchsorted(column, (start, start + 4096))
             has = np.zeros((len(docs), 4096), np.float32)
             has[owner[a:b], column[a:b] - start] = 1
@@ -265,28 +269,29 @@ def links_in_blocks(members: DataFrame, texts: DataFrame, words: int, percent: i
     return dealt.groupBy("comp", "i", "j").applyInArrow(compare, "a bigint, b bigint")
 
 
-def verified(pairs_with_texts: DataFrame, words: int, percent: int) -> DataFrame:
-    """a, b, ta, tb -> the pairs (a, b) whose sets reach the similarity."""
+def verified(ordered: DataFrame, words: int, percent: int) -> DataFrame:
+    """The rows of with_texts -> the pairs (a, b) whose sets reach the similarity; a leader's set is held for its partners."""
 
     def run(batches):
-        known: dict = {}
+        leader, sets = None, []
         for batch in batches:
+            a, salt = batch.column("a").to_numpy(), batch.column("salt").to_numpy()
+            b = batch.column("b").to_pylist()
             keep = []
-            for at in range(0, batch.num_rows, 200):
-                part = batch.slice(at, 200)
-                first = part.column("ta").to_pylist()
-                grams, bounds = ngram_sets([t.encode() for t in part.column("tb").to_pylist()], words)
-                for i, text in enumerate(first):
-                    if text not in known:
-                        if len(known) >= 64:
-                            known.clear()
-                        known[text] = ngram_sets([text.encode()], words)[0]
-                    x, y = known[text], grams[bounds[i] : bounds[i + 1]]
-                    common = len(np.intersect1d(x, y, assume_unique=True))
-                    keep.append(100 * common >= percent * (len(x) + len(y) - common))
+            for first, _, part in text_blocks(batch.column("text")):
+                grams, bounds = ngram_sets(part, words)
+                for i, y in enumerate(np.split(grams, bounds[1:-1]), first):
+                    if (a[i], salt[i]) != leader:
+                        leader, sets = (a[i], salt[i]), []
+                    if b[i] is None:
+                        sets.append(y)  # one, unless rows share the doc_id
+                        keep.append(False)
+                        continue
+                    common = [len(np.intersect1d(x, y, assume_unique=True)) for x in sets]
+                    keep.append(any(100 * c >= percent * (len(x) + len(y) - c) for x, c in zip(sets, common, strict=True)))
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return pairs_with_texts.mapInArrow(run, "a bigint, b bigint")
+    return ordered.mapInArrow(run, "a bigint, b bigint")
 
 
 def candidates(sketch: DataFrame) -> DataFrame:
@@ -324,19 +329,22 @@ def linked(buckets: DataFrame, texts: DataFrame, words: int, percent: int, leade
         if turn < leader_rounds:
             order = F.struct((F.col("doc") if turn == 0 else F.xxhash64("doc", F.lit(turn))).alias("first"), "doc", "n", "comp")
             leaders = members.groupBy("key").agg(F.min(order).alias("l")).select("key", "l.doc", "l.n", "l.comp")
-            pairs = members.alias("x").join(leaders.alias("y"), "key").where(fit).selectExpr("least(x.doc, y.doc) a", "greatest(x.doc, y.doc) b").distinct()
+            pairs = members.alias("x").join(leaders.alias("y"), "key").where(fit)
+            pairs = pairs.selectExpr("least(x.doc, y.doc) a", "greatest(x.doc, y.doc) b", "y.doc lead").groupBy("a", "b").agg(F.min("lead").alias("lead"))
         else:
             hot = durable(members.groupBy("key").agg(F.count("*").alias("size")).where(F.col("size") > HOT).select("key"))
             in_hot = members.join(hot, "key")
             cold = members.join(hot, "key", "left_anti")
-            pairs = cold.alias("x").join(cold.alias("y"), "key").where(f"x.doc < y.doc and {fit}").selectExpr("x.doc a", "y.doc b").distinct()
+            pairs = cold.alias("x").join(cold.alias("y"), "key").where(f"x.doc < y.doc and {fit}").selectExpr("x.doc a", "y.doc b", "x.doc lead").distinct()
         if tried is not None:
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
         pairs = durable(pairs)
         tried = pairs if tried is None else tried.unionAll(pairs)
-        found = durable(verified(with_texts(pairs, texts), words, percent))
+        led = pairs.selectExpr("lead a", "if(lead = a, b, a) b")
+        found = durable(verified(with_texts(led, texts), words, percent))
         if turn == leader_rounds and not hot.isEmpty():
             found = found.unionAll(durable(links_in_blocks(in_hot, texts, words, percent)))
+        drop(members)
         edges = found if edges is None else edges.unionAll(found)
         labels = durable(connected_components(edges))
     return labels if labels is not None else spark.createDataFrame([], "id bigint, comp bigint")
@@ -346,9 +354,11 @@ def components(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> D
     """docs: doc_id, text. Per row: doc_id, n_shingles, component_id."""
     sketch = durable(sketches(docs, words, percent))
     whole = sketch.where("doc is not null and n > 0")
-    classes = whole.groupBy("n", "f1", "f2").agg(F.min("doc").alias("rep"))
-    members = durable(whole.select("doc", "n", "f1", "f2").join(classes, ["n", "f1", "f2"]).select("doc", "n", "rep", "f1", "f2").distinct())
-    copies = durable(members.where("doc <> rep").select("doc", "n", "f1", "f2").distinct())
+    named_sets = durable(whole.select("doc", "n", "f1", "f2").distinct())
+    classes = named_sets.groupBy("n", "f1", "f2").agg(F.min("doc").alias("rep"), F.count("*").alias("copies")).where("copies > 1")
+    # Sets of their own need no partner here; nothing follows the join that would keep Spark from splitting a hot class.
+    members = durable(named_sets.join(classes, ["n", "f1", "f2"], "left").select("doc", "n", F.coalesce("rep", "doc").alias("rep"), "f1", "f2"))
+    copies = members.where("doc <> rep").select("doc", "n", "f1", "f2")
     mark = F.xxhash64("doc", "n", "f1", "f2").alias("mark")
     bitmap = bitmap_of(copies.select(mark), "mark")
     marked = whole.withColumn("mark", F.xxhash64("doc", "n", "f1", "f2"))
@@ -377,7 +387,8 @@ def keep_one(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
     gone = durable(found.where("doc_id <> component_id").select("doc_id").distinct())
     again = found.groupBy("doc_id").count().where("count > 1").select("doc_id")
     bitmap = bitmap_of(gone.unionAll(again).select(F.xxhash64("doc_id").alias("mark")), "mark")
-    marked = docs.withColumn("_mark", F.xxhash64(F.col("doc_id").cast("bigint")))
-    maybe = keep_marked(marked, "_mark", bitmap).join(gone, "doc_id", "left_anti").select(marked.columns)
+    own = unused_name(docs, "mark")
+    marked = docs.withColumn(own, F.xxhash64(F.col("doc_id").cast("bigint")))
+    maybe = keep_marked(marked, own, bitmap).join(gone, "doc_id", "left_anti").select(marked.columns)
     maybe = maybe.where("doc_id is null").unionByName(maybe.where("doc_id is not null").dropDuplicates(["doc_id"]))
-    return keep_marked(marked, "_mark", bitmap, wanted=False).unionByName(maybe).drop("_mark")
+    return keep_marked(marked, own, bitmap, wanted=False).unionByName(maybe).drop(own)

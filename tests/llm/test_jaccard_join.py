@@ -117,3 +117,38 @@ def test_pairs_whose_bounds_differ_link(spark):
         rows += [(2 * i, " ".join(w[:-7])), (2 * i + 1, " ".join(w))]
     got = components(spark.createDataFrame(rows, "doc_id bigint, text string"), 4, 85).collect()
     assert [r["doc_id"] for r in got if r["component_id"] != r["doc_id"] // 2 * 2] == []
+
+
+@pytest.mark.parametrize("words, percent", [(4, 85), (5, 80)])
+def test_pairs_exactly_at_the_threshold_in_every_band(spark, words, percent):
+    """For sizes from 2 to 300 the longest tail that still links, and one word more, which does not."""
+    rng = random.Random(words)
+    word = lambda: "".join(rng.choices("abcdefghijklmnopqrstuvwxyz", k=7))
+    rows, links = [], []
+    for i, n in enumerate([*range(2, 70), *range(70, 300, 3)] * 6):
+        most = (100 - percent) * n // percent  # shingles that a longer text may add: 100 n >= percent (n + most)
+        base = [word() for _ in range(n + words - 1)]
+        rows += [(3 * i, " ".join(base)), (3 * i + 1, " ".join(base + [word() for _ in range(most)])), (3 * i + 2, " ".join([word() for _ in range(n)]))]
+        links.append((3 * i, 3 * i + 1))
+    lonely = [(10**6 + i, t + "".join(f" {word()}" for _ in range((100 - percent) * n // percent + 1))) for i, (n, t) in enumerate((len(t.split()) - words + 1, t) for _, t in rows[2::3] if len(t.split()) > words)]
+    got = {r["doc_id"]: r["component_id"] for r in components(spark.createDataFrame(rows + lonely, "doc_id bigint, text string"), words, percent).collect()}
+    assert [(a, b) for a, b in links if got[b] != a] == []
+    assert all(got[d] == d for d, _ in lonely)
+
+
+def test_a_leader_of_many_and_rows_of_one_id(spark, monkeypatch):
+    from saferoads.llm import jaccard_join
+
+    monkeypatch.setattr(jaccard_join, "FOLLOWERS", 3)
+    rng = random.Random(8)
+    base = ["".join(rng.choices("abcdefgh", k=5)) for _ in range(80)]
+    rows = [(i, " ".join(base[:k] + [f"x{i}"] + base[k:])) for i in range(40) for k in [rng.randrange(80)]]
+    rows += [(100, "own words that nobody shares at all here"), (100, rows[0][1] + " tail"), (101, "own words that nobody shares at all here too")]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    assert sorted((tuple(r) for r in components(df).collect()), key=str) == brute(rows, 4, 85)
+
+
+def test_a_clashing_column_stays(spark):
+    df = spark.createDataFrame([(1, "a b c d e f g", 5, "k"), (2, "a b c d e f g", 6, "m"), (3, "z", 7, "n")], "doc_id bigint, text string, _mark int, doc string")
+    got = keep_one(df)
+    assert got.columns == df.columns and sorted((r["doc_id"], r["_mark"], r["doc"]) for r in got.collect()) == [(1, 5, "k"), (3, 7, "n")]
