@@ -11,6 +11,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from saferoads.llm.blocks import lean
+
 BITS = 26
 
 
@@ -35,6 +37,7 @@ def keep_marked(df: DataFrame, column: str, bitmap: np.ndarray, wanted: bool = T
     """Rows of df whose bit is set, or with wanted=False the others."""
     sent = df.sparkSession.sparkContext.broadcast(bitmap)
 
+    @lean
     def run(batches):
         for batch in batches:
             keep = marked(batch.column(column).to_numpy(), sent.value)

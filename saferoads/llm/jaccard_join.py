@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from saferoads.llm.bitmap import bitmap_of, keep_marked
-from saferoads.llm.blocks import joined, mixed, space_table, text_blocks, unused_name, word_bounds, word_hashes
+from saferoads.llm.blocks import joined, lean, mixed, space_table, text_blocks, unused_name, word_bounds, word_hashes
 from saferoads.plans.components import connected_components
 from saferoads.plans.runtime import drop, durable
 
@@ -162,6 +162,7 @@ def sketches(docs: DataFrame, words: int, percent: int) -> DataFrame:
         offsets = np.searchsorted(who[order], np.arange(n + 1)).astype(np.int32)
         return pa.ListArray.from_arrays(pa.array(offsets), pa.array(key[order].view(np.int64)))
 
+    @lean
     def run(batches):
         for batch in batches:
             ids = batch.column("doc_id").cast(pa.int64())
@@ -272,6 +273,7 @@ def links_in_blocks(members: DataFrame, texts: DataFrame, words: int, percent: i
 def verified(ordered: DataFrame, words: int, percent: int) -> DataFrame:
     """The rows of with_texts -> the pairs (a, b) whose sets reach the similarity; a leader's set is held for its partners."""
 
+    @lean
     def run(batches):
         leader, sets = None, []
         for batch in batches:

@@ -18,7 +18,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from saferoads.llm.blocks import byte_texts
+from saferoads.llm.blocks import byte_texts, lean
 
 WINDOW = 2048
 END_ID = 1
@@ -99,6 +99,7 @@ def load_encoder(bpe_json: bytes, ranks: bytes, pattern: str):
 def pack(docs: DataFrame, vocabulary: dict, window: int = WINDOW, piece: int = 192, group: int = 128, spare: int = 512, with_ids: bool = False) -> DataFrame:
     """docs: doc_id, text. vocabulary: bpe_json and ranks (file contents) and pattern. One row per piece."""
 
+    @lean
     def run(batches):
         from pyspark import TaskContext
 

@@ -17,7 +17,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from saferoads.llm.blocks import mixed, powers_of, text_blocks, word_hashes
+from saferoads.llm.blocks import lean, mixed, powers_of, text_blocks, word_hashes
 
 SPACE = "▁".encode()
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
@@ -270,6 +270,7 @@ def decode(ids: np.ndarray, bounds: np.ndarray, pieces: Pieces) -> list[bytes]:
 def encode_documents(docs: DataFrame, model: bytes) -> DataFrame:
     """doc_id, n_tokens, ids, round_trip (decoding gives the text) for every row."""
 
+    @lean
     def run(batches):
         encoder = Encoder(Pieces(model))
         for batch in batches:
@@ -286,6 +287,7 @@ def encode_documents(docs: DataFrame, model: bytes) -> DataFrame:
 def decode_documents(encoded: DataFrame, model: bytes) -> DataFrame:
     """doc_id, text from doc_id, ids."""
 
+    @lean
     def run(batches):
         pieces = Pieces(model)
         for batch in batches:

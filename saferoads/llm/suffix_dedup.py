@@ -35,8 +35,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from saferoads.llm.bitmap import bitmap_of, keep_marked
-from saferoads.llm.blocks import joined, mixed, powers_of, space_table, text_blocks, unused_name, word_bounds, word_hashes
+from saferoads.llm.bitmap import bitmap_of, keep_marked, marked
+from saferoads.llm.blocks import joined, lean, mixed, powers_of, space_table, text_blocks, unused_name, word_bounds, word_hashes
 from saferoads.plans.runtime import drop, durable
 
 DEPTH, GRAM, STEP = 400, 128, 16
@@ -196,6 +196,7 @@ def segments(texts: list[np.ndarray], depth: int, segment: int):
 def find_runs(docs: DataFrame, unit: Unit) -> DataFrame:
     """docs: doc, th (hash of the text), text. One row for each run."""
 
+    @lean
     def run(batches):
         digits = Digits(unit.depth, unit.gram)
         for batch in batches:
@@ -322,6 +323,7 @@ def cut_into_blocks(runs_with_text: DataFrame, unit: Unit) -> DataFrame:
     names = ["doc", "th", "at", "size", "digit", "common", "joint", "times"]
     kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int32()]
 
+    @lean
     def run(batches):
         rows = in_rows(batches, "runs", "start", "n", "digit", "single")
         yield from gathered((p for doc, th, raw, runs in rows for p in blocks_of(doc, th, unit.tokens(raw), runs, unit)), names, kinds)
@@ -346,6 +348,7 @@ def single_suffixes(blocks_with_text: DataFrame, unit: Unit) -> DataFrame:
         x = x[once]
         return np.full(len(x), doc), np.full(len(x), th), x, digit[once], common[once], signed(hashes_at(tokens, x, unit.depth, unit.segment))
 
+    @lean
     def run(batches):
         rows = in_rows(batches, "blocks", "at", "size", "digit", "common")
         yield from gathered((suffixes(doc, th, unit.tokens(raw), *blocks) for doc, th, raw, blocks in rows), ["doc", "th", "at", "digit", "common", "whole"], [pa.int64()] * 6)
@@ -427,8 +430,7 @@ def remove_repeats(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, replac
     lists = lists.withColumnsRenamed({"doc": doc, "th": th})
     bitmap = bitmap_of(lists.select(F.xxhash64(doc, th).alias("mark")), "mark")
     joined_lists = keep_marked(keyed, mark, bitmap).join(lists, [doc, th], "left").select(*columns, cut, told)
-    nothing = F.lit(None).cast("array<struct<a:bigint,b:bigint>>")
-    untouched = keep_marked(keyed, mark, bitmap, wanted=False).select(*columns, nothing.alias(cut), nothing.alias(told))
+    sent = docs.sparkSession.sparkContext.broadcast(bitmap)
     more = ", n_passage_words bigint" if passages else ""
     out_schema = docs.schema if replace_text else "doc_id bigint, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string" + more
     arrow_names = docs.columns
@@ -441,6 +443,14 @@ def remove_repeats(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, replac
         edges = [0, *(int(x) for ab in zip(low, high, strict=True) for x in ab), len(raw)]
         return b"".join(raw[x:y] for x, y in zip(edges[::2], edges[1::2], strict=True)), len(low)
 
+    def untouched(batches):
+        """Of all rows those whose bit is not set; in the same worker as what follows."""
+        nothing = pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())]))
+        for batch in batches:
+            rest = batch.filter(pa.array(~marked(batch.column(mark).to_numpy(), sent.value)))
+            yield pa.RecordBatch.from_arrays([*(rest.column(c) for c in columns), *[pa.nulls(rest.num_rows, nothing)] * 2], [*columns, cut, told])
+
+    @lean
     def run(batches):
         for batch in batches:
             removed, noted = lists_of(batch.column(cut), "a", "b"), lists_of(batch.column(told), "a", "b")
@@ -477,4 +487,5 @@ def remove_repeats(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, replac
                 out.append(old if new is None else pc.if_else(changed, new, old))
             yield pa.RecordBatch.from_arrays(out, arrow_names)
 
-    return joined_lists.unionAll(untouched).mapInArrow(run, out_schema)
+    rest = keyed.select(*columns, mark).mapInArrow(lambda batches: run(untouched(batches)), out_schema)
+    return joined_lists.mapInArrow(run, out_schema).unionAll(rest)

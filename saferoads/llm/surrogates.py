@@ -20,6 +20,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from saferoads.llm.blocks import lean
+
 #: Given names and family names for surrogates of listed names.
 FEMALE = "anna emma julia laura marie sofia claire elena hanna lucia nadia petra rosa sara vera".split()
 MALE = "adam bruno carlos david emil felix hugo ivan jonas karl leo martin oscar paul simon".split()
@@ -241,6 +243,7 @@ def replace_entities(docs: DataFrame, key: str, keep_columns: bool = False) -> D
     secret, names = key.encode(), docs.columns
     schema = docs.schema if keep_columns else "doc_id bigint, n_entities int, kinds array<string>, text string"
 
+    @lean
     def run(batches):
         memory: dict = {}
         for batch in batches:
@@ -264,6 +267,7 @@ def entity_table(docs: DataFrame, key: str) -> DataFrame:
     """kind, entity, surrogate of every place in every text."""
     secret = key.encode()
 
+    @lean
     def run(batches):
         memory: dict = {}
         for batch in batches:

@@ -23,6 +23,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from saferoads.plans.components import connected_components
+from saferoads.llm.blocks import lean
 from saferoads.plans.runtime import durable
 
 PIVOTS, SAMPLE, QUERY_BLOCK = 24, 512, 4096
@@ -99,6 +100,7 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 5, scale: int = 256) ->
 
 
 def pivot_table(rows: DataFrame, pivots: np.ndarray, radius: float) -> DataFrame:
+    @lean
     def run(batches):
         for batch in batches:
             if batch.num_rows:
@@ -113,6 +115,7 @@ def search(index: DataFrame, ids: np.ndarray, q: np.ndarray, dq: np.ndarray, rad
     """The k best rows of every partition for every query of one block."""
     sent = index.sparkSession.sparkContext.broadcast((ids, q, dq))  # at most QUERY_BLOCK queries
 
+    @lean
     def run(batches):
         ids, q, dq = sent.value
         square = np.einsum("ij,ij->i", q, q) + radius * radius
@@ -181,6 +184,7 @@ def near_duplicates(vectors: DataFrame, cosine: float = 0.93, miss: float = 1e-4
 def hyperplane_buckets(classes: DataFrame, bits: int, tables: int, seed: int) -> DataFrame:
     """(key, rep): a key for each table, from the signs of `bits` projections, the label and the length."""
 
+    @lean
     def run(batches):
         planes: dict[int, np.ndarray] = {}
         for batch in batches:
@@ -209,6 +213,7 @@ def hyperplane_buckets(classes: DataFrame, bits: int, tables: int, seed: int) ->
 def cosine_links(pairs: DataFrame, cosine: float) -> DataFrame:
     """a, b, sa, sb, ea, eb -> (a, b, sa, sb) of the pairs that reach the cosine, in double precision."""
 
+    @lean
     def run(batches):
         for batch in batches:
             if batch.num_rows:
