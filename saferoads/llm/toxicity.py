@@ -9,8 +9,9 @@ the table was not fitted to. Rows are scored where they are: nothing is shuffled
 
 The fit uses a bounded sample of labelled rows: at most `per_class` toxic and three times as many clean
 ones, least in a hash of doc_id, texts of at most `longest` bytes; of a clean one, a passage of 4 KB. Null or empty texts get the score of a document without words. A document
-without a label, or with a null one, is only scored. No labelled row of one class: every score is the share of
-toxic ones (0 if there is none at all).
+without a label, or with a null one, is only scored. No labelled row of one class, or no word in the texts of one: every
+score is the share of toxic ones (0 if there is none at all). Rows of one doc_id: one of them is learned from, all are
+scored. Ties among sampled rows go to the lesser doc_id. Other columns may have any name.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from saferoads.llm.blocks import gram_buckets, joined, letter_table, lowered_latin, split_of, text_blocks, word_bounds, word_hashes
+from saferoads.llm.blocks import gram_buckets, joined, lean, letter_table, lowered_latin, split_of, text_blocks, word_bounds, word_hashes
 
 BITS, GRAMS, WORDS, DIM = 16, (3, 4, 5), 4, 8
 THRESHOLD = 0.3
@@ -99,6 +100,8 @@ def fit_table(texts: list[bytes], labels: np.ndarray, seed: int = 7, rounds: int
             use = (truth == 0) | (margin >= best[doc_of])
         positive = np.flatnonzero(use & (truth == 1))
         negative = np.flatnonzero(use & (truth == 0))
+        if not len(positive) or not len(negative):  # no text of one class has a word
+            return np.zeros(size + 1, np.float32)
         rng.shuffle(negative)
         for k in range(max(-(-len(negative) // (batch * 7)), steps)):
             some = np.arange(k * batch * 7, min((k + 1) * batch * 7, k * batch * 7 + len(negative))) % len(negative)
@@ -168,7 +171,7 @@ def passage(text: bytes, seed: int, most: int = 4096) -> bytes:
     return text[at : at + most]
 
 
-def train(docs: DataFrame, labels: DataFrame, per_class: int = 900, longest: int = 1 << 20, fold: tuple[int, int] = (4, 2)) -> dict:
+def train(docs: DataFrame, labels: DataFrame, per_class: int = 900, longest: int = 1 << 16, fold: tuple[int, int] = (4, 2)) -> dict:
     """labels: doc_id, toxic. Rows of the held-out fold (crc32 of doc_id modulo fold[0] equal to fold[1]) stay out."""
     mine = F.crc32(F.col("doc_id").cast("string")) % fold[0] != fold[1]
     known = labels.where(mine & F.col("toxic").isNotNull()).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
@@ -190,6 +193,8 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = 900, longest: int
         aside[:] = False
     fitted = np.flatnonzero(~aside)
     model = fit_table([texts[i] if truth[i] else passage(texts[i], int(i)) for i in fitted], truth[fitted])
+    if not model.any():
+        return {"model": None, "share": share}
     tried = np.flatnonzero(aside) if aside.any() else fitted
     slope, offset = calibrate(margins([texts[i] for i in tried], model), truth[tried], share)
     return {"model": model, "share": share, "slope": slope, "offset": offset}
@@ -209,6 +214,7 @@ def score(docs: DataFrame, trained: dict, fold: tuple[int, int] = (4, 2)) -> Dat
     """doc_id, held_out, score, predicted for every row."""
     sent = docs.sparkSession.sparkContext.broadcast(trained)  # a table of fixed size
 
+    @lean
     def run(batches):
         for batch in batches:
             ids = batch.column("doc_id")
@@ -223,6 +229,7 @@ def drop_toxic(docs: DataFrame, trained: dict) -> DataFrame:
     """Rows whose score is below the threshold, with all their columns."""
     sent = docs.sparkSession.sparkContext.broadcast(trained)
 
+    @lean
     def run(batches):
         for batch in batches:
             keep = scores(batch.column("text"), sent.value) < THRESHOLD
