@@ -4,11 +4,14 @@ Features of a word: its character 2-, 3- and 4-grams, of which those at the word
 as a lexicon entry; each is hashed to a row with one weight for each language. Transitions between the labels of
 neighbouring words are learned with them, on chains spliced from sampled documents of different languages so that
 switches occur. Forward-backward gives every word's posterior; a document's language is the one of largest summed
-posterior, its score that sum's share. A text is split into chains of CHAIN words, which run side by side in numpy.
+posterior, its score that sum's share. A text is one chain. Its blocks of CHAIN words run side by side in numpy: the
+product of a block's steps is a small matrix, and these matrices carry the messages from block to block, exactly.
 
 The fit uses a bounded sample: `per_language` documents of each language, least in a hash of doc_id, of texts of at
 most `longest` bytes. Scoring covers whole texts. Texts that are null or have no letter are `und` with score 0; so is
-every text if there is no labelled row. An empty table gives no rows.
+every text if there is no labelled row. An empty table gives no rows. Ties go to the language that is first in the alphabet,
+those among sampled rows to the lesser doc_id. Of rows of one doc_id one is learned from; all are labelled. Other columns may
+have any name.
 """
 
 from __future__ import annotations
@@ -20,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from saferoads.llm.blocks import gram_buckets, joined, letter_table, lowered_latin, split_of, text_blocks, word_bounds, word_hashes
+from saferoads.llm.blocks import gram_buckets, joined, lean, letter_table, lowered_latin, split_of, text_blocks, word_bounds, word_hashes
 
 BITS, GRAMS, CHAIN = 16, (2, 3, 4), 64
 LETTER = re.compile(r"[^\W\d_]")
@@ -56,7 +59,7 @@ def emissions(texts: list[bytes], weights: np.ndarray):
 
 
 def chains(doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Words as a table of chains by positions: index of each cell's word, and whether there is one."""
+    """Words as a table of blocks by positions: index of each cell's word, and whether there is one."""
     first = np.flatnonzero(np.concatenate([[True], doc[1:] != doc[:-1]])) if len(doc) else np.zeros(0, np.int64)
     sizes = np.diff(np.append(first, len(doc)))
     pieces = -(-sizes // CHAIN)
@@ -67,23 +70,59 @@ def chains(doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.where(there, cell, 0), there
 
 
-def forward_backward(score: np.ndarray, there: np.ndarray, moves: np.ndarray, with_moves: bool = True):
-    """score: chains x positions x labels. Posteriors of labels, and summed posteriors of moves if wanted."""
+def scaled(x: np.ndarray) -> np.ndarray:
+    return x / x.sum(-1, keepdims=True)
+
+
+def messages(score: np.ndarray, there: np.ndarray, moves: np.ndarray, text: np.ndarray):
+    """What reaches every block from the words before it (the labels' weights at the last of them) and from those after it;
+    text: of each block, in order. A block that begins a text starts from its own words alone."""
+    n, length, k = score.shape
+    likely = np.exp(score - score.max(2, keepdims=True))
+    step = np.exp(moves - moves.max())
+    first = np.append(True, text[1:] != text[:-1])
+    through = np.where(first[:, None, None], 1.0, step[None]) * likely[:, 0, None, :]
+    for t in range(1, length):
+        on = there[:, t]
+        if not on.any():
+            break
+        moved = (through[on] @ step) * likely[on, t, None, :]
+        through[on] = moved / moved.sum((1, 2), keepdims=True)
+    heads = np.flatnonzero(first)
+    sizes = np.diff(np.append(heads, n))
+    before, after, leaving = np.full((n, k), 1 / k), np.ones((n, k)), np.empty((n, k))
+    for j in range(int(sizes.max())):
+        here = heads[sizes > j] + j
+        if j:
+            before[here] = leaving[here - 1]
+        leaving[here] = scaled(np.einsum("ni,nij->nj", before[here], through[here]))
+    for j in range(int(sizes.max()) - 1, 0, -1):
+        here = heads[sizes > j] + j
+        after[here - 1] = scaled(np.einsum("nij,nj->ni", through[here], after[here]))
+    return first, before, after
+
+
+def forward_backward(score: np.ndarray, there: np.ndarray, moves: np.ndarray, with_moves: bool = True, reached: tuple | None = None):
+    """score: chains x positions x labels. Posteriors of labels, and summed posteriors of moves (within the rows) if wanted.
+    reached: the messages of rows that are blocks of longer chains."""
     likely = np.exp(score - score.max(2, keepdims=True))
     likely[~there] = 1.0
     step = np.exp(moves - moves.max())
     n, length, k = score.shape
     ahead, behind = np.empty((length, n, k)), np.empty((length, n, k))
-    ahead[0] = likely[:, 0] / likely[:, 0].sum(1, keepdims=True)
+    ahead[0] = scaled(likely[:, 0])
+    if reached:
+        first, before, after = reached
+        ahead[0] = np.where(first[:, None], ahead[0], scaled((before @ step) * likely[:, 0]))
     for t in range(1, length):
         a = (ahead[t - 1] @ step) * likely[:, t]
         ahead[t] = np.where(there[:, t, None], a / a.sum(1, keepdims=True), ahead[t - 1])
-    behind[-1] = 1.0
+    behind[-1] = after if reached else 1.0
     pairs = np.zeros((k, k))
     for t in range(length - 2, -1, -1):
         next_ = likely[:, t + 1] * behind[t + 1]
         b = next_ @ step.T
-        behind[t] = np.where(there[:, t + 1, None], b / b.sum(1, keepdims=True), 1.0)
+        behind[t] = np.where(there[:, t + 1, None], scaled(b), behind[t + 1])
         if not with_moves:
             continue
         joint = ahead[t][:, :, None] * step[None] * next_[:, None, :]
@@ -167,7 +206,9 @@ def label_words(texts: list[bytes], model: dict) -> tuple[np.ndarray, np.ndarray
         return np.zeros((0, len(model["names"]))), doc
     cell, there = chains(doc)
     out = np.empty((len(doc), len(model["names"])))
-    post, _ = forward_backward(score[cell], there, model["moves"], with_moves=False)
+    table = score[cell]
+    reached = messages(table, there, model["moves"], doc[cell[:, 0]])
+    post, _ = forward_backward(table, there, model["moves"], with_moves=False, reached=reached)
     out[cell[there]] = post[there]
     return out, doc
 
@@ -176,6 +217,7 @@ def predict(docs: DataFrame, model: dict, fold: tuple[int, int] = (4, 2)) -> Dat
     """doc_id, held_out, lang_pred, score for every row."""
     sent = docs.sparkSession.sparkContext.broadcast(model)  # tables of fixed size
 
+    @lean
     def run(batches):
         names = np.array([*sent.value["names"], "und"], object)
         k = len(names) - 1
@@ -198,6 +240,7 @@ def word_labels(docs: DataFrame, model: dict) -> DataFrame:
     """doc_id, word_index, lang_pred, score for every word of every text."""
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
+    @lean
     def run(batches):
         names = np.array(sent.value["names"], object)
         for batch in batches:

@@ -93,3 +93,45 @@ def test_forward_backward_equals_enumeration():
     for t in range(3):
         assert np.allclose(post[0, t], [sum(w for p, w in weight.items() if p[t] == k) / total for k in range(3)])
     assert np.allclose(pairs, [[sum(w * sum((p[t], p[t + 1]) == (a, b) for t in range(2)) for p, w in weight.items()) / total for b in range(3)] for a in range(3)])
+
+
+def test_blocks_of_a_text_are_one_chain():
+    """Texts of 200, 64, 65 and 1 words in blocks of 64 against a recursion over each whole text."""
+    rng = np.random.default_rng(9)
+    sizes, k = [200, 64, 65, 1, 130], 4
+    doc = np.repeat(np.arange(len(sizes)), sizes)
+    score, moves = rng.normal(size=(len(doc), k)) * 2, rng.normal(size=(k, k)) * 2
+    cell, there = language_crf.chains(doc)
+    table = score[cell]
+    post, _ = language_crf.forward_backward(table, there, moves, with_moves=False, reached=language_crf.messages(table, there, moves, doc[cell[:, 0]]))
+    got = np.empty((len(doc), k))
+    got[cell[there]] = post[there]
+    for i, n in enumerate(sizes):
+        e, step = np.exp(score[doc == i]), np.exp(moves)
+        ahead, behind = [e[0] / e[0].sum()], [np.ones(k)]
+        for t in range(1, n):
+            a = np.array([sum(ahead[-1][p] * step[p, q] for p in range(k)) * e[t, q] for q in range(k)])
+            ahead.append(a / a.sum())
+        for t in range(n - 2, -1, -1):
+            b = np.array([sum(step[p, q] * e[t + 1, q] * behind[-1][q] for q in range(k)) for p in range(k)])
+            behind.append(b / b.sum())
+        want = np.array(ahead) * np.array(behind[::-1])
+        assert np.allclose(got[doc == i], want / want.sum(1, keepdims=True))
+
+
+def test_toxic_texts_without_words(spark):
+    rows = [(i, "!!!" if i % 2 else f"calm words {i}") for i in range(40)]
+    d = spark.createDataFrame(rows, "doc_id bigint, text string")
+    trained = toxicity.train(d, spark.createDataFrame([(i, i % 2) for i in range(40)], "doc_id bigint, toxic int"))
+    assert len({r["score"] for r in toxicity.score(d, trained).collect()}) == 1
+
+
+def test_scored_text_repeated_long_and_with_clashing_columns(spark, languages):
+    _, _, model = languages
+    rng = random.Random(3)
+    long = prose(rng, SYLLABLES["fr"], 60_000)
+    d = spark.createDataFrame([(1, long, 0.5, "x"), (2, "th er on", 0.5, "x"), (2, "th er on", 0.5, "y"), (None, "ung keit sch", 0.5, "z")], "doc_id bigint, text string, score double, held_out string")
+    got = sorted((str(r["doc_id"]), r["lang_pred"]) for r in language_crf.predict(d, model).collect())
+    assert got == [("1", "fr"), ("2", "en"), ("2", "en"), ("None", "de")]
+    trained = toxicity.train(d, spark.createDataFrame([(1, 0), (2, 1)], "doc_id bigint, toxic int"))
+    assert toxicity.score(d, trained).count() == 4 and toxicity.drop_toxic(d, trained).columns == d.columns
