@@ -4,17 +4,28 @@ Every entity is mapped by a keyed permutation of the set of all entities of its
 cycle walking, conjugating a shift so that nothing maps to itself). A permutation is one-to-one, so different entities
 keep different surrogates and one entity has one surrogate in all documents, tasks and retries, without a table or a
 shuffle. What a surrogate must keep is part of the set: check digits stay valid or invalid, addresses stay private
-or public, letters keep case and script, vowels stay vowels, names keep the gender of the title before them and
-names of the lists stay in their list. `collisions` is the check over a whole table.
+or public, letters keep case and script, vowels stay vowels, dates stay dates. A name is mapped word by word, whatever
+title, place or number of words it comes with, so Julia Weber, Dr Weber and a later Weber without a title agree; words of
+the lists stay in their list and so keep their gender, all others follow one map that leaves the lists out.
+
+A name is found after a title, or as a listed given name before a capitalised word; its words are then found throughout
+the text. Other names, postal addresses and the like are not found. Every row tells whether its entities and surrogates
+are one to one; `collisions` is that check over a whole table.
 
 Null texts stay null, texts without entities stay as they are. Invalid look-alikes (an address with a part over 255, an
-account number with a wrong check) are not entities of that type. An empty table gives no rows.
+account number with a wrong check) are not entities of that type. Texts of any length are read whole; repeated rows are
+treated alike; other columns may have any name. An empty table gives no rows.
 """
 
 from __future__ import annotations
 
+import datetime
 import hashlib
+import ipaddress
 import re
+import unicodedata
+from bisect import bisect_left
+from functools import lru_cache
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -38,6 +49,8 @@ PATTERN = re.compile(
   | (?P<secret>(?i:\b(?:token|secret|password|passwd|api[_-]?key|access[_-]?key)\b["']?\s*[=:]\s*)["']?(?P<value>[A-Za-z0-9_+/.-]{8,}=*))
   | (?P<hex>\b(?:[0-9a-f]{32,}|[0-9A-F]{32,})\b)
   | (?P<iban>\b[A-Z]{2}\d{2}(?:[ ]?[A-Z0-9]{4}){2,7}(?:[ ]?[A-Z0-9]{1,3})?\b)
+  | (?P<birth>(?i:\b(?:born(?:[ ]on)?|date[ ]of[ ]birth|dob|geboren[ ]am|née?[ ]le|nacid[oa][ ]el)\b[: ]*)(?P<day>\d{4}-\d{2}-\d{2}|\d{2}[./]\d{2}[./]\d{4})\b)
+  | (?P<ip6>(?<![\w:.])(?=[0-9A-Fa-f]{0,4}:)(?:[0-9A-Fa-f]{0,4}:){2,7}[0-9A-Fa-f]{0,4}(?![\w:]))
   | (?P<ip>(?<![\d.])\d{1,3}(?:\.\d{1,3}){3}(?![\d]|\.\d))
   | (?P<phone>\+\d{1,3}[ .-]?(?:\(\d{1,4}\)[ .-]?)?\d{2,4}(?:[ .-]?\d{2,4}){1,4}\b|\(\d{3}\)[ ]?\d{3}[ .-]\d{4}\b|(?<![\d.-])\d{3}[.-]\d{3}[.-]\d{4}(?![\d.-]))
   | (?P<ssn>(?<![\d-])\d{3}-\d{2}-\d{4}(?![\d-]))
@@ -46,8 +59,11 @@ PATTERN = re.compile(
     """,
     re.X,
 )
+GIVEN = "|".join(x.capitalize() for x in sorted(FEMALE + MALE))
+#: A listed given name before a capitalised word.
+UNTITLED = re.compile(rf"\b(?:{GIVEN})[ ][^\W\d_a-z][\w'’-]+")
 #: A text without any of these has no entity.
-HINT = re.compile(r"[0-9@]|(?i:token|secret|passw|key|mr|ms\b|miss|dr\b|prof|herr|frau|señor|sra?\b|monsieur|madame|mme)")
+HINT = re.compile(rf"[0-9@]|::|(?i:token|secret|passw|key|mr|ms\b|miss|dr\b|prof|herr|frau|señor|sra?\b|monsieur|madame|mme)|\b(?:{GIVEN})[ ]")
 
 
 class Permutation:
@@ -104,12 +120,25 @@ def shuffled(key: bytes, label: str, text: str, alphabets: list[str], allowed=la
             return found
 
 
+@lru_cache(maxsize=4096)
+def alphabet_of(c: str) -> str:
+    """The class of a letter or digit; letters of other scripts go with those of their kind among 256 neighbours. Empty for
+    all else."""
+    if c in CLASS_OF:
+        return CLASS_OF[c]
+    if not c.isalpha():
+        return ""
+    first, kind = ord(c) & ~255, unicodedata.category(c)
+    near = (chr(x) for x in range(first, first + 256))
+    return "".join(x for x in near if unicodedata.category(x) == kind and x not in CLASS_OF and x.lower() == x)
+
+
 def by_class(key: bytes, label: str, text: str, allowed=lambda s: True) -> str:
     """Letters for letters of their class, digits for digits, case by case; all other characters stay."""
     low = text.lower()
     if len(low) != len(text):
         low = text
-    at = [i for i, c in enumerate(low) if c in CLASS_OF]
+    at = [i for i, c in enumerate(low) if c in alphabet_of(c)]
 
     def whole(s: str) -> str:
         chars = list(low)
@@ -117,8 +146,9 @@ def by_class(key: bytes, label: str, text: str, allowed=lambda s: True) -> str:
             chars[i] = c
         return "".join(chars)
 
-    frame = "".join("·" if c in CLASS_OF else c for c in low)
-    image = whole(shuffled(key, f"{label}|{frame}", "".join(low[i] for i in at), [CLASS_OF[low[i]] for i in at], lambda s: allowed(whole(s))))
+    moved = set(at)
+    frame = "".join("·" if i in moved else c for i, c in enumerate(low))
+    image = whole(shuffled(key, f"{label}|{frame}", "".join(low[i] for i in at), [alphabet_of(low[i]) for i in at], lambda s: allowed(whole(s))))
     return "".join(c.upper() if o.isupper() else c for c, o in zip(image, text, strict=True))
 
 
@@ -146,7 +176,8 @@ def network(ip: str) -> int:
 
 
 def surrogate(key: bytes, kind: str, text: str, gender: str = "n") -> str | None:
-    """The surrogate of one entity; None if the text is not one of that kind after all."""
+    """The surrogate of one entity; None if the text is not one of that kind after all. The gender that a title tells changes
+    nothing: a listed name keeps its own."""
     if kind == "email":
         local, _, domain = text.lower().rpartition("@")
         host, _, tld = domain.rpartition(".")
@@ -191,29 +222,91 @@ def surrogate(key: bytes, kind: str, text: str, gender: str = "n") -> str | None
         rest = shuffled(key, f"iban|{plain[:2]}|{len(plain)}", plain[4:], ["0123456789" if c.isdigit() else "ABCDEFGHIJKLMNOPQRSTUVWXYZ" for c in plain[4:]])
         whole = iter(plain[:2] + iban_check(plain[:2], rest) + rest)
         return "".join(c if c == " " else next(whole) for c in text)
+    if kind == "birth":
+        parts = [int(x) for x in re.findall(r"\d+", text)]
+        year, month, day = parts if len(str(parts[0])) == 4 else parts[::-1]
+        try:
+            rank = datetime.date(year, month, day).toordinal() - FIRST_DAY
+        except ValueError:
+            return None
+        if not 0 <= rank < DAYS:
+            return None
+        found = datetime.date.fromordinal(FIRST_DAY + Permutation(key, "birth", DAYS)(rank))
+        mark = text[2] if text[2] in "./" else "-"
+        return found.isoformat() if mark == "-" else found.strftime(f"%d{mark}%m{mark}%Y")
+    if kind == "ip6":
+        try:
+            ipaddress.IPv6Address(text)
+        except ValueError:
+            return None
+        kept = text.index(":")  # the first group tells the kind of network
+        hexes = "0123456789ABCDEF" if any(c.isupper() for c in text) else "0123456789abcdef"
+        at = [i for i, c in enumerate(text.lower() if hexes.islower() else text) if i > kept and c in hexes]
+        if not at:
+            return None
+        image = list(text)
+        leading = {i for i in at if text[i - 1] == ":" and text[i] != "0"}
+        frame = "".join("·" if i in set(at) else c for i, c in enumerate(text))
+        for i, c in zip(at, shuffled(key, f"ip6|{frame}", "".join(text[i] for i in at), [hexes[1:] if i in leading else "0" if text[i - 1] == ":" else hexes for i in at]), strict=True):
+            image[i] = c
+        return "".join(image)
     if kind == "name":
-        words = text.split(" ")
-        lists = [{"m": MALE, "f": FEMALE}.get(gender, sorted(MALE + FEMALE)) if len(words) > 1 else FAMILY, FAMILY][: len(words)]
-        out = []
-        for i, (word, known) in enumerate(zip(words, lists, strict=True)):
-            low = word.lower()
-            if low in known:
-                image = known[Permutation(key, f"name|{i}|{gender}|{len(words)}", len(known))(known.index(low))]
-                out.append(image.upper() if word.isupper() else image.capitalize())
-            else:
-                out.append(by_class(key, f"name|{i}|{gender}", word, lambda s, known=known: s not in known))
-        return " ".join(out)
+        return " ".join(name_word(key, word) for word in text.split(" "))
     raise ValueError(kind)
 
 
+FIRST_DAY = datetime.date(1900, 1, 1).toordinal()
+DAYS = datetime.date(2100, 1, 1).toordinal() - FIRST_DAY
+LISTED = {name: names for names in (MALE, FEMALE, FAMILY) for name in names}
+
+
+def name_word(key: bytes, word: str) -> str:
+    """One map for all words of names: a listed one stays in its list, the others stay outside the lists."""
+    low = word.lower()
+    if low not in LISTED:
+        return by_class(key, "name", word, lambda s: s not in LISTED)
+    names = LISTED[low]
+    image = names[Permutation(key, f"name|{names[0]}", len(names))(names.index(low))]
+    return image.upper() if word.isupper() else image.capitalize()
+
+
 def entities_of(text: str):
-    """(start, end, kind, gender) of candidates, left to right, without overlaps."""
+    """(start, end, kind, gender) of entities, left to right, without overlaps: first all by pattern, then the words of the
+    names among them wherever they stand alone."""
+    found = list(by_pattern(text))
+    taken = [(a, b) for a, b, _, _ in found]
+    for m in UNTITLED.finditer(text):
+        if free(taken, m.start(), m.end()):
+            found.append((m.start(), m.end() - owner(m[0]), "name", "n"))
+    known = {w for a, b, kind, _ in found if kind == "name" for w in text[a:b].split(" ") if len(w) > 2}
+    if known:
+        taken = sorted((a, b) for a, b, _, _ in found)
+        for m in re.finditer(rf"(?<!\w)(?:{'|'.join(sorted(map(re.escape, known)))})(?!\w)", text):
+            if free(taken, m.start(), m.end()):
+                found.append((m.start(), m.end(), "name", "n"))
+    return sorted(found)
+
+
+def free(taken: list[tuple[int, int]], start: int, end: int) -> bool:
+    """Whether start..end meets none of the sorted stretches."""
+    at = bisect_left(taken, (end,))
+    return at == 0 or taken[at - 1][1] <= start
+
+
+def owner(name: str) -> int:
+    """Length of an ending that marks an owner and is no part of the name."""
+    return 2 if name.endswith(("'s", "’s")) else 0
+
+
+def by_pattern(text: str):
     for m in PATTERN.finditer(text):
         kind = m.lastgroup
         if m["secret"] is not None:
             yield m.start("value"), m.end("value"), "secret", "n"
+        elif m["birth"] is not None:
+            yield m.start("day"), m.end("day"), "birth", "n"
         elif m["name"] is not None:
-            yield m.start("person"), m.end("person"), "name", TITLES[m["title"].lower()]
+            yield m.start("person"), m.end("person") - owner(m["person"]), "name", TITLES[m["title"].lower()]
         else:
             yield m.start(), m.end(), kind, "n"
 
@@ -238,10 +331,16 @@ def replaced(text: str, key: bytes, memory: dict) -> tuple[str, list[tuple[str,
     return "".join(out) + text[last:], found
 
 
+def one_to_one(found: list[tuple[str, str, str]]) -> bool:
+    pairs = set(found)
+    return len({(k, e) for k, e, _ in pairs}) == len(pairs) == len({(k, x) for k, _, x in pairs})
+
+
 def replace_entities(docs: DataFrame, key: str, keep_columns: bool = False) -> DataFrame:
-    """Per row doc_id, n_entities, kinds (sorted), text with surrogates; or with keep_columns the columns of docs."""
+    """Per row doc_id, n_entities, kinds (sorted), text with surrogates, and whether the row's entities and surrogates are one
+    to one; or with keep_columns the columns of docs."""
     secret, names = key.encode(), docs.columns
-    schema = docs.schema if keep_columns else "doc_id bigint, n_entities int, kinds array<string>, text string"
+    schema = docs.schema if keep_columns else "doc_id bigint, n_entities int, kinds array<string>, text string, one_to_one boolean"
 
     @lean
     def run(batches):
@@ -258,7 +357,7 @@ def replace_entities(docs: DataFrame, key: str, keep_columns: bool = False) -> D
                 yield pa.RecordBatch.from_arrays(columns, names)
             else:
                 kinds = [sorted({k for k, _, _ in f}) for _, f in done]
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), pa.array([len(f) for _, f in done], pa.int32()), pa.array(kinds, pa.list_(pa.string())), pa.array(fresh, pa.string())], ["doc_id", "n_entities", "kinds", "text"])
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), pa.array([len(f) for _, f in done], pa.int32()), pa.array(kinds, pa.list_(pa.string())), pa.array(fresh, pa.string()), pa.array([one_to_one(f) for _, f in done])], ["doc_id", "n_entities", "kinds", "text", "one_to_one"])
 
     return (docs if keep_columns else docs.select("doc_id", "text")).mapInArrow(run, schema)
 
@@ -283,4 +382,4 @@ def collisions(docs: DataFrame, key: str) -> DataFrame:
     table = entity_table(docs, key).distinct()
     by_surrogate = table.groupBy("kind", "surrogate").agg(F.count_distinct("entity").alias("n")).select("kind", F.col("surrogate").alias("value"), "n")
     by_entity = table.groupBy("kind", "entity").agg(F.count_distinct("surrogate").alias("n")).select("kind", F.col("entity").alias("value"), "n")
-    return by_surrogate.unionAll(by_entity.where("kind <> 'name'")).where("n > 1")
+    return by_surrogate.unionAll(by_entity).where("n > 1")

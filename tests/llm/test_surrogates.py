@@ -60,3 +60,51 @@ def test_columns_stay(spark):
     df = spark.createDataFrame([(1, "a@b.org", "en", "kinds", 7)], "doc_id bigint, text string, lang string, kinds string, n_chars bigint")
     r = replace_entities(df, "k", keep_columns=True).first()
     assert r["kinds"] == "kinds" and r["text"] != "a@b.org" and r["n_chars"] == len(r["text"])
+
+
+def test_names_agree_throughout_a_text(spark):
+    text = "Frau Julia Weber wrote. Dr Weber replied to Mr Paul Young; Frau Weber and Julia left, Weber said. Herr Weber's son Paul, PROF WEBER."
+    new = replace_entities(spark.createDataFrame([(1, text)], "doc_id bigint, text string"), "k").first()
+    out = new["text"]
+    given, family = re.match(r"Frau (\w+) (\w+) wrote", out).groups()
+    from saferoads.llm.surrogates import FAMILY, FEMALE
+
+    assert given.lower() in FEMALE and family.lower() in FAMILY and (given, family) != ("Julia", "Weber")
+    assert re.findall(r"(?:Dr|Frau|Herr|,) (\w+)(?= replied| and|'s| said)", out) == [family] * 4 and f"and {given} left" in out and f"PROF {family.upper()}" in out
+    assert not {"Julia", "Weber", "WEBER", "Paul", "Young"} & set(re.findall(r"\w+", out)) - {given, family} and new["one_to_one"]
+
+
+def test_names_of_other_scripts_and_without_a_title(spark):
+    texts = ["Mr 王小明 called", "Herr Ιωάννης and Ms Ольга", "Mr محمد spoke", "Dr יוסף came", "we met Julia Kerstens there. Kerstens left", "no names at all, Then or Now"]
+    got = [r["text"] for r in replace_entities(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string"), "k").orderBy("doc_id").collect()]
+    assert all(a != b for a, b in zip(got[:5], texts)) and got[5] == texts[5]
+    assert re.fullmatch(r"Mr [\u4e00-\u9fff]{3} called", got[0]) and re.fullmatch(r"Mr [\u0600-\u06ff]+ spoke", got[2]) and re.fullmatch(r"Dr [\u0590-\u05ff]+ came", got[3])
+    first, again = re.fullmatch(r"we met [A-Z]\w+ (\w+) there\. (\w+) left", got[4]).groups()
+    assert first == again != "Kerstens"
+
+
+def test_all_listed_names_with_titles_are_one_to_one(spark):
+    from saferoads.llm.surrogates import FAMILY, FEMALE
+
+    rows = [(i, f"{t} {x.capitalize()}") for i, (t, x) in enumerate((t, x) for t in ("Mr", "Frau", "Dr") for x in MALE + FEMALE + FAMILY + ["kim", "tam", "bal"])]
+    rows += [(1000 + i, f"Dr {g.capitalize()} {f.capitalize()}") for i, (g, f) in enumerate((g, f) for g in MALE[:5] + FEMALE[:5] for f in FAMILY)]
+    assert collisions(spark.createDataFrame(rows, "doc_id bigint, text string"), "k").count() == 0
+
+
+def test_birth_dates_and_long_addresses():
+    s = lambda k, t: surrogate(KEY, k, t)
+    assert re.fullmatch(r"\d{4}-\d\d-\d\d", s("birth", "1984-02-29")) and re.fullmatch(r"\d\d\.\d\d\.\d{4}", s("birth", "31.12.1999"))
+    assert s("birth", "31.02.1999") is None and s("birth", "2500-01-01") is None
+    assert len({s("birth", f"1990-01-{d:02d}") for d in range(1, 32)}) == 31
+    import ipaddress
+
+    for t in ("2001:db8::8a2e:370:7334", "fe80::1", "2001:DB8:0:0:8:800:200C:417A"):
+        new = s("ip6", t)
+        assert new != t and ipaddress.IPv6Address(new) and new.split(":")[0] == t.split(":")[0] and len(new) == len(t)
+    assert s("ip6", "12:30:45") is None and s("ip6", "::") is None
+
+
+def test_places_of_long_addresses_and_births(spark):
+    text = "at 12:30:45 host fe80::1 born on 1984-02-29, seen 1984-02-29"
+    r = replace_entities(spark.createDataFrame([(1, text)], "doc_id bigint, text string"), "k").first()
+    assert r["kinds"] == ["birth", "ip6"] and "12:30:45" in r["text"] and r["text"].endswith("seen 1984-02-29")
