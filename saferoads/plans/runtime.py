@@ -26,12 +26,14 @@ def shared_dir(spark: SparkSession) -> str:
     return spark.sparkContext.getCheckpointDir().rsplit("/", 1)[0]
 
 
-def durable(df: DataFrame) -> DataFrame:
-    """Write df to the shared folder and read it back: cuts the lineage and survives lost executors."""
+def durable(df: DataFrame, onto: DataFrame | None = None) -> DataFrame:
+    """Write df to the shared folder and read it back: cuts the lineage and survives lost executors. onto: a durable table of
+    the same columns that the rows are added to."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/saferoads-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    _written.append((spark, path))
+    path = onto._durable_path if onto is not None else f"{shared_dir(spark)}/saferoads-{uuid.uuid4().hex}"
+    df.write.mode("append" if onto is not None else "error").parquet(path)
+    if onto is None:
+        _written.append((spark, path))
     out = spark.read.schema(df.schema).parquet(path)
     out._durable_path = path
     return out
