@@ -10,7 +10,10 @@ The number of bits follows the size of the largest label, that of the tables the
 one vector are one class from the start; only pairs of classes are formed.
 
 Vectors that are null or hold null or non-finite components take no part; neither do zero vectors in `near_duplicates`.
-Vectors are compared with vectors of their own length only. Empty tables give no rows.
+Vectors are compared with vectors of their own length only. Rows are vectors of their own, also where they share a vec_id:
+in `near_duplicates` each has its own links, and the component is the least vec_id among the rows reached. Equal scores in
+`top_k` go to the smaller vec_id; rows without vec_id take no part. Other columns may have any name. Empty tables give no
+rows.
 """
 
 from __future__ import annotations
@@ -68,8 +71,9 @@ def products(rows: np.ndarray, query: np.ndarray, largest: float) -> np.ndarray:
     return rows.astype(np.int64) @ query.astype(np.int64)
 
 
-def top_k(vectors: DataFrame, is_query: Column, k: int = 5, scale: int = 256) -> DataFrame:
-    """vectors: vec_id, embedding. query_id, rank, vec_id, score for every row that is_query selects."""
+def top_k(vectors: DataFrame, is_query: Column, k: int = 5, scale: int = 256, evaluated=None) -> DataFrame:
+    """vectors: vec_id, embedding. query_id, rank, vec_id, score for every row that is_query selects. evaluated: a Spark
+    accumulator of the inner products that the pivots did not spare. Queries are taken in blocks of a fixed size."""
     spark = vectors.sparkSession
     scaled = F.transform("embedding", lambda x: F.floor(x.cast("double") * scale).cast("double"))
     rows = vectors.where(F.col("vec_id").isNotNull() & usable("embedding") & (F.size("embedding") > 0)).select(F.col("vec_id").cast("bigint").alias("vec_id"), scaled.alias("v"), F.size("embedding").alias("dim"), is_query.alias("asked"))
@@ -91,8 +95,9 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 5, scale: int = 256) ->
             if not queries.num_rows:
                 continue
             ids, q = queries.column("vec_id").to_numpy(), matrix(queries.column("v").combine_chunks())
-            best = search(index, ids, q, distances(np.hstack([q, np.zeros((len(q), 1))]), pivots), radius, most, k)
-            found = best if found is None else found.unionAll(best)
+            best, sent = search(index, ids, q, distances(np.hstack([q, np.zeros((len(q), 1))]), pivots), radius, most, k, evaluated=evaluated)
+            found = durable(best, onto=found)  # one block's queries at a time on the driver and the executors
+            sent.destroy()
     if found is None:
         return spark.createDataFrame([], "query_id bigint, rank int, vec_id bigint, score bigint")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
@@ -111,15 +116,15 @@ def pivot_table(rows: DataFrame, pivots: np.ndarray, radius: float) -> DataFrame
     return rows.select("vec_id", "v", "asked").mapInArrow(run, "vec_id bigint, v array<double>, asked boolean, d array<double>")
 
 
-def search(index: DataFrame, ids: np.ndarray, q: np.ndarray, dq: np.ndarray, radius: float, most: float, k: int, step: int = 256) -> DataFrame:
-    """The k best rows of every partition for every query of one block."""
+def search(index: DataFrame, ids: np.ndarray, q: np.ndarray, dq: np.ndarray, radius: float, most: float, k: int, step: int = 256, evaluated=None):
+    """The k best rows of every partition for every query of one block, and the broadcast that the rows need."""
     sent = index.sparkSession.sparkContext.broadcast((ids, q, dq))  # at most QUERY_BLOCK queries
 
     @lean
     def run(batches):
         ids, q, dq = sent.value
         square = np.einsum("ij,ij->i", q, q) + radius * radius
-        best = [(np.zeros(0, np.int64), np.zeros(0, np.int64)) for _ in ids]
+        best, tried = [(np.zeros(0, np.int64), np.zeros(0, np.int64)) for _ in ids], 0
         for batch in batches:
             if not batch.num_rows:
                 continue
@@ -137,10 +142,13 @@ def search(index: DataFrame, ids: np.ndarray, q: np.ndarray, dq: np.ndarray, rad
                     if len(score) == k and high[some[0]] < score[-1]:
                         break
                     some = some[own[some] != ids[i]]
+                    tried += len(some)
                     score, name = np.concatenate([score, products(v[some], query, most)]), np.concatenate([name, own[some]])
                     top = np.lexsort((name, -score))[:k]
                     score, name = score[top], name[top]
                 best[i] = (score, name)
+        if evaluated is not None:
+            evaluated.add(tried)
         counts = [len(s) for s, _ in best]
         if sum(counts):
             yield pa.RecordBatch.from_arrays(
@@ -148,7 +156,7 @@ def search(index: DataFrame, ids: np.ndarray, q: np.ndarray, dq: np.ndarray, rad
                 ["query_id", "vec_id", "score"],
             )
 
-    return index.select("vec_id", "v", "d").mapInArrow(run, "query_id bigint, vec_id bigint, score bigint")
+    return index.select("vec_id", "v", "d").mapInArrow(run, "query_id bigint, vec_id bigint, score bigint"), sent
 
 
 def tables_for(bits: int, cosine: float, miss: float) -> int:
@@ -163,7 +171,8 @@ def near_duplicates(vectors: DataFrame, cosine: float = 0.93, miss: float = 1e-4
     rows = vectors.select(F.col("vec_id").cast("bigint").alias("vec_id"), "embedding", F.col("label").cast("string").alias("label"))
     takes_part = F.col("vec_id").isNotNull() & F.col("label").isNotNull() & usable("embedding") & nonzero
     keyed = rows.withColumns({"h1": F.xxhash64("label", "embedding"), "h2": F.xxhash64(F.reverse("embedding"), "label"), "part": F.coalesce(takes_part, F.lit(False))})
-    classes = durable(keyed.where("part").groupBy("h1", "h2").agg(F.min("vec_id").alias("rep"), F.count("*").alias("size"), F.first("label").alias("label"), F.first("embedding").alias("embedding")))
+    classes = keyed.where("part").groupBy("h1", "h2").agg(F.min("vec_id").alias("least"), F.count("*").alias("size"), F.first("label").alias("label"), F.first("embedding").alias("embedding"))
+    classes = durable(classes.withColumn("rep", F.monotonically_increasing_id()))  # vec_id may stand for several vectors
     largest = classes.groupBy("label").count().agg(F.max("count")).first()[0] or 1
     bits = min(max(math.ceil(math.log2(largest)) + 3, 8), 24)
     hashed = hyperplane_buckets(classes, bits, tables_for(bits, cosine, miss), seed)
@@ -174,10 +183,11 @@ def near_duplicates(vectors: DataFrame, cosine: float = 0.93, miss: float = 1e-4
     close = pairs.join(one, "a").join(other, "b").where("la = lb and size(ea) = size(eb)")
     links = durable(cosine_links(close, cosine))
     per_class = links.selectExpr("a rep", "sb n").unionAll(links.selectExpr("b rep", "sa n")).groupBy("rep").agg(F.sum("n").alias("n"))
-    labels = connected_components(links).withColumnsRenamed({"id": "rep", "comp": "component"})
-    known = classes.select("h1", "h2", "rep", "size").join(per_class, "rep", "left").join(labels, "rep", "left")
+    joined = durable(connected_components(links).withColumnRenamed("id", "rep").join(classes.select("rep", "least"), "rep"))
+    labels = joined.select("rep", "comp").join(joined.groupBy("comp").agg(F.min("least").alias("component")), "comp").drop("comp")
+    known = classes.select("h1", "h2", "rep", "least", "size").join(per_class, "rep", "left").join(labels, "rep", "left")
     out = keyed.select("vec_id", "h1", "h2", "part").join(known.withColumn("part", F.lit(True)), ["h1", "h2", "part"], "left")
-    component = F.coalesce("component", "rep", "vec_id")
+    component = F.coalesce("component", "least", "vec_id")
     return out.select("vec_id", (F.coalesce(F.col("size") - 1, F.lit(0)) + F.coalesce("n", F.lit(0))).cast("bigint").alias("n_links"), component.alias("component_id"), (F.col("vec_id") == component).alias("kept"))
 
 

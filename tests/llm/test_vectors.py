@@ -67,3 +67,24 @@ def test_recall_is_planned():
     for bits in (8, 12, 20):
         same = (1 - math.acos(0.93) / math.pi) ** bits
         assert (1 - same) ** tables_for(bits, 0.93, 1e-4) <= 1e-4
+
+
+def test_rows_that_share_an_id(spark):
+    rows = [(1, [1.0, 0.0], 1), (1, [0.0, 1.0], 1), (2, [1.0, 0.01], 1), (3, [0.0, 1.0], 1), (3, [0.0, 1.0], 1), (4, [0.0, 1.0], 2)]
+    got = sorted(tuple(r) for r in near_duplicates(spark.createDataFrame(rows, SCHEMA)).collect())
+    assert got == sorted([(1, 1, 1, True), (1, 2, 1, True), (2, 1, 1, False), (3, 2, 1, False), (3, 2, 1, False), (4, 0, 4, True)])
+
+
+def test_blocks_of_queries_and_what_the_pivots_spare(spark, monkeypatch):
+    from saferoads.llm import vectors
+
+    rng = np.random.default_rng(5)
+    centers = rng.normal(0, 3, (12, 8))
+    rows = [(i, (centers[i % 12] + rng.normal(0, 0.05, 8)).astype("f4").tolist(), 0, "x", 1.5) for i in range(3000)]
+    df = spark.createDataFrame(rows, SCHEMA + ", score string, v double").repartition(2)
+    asked = F.col("vec_id") % 50 == 0
+    evaluated = spark.sparkContext.accumulator(0)
+    want = sorted(tuple(r) for r in top_k(df, asked, evaluated=evaluated).collect())
+    assert len(want) == 300 and evaluated.value < 0.5 * 60 * 2999
+    monkeypatch.setattr(vectors, "QUERY_BLOCK", 14)
+    assert sorted(tuple(r) for r in top_k(df, asked).collect()) == want
