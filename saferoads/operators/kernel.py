@@ -2,7 +2,8 @@
 
 For networks whose arcs have a checked size (`MOST_ARCS`): the arcs go to the workers as arrays and the queries are
 dealt out. Beyond that size the rounds of joins in expand.py, comptree.py and safevor.py do the same work.
-Keys are single integers: 24 bits for each level, the worst level highest, so that their order is the safety order.
+Keys are single integers: as many bits for each level as the length of any path needs, the worst level highest, so that
+their order is the safety order.
 """
 
 from __future__ import annotations
@@ -10,6 +11,7 @@ from __future__ import annotations
 import bisect
 import heapq
 from collections.abc import Iterable
+from dataclasses import dataclass
 from math import inf
 
 import numpy as np
@@ -18,23 +20,25 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from saferoads.operators.comptree import CompTree
-from saferoads.plans.runtime import small_enough
+from saferoads.plans.runtime import durable, small_enough
 from saferoads.sources.networks import Network
 
-MOST_ARCS, BITS = 5_000_000, 24
+MOST_ARCS, MOST_PATHS = 5_000_000, 3_000_000
 OUT = "qid bigint, rnk int, poi bigint, dist bigint, key array<bigint>, path array<bigint>, va bigint, popped bigint, pushed bigint, extra bigint, parts bigint, ms double"
 
 
 class Graph:
     """Arcs by start vertex, POIs, coordinates; and the parts of the indexes that a search asks for."""
 
-    def __init__(self, src, dst, length, ess, pois, smax, xy=None):
+    def __init__(self, src, dst, length, ess, pois, smax, xy=None, longest=0):
         vids = np.unique(np.concatenate([src, dst, pois]))
         self.vids, self.smax = vids, smax
+        # No path that repeats no arc is longer than all arcs, none under a bound longer than the bound.
+        self.bits = max(24, int(max(length.sum(), longest)).bit_length() + 1)
         order = np.argsort(src, kind="stable")
         s, d = np.searchsorted(vids, src[order]), np.searchsorted(vids, dst[order])
         first = np.searchsorted(s, np.arange(len(vids) + 1)).tolist()
-        rows = list(zip(d.tolist(), length[order].tolist(), ess[order].tolist(), [1 << BITS * (smax - e) for e in ess[order].tolist()], strict=True))
+        rows = list(zip(d.tolist(), length[order].tolist(), ess[order].tolist(), [1 << self.bits * (smax - e) for e in ess[order].tolist()], strict=True))
         self.out = [rows[a:b] for a, b in zip(first, first[1:], strict=False)]
         self.pois = set(np.searchsorted(vids, pois).tolist())
         self.worst_at = [min((r[2] for r in rs), default=smax + 1) for rs in self.out]
@@ -46,7 +50,13 @@ class Graph:
         return i if i < len(self.vids) and self.vids[i] == vid else None
 
     def vector(self, key):
-        return [key >> BITS * (self.smax - s) & (1 << BITS) - 1 for s in range(1, self.smax + 1)]
+        return [key >> self.bits * (self.smax - s) & (1 << self.bits) - 1 for s in range(1, self.smax + 1)]
+
+    def key_of(self, vector):
+        key = 0
+        for x in vector:
+            key = key << self.bits | x
+        return key
 
 
 def set_of(vids, memory={}):  # noqa: B006  one entry, for the arrays of one task
@@ -55,7 +65,7 @@ def set_of(vids, memory={}):  # noqa: B006  one entry, for the arrays of one tas
     return memory["set"]
 
 
-def expand_query(g: Graph, start, k, dc, rules, targets=None, known=None, most=3_000_000, drop_step=None):
+def expand_query(g: Graph, start, k, dc, rules, targets=None, known=None, drop_step=None):
     """Pops paths, the safest first, until k POIs (or all targets) are popped. Returns answers {poi: (key, dist, label)},
     the labels as (vertex, label before), and counts. known: (keys of answers known before, number asked for): with k
     of them, or of them and the targets found, paths beyond the last are out (Rule 7)."""
@@ -93,8 +103,8 @@ def expand_query(g: Graph, start, k, dc, rules, targets=None, known=None, most=3
             if drop_step is not None and drop_step(v, dist, w, ess):
                 continue
             pushed += 1
-            if pushed > most:
-                raise ValueError("too many paths; lower the bound or use Rule 2")
+            if not two and pushed > MOST_PATHS:
+                raise ValueError("too many paths without Rule 2; lower the bound")
             heapq.heappush(heap, (more, new, w, me))
     return found, labels, {"va": len({v for v, _ in labels}), "popped": popped, "pushed": pushed}
 
@@ -165,8 +175,8 @@ def comptree_query(g: Graph, start, k, dc, rules, literal=False):
                 elif (three or four) and vain(v, dist, ess, level):
                     continue
                 counts["pushed"] += 1
-                if counts["pushed"] > 3_000_000:
-                    raise ValueError("too many paths; lower the bound or use Rule 2")
+                if not two and counts["pushed"] > MOST_PATHS:
+                    raise ValueError("too many paths without Rule 2; lower the bound")
                 heapq.heappush(heap, (key + unit * length, new, w, me, 0, False))
         if at == 0:
             counts["va"] = len({x for x, _ in labels})
@@ -308,8 +318,8 @@ def attach_tree(g: Graph, pointers, borders):
     g.tree = (comp, n_pois, d_border, d_poi, poi_list)
 
 
-def attach_cells(g: Graph):
-    """Cells by one search from all POIs, ends of crossing edges, and safest ways inside the cells between them."""
+def assign_cells(g: Graph) -> dict:
+    """Every vertex with the POI of its safest path, by one search from all POIs; ties to the lesser POI."""
     heap, cell = [(0, p, p) for p in g.pois], {}
     heapq.heapify(heap)
     while heap:
@@ -320,90 +330,181 @@ def attach_cells(g: Graph):
         for w, length, _, unit in g.out[v]:
             if w not in cell:
                 heapq.heappush(heap, (key + unit * length, p, w))
-    local: dict = {p: [] for p in g.pois}
+    return cell
+
+
+def ways_in_cell(p, out: dict, ends: set):
+    """Inside the cell of p (out: its inner arcs (to, length, unit) by vertex; ends: vertices with an arc that leaves it):
+    safest ways between p and the ends that meet no other end, since the others are chains of these; every end's
+    safest way to p; and distances to another end and to p."""
+    goals = {*ends, p}
+    direct, home, d_border, d_poi = {}, {}, {}, {}
+    for b in goals:
+        heap, done, direct[b] = [(0, 0, b, False)], set(), []
+        while heap:
+            key, dist, v, through = heapq.heappop(heap)
+            if v in done:
+                continue
+            done.add(v)
+            if v in goals and v != b:
+                if not through:
+                    direct[b].append((v, key, dist))
+                if v == p:
+                    home[b] = (key, dist)
+                through = True
+            for w, length, unit in out.get(v, ()):
+                if w not in done:
+                    heapq.heappush(heap, (key + unit * length, dist + length, w, through))
+        if b not in ends:
+            continue
+        heap, done = [(0, b)], set()
+        while heap and (b not in d_border or b not in d_poi):
+            dist, v = heapq.heappop(heap)
+            if v in done:
+                continue
+            done.add(v)
+            if v == p:
+                d_poi.setdefault(b, dist)
+            if v in ends and v != b:
+                d_border.setdefault(b, dist)
+            for w, length, _ in out.get(v, ()):
+                if w not in done:
+                    heapq.heappush(heap, (dist + length, w))
+    return direct, home, d_border, d_poi
+
+
+def attach_cells(g: Graph):
+    """Cells and their tables, made on the spot."""
+    cell = assign_cells(g)
+    inner: dict = {p: {} for p in g.pois}
+    ends: dict = {p: set() for p in g.pois}
     for v, p in cell.items():
-        if any(cell.get(w) != p for w, *_ in g.out[v]):
-            local[p].append(v)
+        inner[p][v] = [(w, length, unit) for w, length, _, unit in g.out[v] if cell.get(w) == p]
+        if len(inner[p][v]) < len(g.out[v]):
+            ends[p].add(v)
     overlay, d_border, d_poi = {}, {}, {}
-    for p, ends in local.items():
-        goals = {*ends, p}
-        for b in ends:
-            heap, done, edges = [(0, 0, b)], set(), []
-            while heap:
-                key, dist, v = heapq.heappop(heap)
-                if v in done:
-                    continue
-                done.add(v)
-                if v in goals and v != b:
-                    edges.append((v, key, dist))
-                for w, length, _, unit in g.out[v]:
-                    if cell.get(w) == p and w not in done:
-                        heapq.heappush(heap, (key + unit * length, dist + length, w))
-            overlay[b] = edges
-            heap, done = [(0, b)], set()
-            while heap and (b not in d_border or b not in d_poi):
-                dist, v = heapq.heappop(heap)
-                if v in done:
-                    continue
-                done.add(v)
-                if v == p:
-                    d_poi.setdefault(b, dist)
-                if v in goals and v != b and v in set(ends):
-                    d_border.setdefault(b, dist)
-                for w, length, *_ in g.out[v]:
-                    if cell.get(w) == p and w not in done:
-                        heapq.heappush(heap, (dist + length, w))
-            d_border.setdefault(b, inf)
-        if p not in ends:
-            overlay[p] = []
-            # From the POI to the borders of its cell, for paths that go on beyond it.
-            heap, done = [(0, 0, p)], set()
-            while heap:
-                key, dist, v = heapq.heappop(heap)
-                if v in done:
-                    continue
-                done.add(v)
-                if v in goals and v != p:
-                    overlay[p].append((v, key, dist))
-                for w, length, _, unit in g.out[v]:
-                    if cell.get(w) == p and w not in done:
-                        heapq.heappush(heap, (key + unit * length, dist + length, w))
+    for p in g.pois:
+        direct, _, border, home = ways_in_cell(p, inner[p], ends[p])
+        overlay |= direct
+        d_border |= {b: border.get(b, inf) for b in ends[p]}
+        d_poi |= home
+    g.cells = (cell, {p: sorted(e) for p, e in ends.items()}, overlay, d_border, d_poi)
+
+
+def attach_cell_tables(g: Graph, cells, ways, ends):
+    """The same from the stored tables: cells (vid, cell), ways (b1, b2, sd, dist), ends (cell, b, d_border, d_poi) as lists."""
+    at = {int(v): i for i, v in enumerate(g.vids)}
+    cell = {at[v]: at[c] for v, c in zip(*cells, strict=True)}
+    local: dict = {p: [] for p in g.pois}
+    overlay: dict = {p: [] for p in g.pois}
+    d_border, d_poi = {}, {}
+    for c, b, near, home in zip(*ends, strict=True):
+        local[at[c]].append(at[b])
+        overlay.setdefault(at[b], [])
+        d_border[at[b]] = inf if near is None else near
+        if home is not None:
+            d_poi[at[b]] = home
+    for a, b, sd, dist in zip(*ways, strict=True):
+        overlay[at[a]].append((at[b], g.key_of(sd), dist))
     g.cells = (cell, local, overlay, d_border, d_poi)
 
 
-DEFAULT_RULES = {"knn": (), "expand": (1, 2), "comptree": (1, 2, 3, 4), "safevor": (1, 2, 5, 6, 7), "euclid": (1, 2)}
+@dataclass(frozen=True)
+class Cells:
+    """cells (vid, cell); ways (cell, b1, b2, sd, dist, direct): safest ways inside a cell, from its border ends to its POI
+    (b2 = cell) and the direct ones between all of them; ends (cell, b, d_border, d_poi)."""
 
+    cells: DataFrame
+    ways: DataFrame
+    ends: DataFrame
 
-def grouped_search(net: Network, queries: DataFrame, method: str, rules: Iterable[int] | None = None, tree: CompTree | None = None, literal: bool = False) -> DataFrame:
-    """One row for each answer with the counters of its query (rnk 0, poi null: a query without answers)."""
-    spark: SparkSession = queries.sparkSession
-    rules = frozenset(DEFAULT_RULES[method] if rules is None else rules)
+
+def build_cells_local(net: Network) -> Cells:
+    """The cell tables of a network of a checked size: one task assigns the vertices, then every cell is a group."""
+    spark = net.vertices.sparkSession
+    sent, smax = sent_network(net), net.smax
+
+    def assign(batches):
+        for batch in batches:
+            if batch.num_rows:
+                arrays, pois = sent.value
+                g = Graph(*arrays, pois, smax)
+                found = assign_cells(g)
+                yield pa.RecordBatch.from_arrays([pa.array(g.vids[list(found)]), pa.array(g.vids[list(found.values())])], ["vid", "cell"])
+
+    cells = durable(spark.range(1).coalesce(1).mapInArrow(assign, "vid bigint, cell bigint"))
+    of = lambda end, name: cells.withColumnsRenamed({"vid": end, "cell": name})
+    steps = net.arcs.select("src", "dst", "len", "ess").join(of("src", "cell"), "src").join(of("dst", "other"), "dst")
+    alone = cells.select("cell", F.col("vid").alias("src"), F.lit(None).cast("bigint").alias("dst"), F.lit(None).cast("bigint").alias("len"), F.lit(None).cast("int").alias("ess"), F.col("cell").alias("other"))
+    rows = steps.select("cell", "src", "dst", "len", "ess", "other").unionByName(alone)
+
+    def ways(table):
+        p, out, ends = table.column("cell")[0].as_py(), {}, set()
+        for v, w, length, e, other in zip(*(table.column(c).to_pylist() for c in ("src", "dst", "len", "ess", "other")), strict=True):
+            if w is not None and other == p:
+                out.setdefault(v, []).append((w, length, 1 << 64 * (smax - e)))
+            elif w is not None:
+                ends.add(v)
+        direct, home, d_border, d_poi = ways_in_cell(p, out, ends)
+        vector = lambda key: [key >> 64 * (smax - s) & (1 << 64) - 1 for s in range(1, smax + 1)]
+        found = [(p, a, b, vector(key), dist, True, None, None) for a, row in direct.items() for b, key, dist in row]
+        known = {(a, b) for _, a, b, *_ in found}
+        found += [(p, a, p, vector(key), dist, False, None, None) for a, (key, dist) in home.items() if (a, p) not in known]
+        found += [(p, a, None, None, None, None, d_border.get(a), d_poi.get(a)) for a in ends]
+        return pa.Table.from_pylist([dict(zip(WAYS.names, row, strict=True)) for row in found], schema=WAYS)
+
+    told = durable(rows.groupBy("cell").applyInArrow(ways, "cell bigint, b1 bigint, b2 bigint, sd array<bigint>, dist bigint, direct boolean, d_border bigint, d_poi bigint"))
+    inside = told.where("b2 is not null").select("cell", "b1", "b2", "sd", "dist", "direct")
+    return Cells(cells, inside, told.where("b2 is null").select("cell", F.col("b1").alias("b"), "d_border", "d_poi"))
+
+
+WAYS = pa.schema([("cell", pa.int64()), ("b1", pa.int64()), ("b2", pa.int64()), ("sd", pa.list_(pa.int64())), ("dist", pa.int64()), ("direct", pa.bool_()), ("d_border", pa.int64()), ("d_poi", pa.int64())])
+
+
+def sent_network(net: Network):
+    """A broadcast of arcs and POIs, of at most MOST_ARCS arcs."""
     if not small_enough(net.edges, MOST_ARCS // 2):
         raise ValueError("the network is too large for this engine; use the search by rounds")
     arcs = net.arcs.select("src", "dst", "len", "ess").toArrow()
-    arrays = [arcs.column(c).to_numpy() for c in ("src", "dst", "len", "ess")]
     pois = np.sort(net.pois.toArrow().column("poi").to_numpy())
+    return net.vertices.sparkSession.sparkContext.broadcast(([arcs.column(c).to_numpy() for c in ("src", "dst", "len", "ess")], pois))
+
+
+DEFAULT_RULES = {"knn": (), "expand": (1, 2), "comptree": (1, 2, 3, 4), "safevor": (1, 2, 5, 6, 7), "euclid": (1, 2)}
+
+
+def grouped_search(net: Network, queries: DataFrame, method: str, rules: Iterable[int] | None = None, tree: CompTree | None = None, literal: bool = False, cells: Cells | None = None) -> DataFrame:
+    """One row for each answer with the counters of its query (rnk 0, poi null: a query without answers). The indexes are
+    read, not made: tree for comptree, cells for safevor (built first where none are given)."""
+    spark: SparkSession = queries.sparkSession
+    rules = frozenset(DEFAULT_RULES[method] if rules is None else rules)
+    network = sent_network(net)
     xy = net.vertices.select("vid", "x", "y").toArrow() if method == "euclid" else None
     xy = None if xy is None else list(zip(*(xy.column(c).to_pylist() for c in ("vid", "x", "y")), strict=True))
     index = None
     if method == "comptree":
         p, b = tree.pointers.toArrow(), tree.borders.toArrow()
         index = ([p.column(c).to_pylist() for c in ("vid", "lvl", "comp")], [b.column(c).to_pylist() for c in ("lvl", "vid", "d_border", "d_poi")])
-    sent = spark.sparkContext.broadcast((arrays, pois, net.smax, xy, index))  # at most MOST_ARCS arcs
+    if method == "safevor":
+        cells = cells or build_cells_local(net)
+        c, w, e = cells.cells.toArrow(), cells.ways.where("direct").toArrow(), cells.ends.toArrow()
+        index = tuple([t.column(x).to_pylist() for x in names] for t, names in ((c, ("vid", "cell")), (w, ("b1", "b2", "sd", "dist")), (e, ("cell", "b", "d_border", "d_poi"))))
+    longest = queries.agg(F.max("dc")).first()[0] or 0
+    sent = spark.sparkContext.broadcast((net.smax, xy, index, int(min(longest, 1 << 60))))  # tables of a network of at most MOST_ARCS arcs
     n = max(1, min(queries.count(), spark.sparkContext.defaultParallelism))
 
     def run(batches):
         import time
 
-        (src, dst, length, ess), pois, smax, xy, index = sent.value
+        (arrays, pois), (smax, xy, index, longest) = network.value, sent.value
         g = None
         for batch in batches:
             if g is None:
-                g = Graph(src, dst, length, ess, pois, smax, xy)
+                g = Graph(*arrays, pois, smax, xy, longest)
                 if method == "comptree":
                     attach_tree(g, *index)
                 if method == "safevor":
-                    attach_cells(g)
+                    attach_cell_tables(g, *index)
             out = []
             for qid, v, k, dc in zip(*(batch.column(c).to_pylist() for c in ("qid", "src", "k", "dc")), strict=True):
                 began, start = time.perf_counter(), g.index_of(v)
