@@ -6,6 +6,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
+def of_kinds(incidents: DataFrame, kinds: tuple[str, ...] | None, column: str = "kind") -> DataFrame:
+    """Incidents of the listed kinds; all of them where no kinds are given."""
+    return incidents if kinds is None else incidents.where(F.col(column).isin(*kinds))
+
+
 def crime_counts(edges: DataFrame, incidents: DataFrame, radius: int, cell: int | None = None) -> DataFrame:
     """edges (eid, xu, yu, xw, yw, ...) with n: incidents (x, y) within radius of the segment.
 

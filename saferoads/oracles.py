@@ -116,20 +116,30 @@ db AS (SELECT w.lvl, w.source AS vid, min(w.dist) AS d FROM walk w JOIN bord b O
 dp AS (SELECT w.lvl, w.source AS vid, min(w.dist) AS d FROM walk w JOIN pois ON poi = w.vid GROUP BY ALL)
 SELECT b.lvl, b.comp, b.vid, db.d AS d_border, dp.d AS d_poi FROM bord b LEFT JOIN db ON db.lvl = b.lvl AND db.vid = b.vid LEFT JOIN dp ON dp.lvl = b.lvl AND dp.vid = b.vid"""
 
-# The bound of each query comes from its own nearest POIs.
-EFFECT = f"""WITH RECURSIVE {net()}, {NEAREST},
-far AS (SELECT qid, 1.5 * max(dist) AS dc FROM knn GROUP BY qid),
-lab AS (
-  SELECT q.qid, src AS vid, dc, {zeros(SMAX)} AS sd, CAST(0 AS BIGINT) AS dist FROM q JOIN far USING (qid)
+# The bound of each query comes from its own nearest POIs; the nearest paths are the safest among the shortest.
+def effect(delta: float) -> str:
+    def grown(name: str) -> str:
+        return f"""(SELECT q.qid, src AS vid, dc, {zeros(SMAX)} AS sd, CAST(0 AS BIGINT) AS dist FROM q JOIN far USING (qid)
   UNION ALL
   SELECT qid, vid, dc, sd, dist FROM (
     SELECT *, min(dist) OVER (PARTITION BY qid, vid ORDER BY sd, dist ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS least
-    FROM (SELECT l.qid, a.dst AS vid, l.dc, {added('l.sd', SMAX)} AS sd, l.dist + a.len AS dist FROM lab l JOIN arcs a ON a.src = l.vid WHERE l.dist + a.len < l.dc)
-  ) WHERE least IS NULL OR dist < least
-), {top()},
-per AS (SELECT qid, count(*) FILTER (a.poi IS NOT NULL AND n.poi IS NOT NULL) AS common, max(CASE WHEN a.rnk = 1 AND n.poi IS NOT NULL THEN 1 ELSE 0 END) AS top, avg(a.dist) AS ds, avg(n.dist) AS dn
-  FROM ans a FULL JOIN (SELECT * FROM knn WHERE qid IN (SELECT qid FROM ans)) n USING (qid, poi) GROUP BY qid)
-SELECT round(avg(common), 6) AS common, round(avg(top), 6) AS p_safest_in_knn, round(avg(dn), 6) AS length_knn, round(avg(ds), 6) AS length_safest, round(avg(ds) / avg(dn), 6) AS length_ratio FROM per"""
+    FROM (SELECT l.qid, a.dst AS vid, l.dc, {added('l.sd', SMAX)} AS sd, l.dist + a.len AS dist FROM {name} l JOIN arcs a ON a.src = l.vid WHERE l.dist + a.len < l.dc)
+  ) WHERE least IS NULL OR dist < least)"""
+
+    cost = "CASE WHEN list_sum({0}) > 0 THEN 1 / list_reduce(CAST({0} AS DOUBLE[]), lambda s, x: s * 1000 + x) END"
+    return f"""WITH RECURSIVE {net()}, {NEAREST},
+far AS (SELECT qid, {delta} * max(dist) AS dc FROM knn GROUP BY qid),
+lab AS {grown('lab')}, {top()},
+far1 AS (SELECT qid, max(dist) + 1 AS dc FROM knn GROUP BY qid),
+lab1 AS {grown('lab1').replace('JOIN far USING', 'JOIN far1 USING')},
+shortest AS (SELECT k.qid, k.rnk, k.poi, k.dist, min(l.sd) AS sd FROM knn k JOIN lab1 l ON l.qid = k.qid AND l.vid = k.poi AND l.dist = k.dist WHERE k.qid IN (SELECT qid FROM ans) GROUP BY ALL),
+per AS (SELECT qid, count(*) FILTER (a.poi IS NOT NULL AND n.poi IS NOT NULL) AS common, max(CASE WHEN a.rnk = 1 AND n.poi IS NOT NULL THEN 1 ELSE 0 END) AS top, avg(a.dist) AS ds, avg(n.dist) AS dn, avg({cost.format('a.sd')}) AS ps, avg({cost.format('n.sd')}) AS pn
+  FROM ans a FULL JOIN shortest n USING (qid, poi) GROUP BY qid)
+SELECT CAST({delta} AS DOUBLE) AS delta, round(avg(common), 6) AS common, round(avg(top), 6) AS p_safest_in_knn, round(avg(dn), 6) AS length_knn, round(avg(ds), 6) AS length_safest, round(avg(ds) / avg(dn), 6) AS length_ratio,
+  round(log10(avg(pn)), 6) AS log_pss_knn, round(log10(avg(ps)), 6) AS log_pss_safest, round(log10(avg(ps) / avg(pn)), 6) AS log_pss_ratio FROM per"""
+
+
+EFFECT = " UNION ALL ".join(f"({effect(d)})" for d in (1.25, 1.5, 1.75, 2.0))
 
 DAYNIGHT = """WITH z AS (SELECT count(*) AS n, CAST(floor(sqrt(count(*))) AS BIGINT) AS w FROM part),
 v AS (SELECT p_partkey AS vid, p_size FROM part),
@@ -142,6 +152,15 @@ c AS (SELECT eid, coalesce(x.d, 0) + coalesce(y.d, 0) AS d, coalesce(x.g, 0) + c
 m AS (SELECT min(d) AS d0, max(d) AS d1, min(g) AS g0, max(g) AS g1 FROM c)
 SELECT eid, CAST(5 - (d - d0) * 5 // (d1 - d0 + 1) AS INTEGER) AS day, CAST(5 - (g - g0) * 5 // (g1 - g0 + 1) AS INTEGER) AS night FROM c, m"""
 
+DAY_EDGES = DAYNIGHT.removeprefix("WITH ").replace("a.vid AS u, b.vid AS w FROM v a JOIN", "a.vid AS u, b.vid AS w, 10 + (a.p_size + 3 * b.p_size) % 11 AS len FROM v a JOIN").replace("a.vid, b.vid FROM v a CROSS", "a.vid, b.vid, 10 + (a.p_size + 7 * b.p_size) % 11 FROM v a CROSS")
+DAY_EDGES = DAY_EDGES[: DAY_EDGES.index("SELECT eid, CAST(5")] + ", levels AS (" + DAY_EDGES[DAY_EDGES.index("SELECT eid, CAST(5") :] + ")"
+
+
+def daytime(key: str) -> str:
+    edges = f"edges AS (SELECT eid, u, w, CAST(len AS BIGINT) AS len, {key} AS ess FROM e JOIN levels USING (eid))"
+    return f"(WITH RECURSIVE {DAY_EDGES}, {edges}, {rest()}, {labels(5)}, {top()} SELECT '{key}' AS daytime, qid, rnk, poi, dist, array_to_string(sd, ',') AS sd FROM ans)"
+
+
 TRADE = """t AS (SELECT o_custkey * 2 AS a, l_suppkey * 2 + 1 AS b, count(*) AS n, count(*) FILTER (l_returnflag = 'R') AS back FROM lineitem JOIN orders ON o_orderkey = l_orderkey GROUP BY ALL),
 edges AS (SELECT least(a, b) AS u, greatest(a, b) AS w, 1 + n % 5 AS len, CAST(5 - back * 4 // n AS INTEGER) AS ess FROM t)"""
 
@@ -165,7 +184,7 @@ SQL: dict[str, str] = {
     "safest_expand": safest(),
     "safest_expand_clustered": safest(clustered=True),
     "safest_expand_smax5": safest(5, 80.0, 1),
-    "safest_brute": safest(dc=40.0, few=20),
+    "safest_brute": safest(dc=40.0),
     "safest_euclid": safest(),
     "safest_comptree": safest(),
     "safest_comptree_height5": safest(),
@@ -200,4 +219,13 @@ SQL: dict[str, str] = {
     "incident_cube": "SELECT event_type, part, count(*) AS n, CAST(grouping_id(event_type, part) AS INTEGER) AS grp FROM (SELECT event_type, CASE WHEN hour(ts) BETWEEN 6 AND 17 THEN 'day' ELSE 'night' END AS part FROM events) GROUP BY CUBE (event_type, part)",
     "answers_setops": f"WITH RECURSIVE {net()}, {labels()}, {top()}, {NEAREST_DC} SELECT coalesce(a.qid, n.qid) AS qid, coalesce(a.poi, n.poi) AS poi, CASE WHEN n.poi IS NULL THEN 'safest' WHEN a.poi IS NULL THEN 'nearest' ELSE 'both' END AS side FROM ans a FULL JOIN knn n ON a.qid = n.qid AND a.poi = n.poi",
 }
+SQL["daynight_safest"] = daytime("day") + " UNION ALL " + daytime("night")
+SQL["weight_choice_safest"] = safest().replace("CAST(len AS BIGINT) AS len, CAST", "CAST(ceil(len * 6.0 / (CAST(11 - (1 + (n - lo) * 10 // (hi - lo + 1)) AS INTEGER) + 2)) AS BIGINT) AS len, CAST")
+SQL["incidents_of_kinds"] = "SELECT event_id * 611953 % 500 AS eid, count(*) AS n FROM events WHERE event_type IN ('error', 'signup') GROUP BY ALL"
+SQL["cells_kernel"] = f"WITH RECURSIVE {net()}, {USN} SELECT vid, cell FROM usn"
+SQL["cell_poi_paths"] = f"WITH RECURSIVE {net()}, {USN}, {BORDERS} SELECT cell, vid AS b1, CAST(list_sum(sd) AS BIGINT) AS dist, array_to_string(sd, ',') AS sd FROM usn WHERE vid <> cell AND vid IN (SELECT u FROM b UNION SELECT w FROM b)"
+SETS = {"expand": ("1", "1,2"), "comptree": ("1", "1,2", "1,3", "1,4", "1,2,3,4"), "safevor": ("1", "1,2", "1,5,6", "1,7", "1,2,5,6,7")}
+SQL["ablation_answers"] = f"WITH RECURSIVE {net()}, {labels()}, {top()}, t AS (SELECT count(*) AS answers, CAST(sum(dist) AS BIGINT) AS length, CAST(sum(rnk * poi) AS BIGINT) AS ranks FROM ans) SELECT * FROM (VALUES {', '.join(f"('{m}', '{r}')" for m, rs in SETS.items() for r in rs)}) s(method, rules), t"
+SQL["stream_window_counts"] = SQL["ess_weekly_windows"]
+SQL["stream_level_changes"] = "SELECT eid, ess FROM (SELECT event_id * 611953 % 500 AS eid, CAST(greatest(1, 10 - count(*) // 2) AS INTEGER) AS ess FROM events WHERE event_type = 'error' GROUP BY ALL) WHERE ess < 10"
 SQL["knn_kernel"], SQL["border_distance_local"], SQL["comptree_nodes_local"] = SQL["knn_topk"], SQL["border_distance"], SQL["comptree_nodes"]

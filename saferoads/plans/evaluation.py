@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+import uuid
 from collections.abc import Iterable
 
 from pyspark.sql import DataFrame
@@ -12,9 +13,10 @@ from saferoads.functions.safety import LexSafety as LEX
 from saferoads.functions.safety import pss
 from saferoads.operators.comptree import CompTree, build_comptree
 from saferoads.operators.expand import fixpoint, knn, seed_labels, set_dc
-from saferoads.operators.kernel import grouped_search
+from saferoads.operators.kernel import build_cells_local, grouped_search
 from saferoads.operators.safevor import SafeVor, build_safevor
-from saferoads.plans.runtime import durable
+from saferoads.operators.update import save_index
+from saferoads.plans.runtime import bytes_of, durable, forget, shared_dir
 from saferoads.sources.networks import Network, sample_queries
 
 #: Rule sets of the ablation, by method.
@@ -31,8 +33,9 @@ def counters(found: DataFrame, method: str, rules: Iterable[int]) -> DataFrame:
 def ablation(net: Network, queries: DataFrame, tree: CompTree, methods: Iterable[str] = ("expand", "comptree", "safevor"), sets: dict | None = None) -> DataFrame:
     """method, rules, means, and each mean's share of the first rule set of the method."""
     out = None
+    cells = build_cells_local(net) if "safevor" in methods else None
     for method in methods:
-        rows = [counters(grouped_search(net, queries, method, rules, tree), method, rules) for rules in (sets or ABLATION)[method]]
+        rows = [counters(durable(grouped_search(net, queries, method, rules, tree, cells=cells)), method, rules) for rules in (sets or ABLATION)[method]]
         base = rows[0].select(*(F.col(c).alias(f"basic_{c}") for c in ("ms", "va", "pushed")))
         for r in rows:
             shared = r.withColumn("j", F.lit(1)).join(base.withColumn("j", F.lit(1)), "j").drop("j")
@@ -72,12 +75,16 @@ def border_share(index: CompTree | SafeVor, n: int) -> float:
 
 
 def index_stats(net: Network, which: str, reach: float | None = None) -> dict:
-    """Build time, rows and share of border vertices of one index."""
+    """Build time, rows, bytes as Parquet (lists included) and share of border vertices of one index."""
     began = time.perf_counter()
     index = build_comptree(net, reach=reach) if which == "comptree" else build_safevor(net, reach=reach)
     seconds = time.perf_counter() - began
-    tables = (index.pointers, index.nodes, index.borders) if which == "comptree" else (index.cells, index.borders, index.adjacency, index.border_distances)
-    return {"index": which, "seconds": seconds, "rows": sum(t.count() for t in tables), "border_share": border_share(index, net.vertices.count())}
+    spark = net.vertices.sparkSession
+    path = f"{shared_dir(spark)}/saferoads-size-{uuid.uuid4().hex}"
+    save_index(index, path)
+    rows, size = sum(t.count() for t in vars(index).values() if isinstance(t, DataFrame)), bytes_of(spark, path)
+    forget(spark, path)
+    return {"index": which, "seconds": seconds, "rows": rows, "bytes": size, "border_share": border_share(index, net.vertices.count())}
 
 
 def default_queries(net: Network, k: int, delta: float, n: int = 100, local: bool = False) -> DataFrame:

@@ -54,6 +54,33 @@ def forget(spark: SparkSession, path: str) -> None:
     target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
 
 
+def _folder(spark: SparkSession, path: str):
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return target, target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+
+def names_in(spark: SparkSession, path: str) -> list[str]:
+    """Names of what lies in a folder of any file system that Spark reads; empty if there is none."""
+    target, files = _folder(spark, path)
+    return [x.getPath().getName() for x in files.listStatus(target)] if files.exists(target) else []
+
+
+def exists(spark: SparkSession, path: str) -> bool:
+    target, files = _folder(spark, path)
+    return files.exists(target)
+
+
+def mark(spark: SparkSession, path: str) -> None:
+    """An empty file, made at once."""
+    target, files = _folder(spark, path)
+    files.create(target, True).close()
+
+
+def bytes_of(spark: SparkSession, path: str) -> int:
+    target, files = _folder(spark, path)
+    return files.getContentSummary(target).getLength()
+
+
 @atexit.register
 def _clean() -> None:
     for spark, path in _written:

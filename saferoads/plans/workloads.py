@@ -50,30 +50,18 @@ def effectiveness_by_delta(spark: SparkSession, sf_dir: str, n: int = 100, base:
     for delta in SWEEPS["delta"]:
         net, queries, tree = setting(spark, sf_dir, n=n, **(fixed | {"delta": delta}))
         safest = durable(grouped_search(net, queries, "comptree", tree=tree).where("rnk > 0").select("qid", "rnk", "poi", "dist", "key"))
-        nearest = grouped_search(net, queries, "knn").where("rnk > 0")
-        known = nearest.select("qid", "rnk", "poi", "dist", evaluation_key(nearest, net).alias("key"))
-        row = evaluation.effectiveness(safest, known, net.smax, base).withColumn("delta", F.lit(delta))
+        nearest = durable(grouped_search(net, queries, "knn").where("rnk > 0"))
+        row = evaluation.effectiveness(safest, path_keys(nearest, net), net.smax, base).withColumn("delta", F.lit(delta))
         out = row if out is None else out.unionAll(row)
     return out
 
 
-def evaluation_key(nearest: DataFrame, net: Network):
-    """s-vector of a nearest path by a lookup of its edges, as a column."""
-    rows = net.arcs.select("src", "dst", "len", "ess").collect() if net.edges.count() <= 200_000 else None
-    if rows is None:
-        raise ValueError("use evaluation.nearest_paths for networks of this size")
-    known = {(r["src"], r["dst"]): (r["len"], r["ess"]) for r in rows}
-    smax = net.smax
-
-    @F.udf("array<bigint>")
-    def vector(path):
-        out = [0] * smax
-        for a, b in zip(path, path[1:], strict=False):
-            length, ess = known[a, b]
-            out[ess - 1] += length
-        return out
-
-    return vector("path")
+def path_keys(found: DataFrame, net: Network) -> DataFrame:
+    """found (qid, rnk, path, ...) with key, the s-vector of the path, by a join of its edges."""
+    steps = found.select("qid", "rnk", F.explode(F.transform(F.sequence(F.lit(1), F.size("path")), lambda i: F.struct(F.get("path", i - 1).alias("src"), F.get("path", i).alias("dst")))).alias("s"))
+    by_level = [F.coalesce(F.sum(F.when(F.col("ess") == s, F.col("len"))), F.lit(0)).cast("bigint") for s in range(1, net.smax + 1)]
+    keys = steps.select("qid", "rnk", "s.*").join(net.arcs, ["src", "dst"], "left").groupBy("qid", "rnk").agg(F.array(*by_level).alias("key"))
+    return found.drop("key").join(keys, ["qid", "rnk"])
 
 
 def index_sweep(spark: SparkSession, sf_dir: str, which: str, varies: str, values: Iterable, reach: float = 60.0) -> DataFrame:

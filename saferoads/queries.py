@@ -3,15 +3,16 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from saferoads.functions import safety
-from saferoads.operators import comptree, ess, expand, safevor
-from saferoads.operators.kernel import grouped_search
-from saferoads.plans import evaluation
-from saferoads.plans.runtime import durable, read_table
+from saferoads.operators import comptree, ess, expand, safevor, topk
+from saferoads.operators.kernel import build_cells_local, grouped_search
+from saferoads.plans import evaluation, workloads
+from saferoads.plans.runtime import durable, forget, read_table, shared_dir
 from saferoads.sources import networks
 
 K, DC, RHO, SMAX = 5, 60.0, 0.1, 10
@@ -83,10 +84,16 @@ def s_distance_paths(spark, sf_dir):
 
 
 def pss_paths(spark, sf_dir):
-    """Rank of the sample paths by safety, with the exact weighted length at base 1000 over five levels."""
+    """Rank of the sample paths by safety, with the exact weighted length at base 1000 over five levels.
+
+    Paths are ranked within ranges of the order; a range's first rank follows from the sizes of those before."""
     paths = _sample_paths(spark, sf_dir).withColumn("ess", F.least(F.col("ess"), F.lit(5)))
-    v = safety.s_vector(paths, 5)
-    return v.select("path_id", safety.exact_cost("sd", 1000, 5).cast("bigint").alias("cost"), F.rank().over(Window.orderBy("sd")).alias("rnk"))
+    v = durable(safety.s_vector(paths, 5))
+    sizes = v.groupBy(F.col("sd")[0].alias("first")).agg(F.count("*").alias("n"))
+    earlier = sizes.alias("a").join(sizes.alias("b"), F.col("b.first") < F.col("a.first"), "left").groupBy("a.first").agg(F.coalesce(F.sum("b.n"), F.lit(0)).alias("before"))
+    within = F.rank().over(Window.partitionBy(F.col("sd")[0]).orderBy("sd"))
+    ranked = v.withColumn("within", within).join(F.broadcast(earlier), v["sd"][0] == F.col("first"))  # as many rows as a path's length has values
+    return ranked.select("path_id", safety.exact_cost("sd", 1000, 5).cast("bigint").alias("cost"), (F.col("before") + F.col("within")).cast("int").alias("rnk"))
 
 
 def safest_expand(spark, sf_dir):
@@ -105,8 +112,9 @@ def safest_expand_smax5(spark, sf_dir):
 
 
 def safest_brute(spark, sf_dir):
+    """All simple paths of all queries, under a bound of 40."""
     net = net_p(spark, sf_dir)
-    return shown(expand.brute_force(net, asked(net, K, 40.0, 20)))
+    return shown(expand.brute_force(net, asked(net, K, 40.0)))
 
 
 def safest_euclid(spark, sf_dir):
@@ -219,13 +227,120 @@ def cell_sizes(spark, sf_dir):
 
 
 def effectiveness(spark, sf_dir):
+    """Common POIs, lengths and mean scores (logarithms, at base 1000) of the safest and the nearest answers, by delta."""
     net = net_p(spark, sf_dir)
     q = asked(net)
     nearest = durable(expand.knn(net, q, K))
-    bounded = durable(expand.set_dc(q, nearest, 1.5).drop("few"))
-    safest = expand.expand(net, bounded)
-    row = evaluation.effectiveness(safest, nearest.join(safest.select("qid").distinct(), "qid", "left_semi").withColumn("key", safety.zeros(SMAX)), SMAX, 1000.0)
-    return row.select(F.round("common", 6).alias("common"), F.round("p_safest_in_knn", 6).alias("p_safest_in_knn"), F.round("length_knn", 6).alias("length_knn"), F.round("length_safest", 6).alias("length_safest"), F.round("length_ratio", 6).alias("length_ratio"))
+    known = durable(evaluation.nearest_paths(net, q, nearest))
+    out = None
+    for delta in workloads.SWEEPS["delta"]:
+        bounded = durable(expand.set_dc(q, nearest, delta).drop("few"))
+        safest = durable(topk.safest_topk(net, bounded, "expand"))
+        row = evaluation.effectiveness(safest, known.join(safest.select("qid").distinct(), "qid", "left_semi"), SMAX, 1000.0)
+        measures = [F.round(c, 6).alias(c) for c in ("common", "p_safest_in_knn", "length_knn", "length_safest", "length_ratio")]
+        scores = [F.round(F.log10(c), 6).alias(f"log_{c}") for c in ("pss_knn", "pss_safest", "pss_ratio")]
+        row = row.select(F.lit(delta).alias("delta"), *measures, *scores)
+        out = row if out is None else out.unionAll(row)
+    return out
+
+
+def weight_choice_safest(spark, sf_dir):
+    """Another weight of the roads: minutes at a speed that the level sets, rounded up."""
+    net = net_p(spark, sf_dir).with_weight(F.ceil(F.col("len") * 6 / (F.col("ess") + 2)))
+    return shown(expand.expand(net, asked(net)))
+
+
+def daynight_safest(spark, sf_dir):
+    """Answers by the levels of the daytime that the query names."""
+    net = networks.daytime_network(spark, sf_dir)
+    net = networks.Network(durable(net.vertices), durable(net.edges), durable(net.pois), net.smax)
+    found = [shown(topk.safest_topk(net.for_key(key), asked(net), "expand")).select(F.lit(key).alias("daytime"), "*") for key in ("day", "night")]
+    return found[0].unionAll(found[1])
+
+
+def incidents_of_kinds(spark, sf_dir):
+    """Events of two kinds for each edge number of the streams."""
+    events = ess.of_kinds(read_table(spark, sf_dir, "events"), ("error", "signup"), "event_type")
+    return events.groupBy((F.col("event_id") * 611953 % 500).alias("eid")).agg(F.count("*").alias("n"))
+
+
+def cell_poi_paths(spark, sf_dir):
+    """Stored safest ways inside the cells from their border ends to their POIs."""
+    ways = build_cells_local(net_p(spark, sf_dir)).ways.where("b2 = cell and b1 <> cell")
+    return ways.select("cell", "b1", "dist", F.array_join("sd", ",").alias("sd"))
+
+
+def cell_ways(spark, sf_dir):
+    """All stored ways inside the cells, border to border too, as counts and lengths by cell."""
+    ways = build_cells_local(net_p(spark, sf_dir)).ways.where("direct")
+    return ways.groupBy("cell").agg(F.count("*").alias("ways"), F.sum("dist").alias("length"))
+
+
+def cells_kernel(spark, sf_dir):
+    return build_cells_local(net_p(spark, sf_dir)).cells
+
+
+def ablation_answers(spark, sf_dir):
+    """Every rule set of every method over all queries: number of answers, their lengths and ranks. All sets agree."""
+    net = net_p(spark, sf_dir)
+    q, tree, cells = asked(net), comptree.build_comptree_local(net, reach=DC), build_cells_local(net)
+    out = None
+    for method, sets in evaluation.ABLATION.items():
+        for rules in sets:
+            found = grouped_search(net, q, method, rules, tree, cells=cells).where("rnk > 0")
+            row = found.agg(F.count("*").alias("answers"), F.sum("dist").cast("bigint").alias("length"), F.sum(F.col("rnk") * F.col("poi")).cast("bigint").alias("ranks"))
+            row = durable(row.select(F.lit(method).alias("method"), F.lit(",".join(map(str, rules))).alias("rules"), "*"))
+            out = row if out is None else out.unionAll(row)
+    return out
+
+
+def _sweep(varies):
+    def query(spark, sf_dir):
+        return workloads.sweep(spark, sf_dir, varies)
+
+    query.__name__ = f"sweep_{varies}"
+    return query
+
+
+def sweep_network(spark, sf_dir):
+    """The defaults on the network with incidents in clusters."""
+    return workloads.sweep(spark, sf_dir, "k", (10,), clustered=True)
+
+
+def index_comparison(spark, sf_dir):
+    """Build time, rows, bytes and border share of both indexes at the defaults."""
+    return workloads.index_sweep(spark, sf_dir, "comptree", "rho", (0.01,)).withColumn("index", F.lit("comptree")).unionByName(workloads.index_sweep(spark, sf_dir, "safevor", "rho", (0.01,)))
+
+
+def stream_window_counts(spark, sf_dir):
+    """Incidents of every edge and week, by the stream; what the batch form counts."""
+    from saferoads.streaming import incidents
+
+    arriving = incidents.incident_stream(spark, sf_dir, delay="40 days", pattern="events.parquet")
+    weekly = arriving.groupBy(F.window("ts", "7 days", startTime="4 days").alias("w"), "eid").agg(F.count("*").alias("n"))
+    return _streamed(spark, weekly.select(F.to_date("w.start").cast("string").alias("week"), "eid", "n"), "complete")
+
+
+def stream_level_changes(spark, sf_dir):
+    """The last level of every edge whose incidents moved it, by the stream with state."""
+    from saferoads.streaming import incidents
+
+    arriving = incidents.incident_stream(spark, sf_dir, delay="40 days", pattern="events.parquet")
+    moved = _streamed(spark, incidents.level_changes(arriving, 10, 2), "update")
+    return moved.groupBy("eid").agg(F.max_by("ess", "n").alias("ess"))
+
+
+def _streamed(spark, frame, mode):
+    """Rows of a finished stream over the files that are there."""
+    import uuid
+
+    root, parts = f"{shared_dir(spark)}/saferoads-stream-{uuid.uuid4().hex}", []
+    started = frame.writeStream.foreachBatch(lambda df, _: parts.append(durable(df))).outputMode(mode).option("checkpointLocation", root).trigger(availableNow=True).start()
+    started.awaitTermination()
+    forget(spark, root)
+    if not parts:
+        return spark.createDataFrame([], frame.schema)
+    return parts[-1] if mode == "complete" else reduce(DataFrame.unionAll, parts)
 
 
 def zone_safest(spark, sf_dir):
@@ -314,10 +429,10 @@ def comptree_nodes_local(spark, sf_dir):
 
 def ablation(spark, sf_dir):
     net = net_p(spark, sf_dir)
-    return evaluation.ablation(net, asked(net, n=20), comptree.build_comptree_local(net, reach=DC), sets={"expand": [(1, 2)], "comptree": [(1, 2), (1, 2, 3), (1, 2, 4), (1, 2, 3, 4)], "safevor": [(1, 2), (1, 2, 5, 6), (1, 2, 7), (1, 2, 5, 6, 7)]})
+    return evaluation.ablation(net, asked(net), comptree.build_comptree_local(net, reach=DC))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
-    for f in (edges_lattice, incidents_per_edge, incidents_clustered, ess_histogram, poi_sample, level_weights, s_vector_paths, s_distance_paths, pss_paths, safest_expand, safest_expand_clustered, safest_expand_smax5, safest_brute, safest_euclid, safest_comptree, safest_comptree_height5, safest_safevor, safest_pairs, safest_frontier, euclid_candidates, knn_topk, dc_by_delta, comptree_pointers, comptree_nodes, comptree_borders, border_distance, usn_assignment, cell_borders, cell_adjacency, cell_sizes, effectiveness, zone_safest, min_ess_safest, product_ess_safest, daynight_ess, trade_edges, trade_components, proximity_edges, ess_asof, ess_weekly_windows, incident_cube, answers_setops, knn_kernel, border_distance_local, comptree_nodes_local, ablation)
+    for f in (edges_lattice, incidents_per_edge, incidents_clustered, ess_histogram, poi_sample, level_weights, s_vector_paths, s_distance_paths, pss_paths, safest_expand, safest_expand_clustered, safest_expand_smax5, safest_brute, safest_euclid, safest_comptree, safest_comptree_height5, safest_safevor, safest_pairs, safest_frontier, euclid_candidates, knn_topk, dc_by_delta, comptree_pointers, comptree_nodes, comptree_borders, border_distance, usn_assignment, cell_borders, cell_adjacency, cell_sizes, effectiveness, zone_safest, min_ess_safest, product_ess_safest, daynight_ess, trade_edges, trade_components, proximity_edges, ess_asof, ess_weekly_windows, incident_cube, answers_setops, knn_kernel, border_distance_local, comptree_nodes_local, ablation, ablation_answers, weight_choice_safest, daynight_safest, incidents_of_kinds, cell_poi_paths, cell_ways, cells_kernel, index_comparison, sweep_network, stream_window_counts, stream_level_changes, *map(_sweep, workloads.SWEEPS))
 } | {f"kernel_{m}": _kernel(m) for m in ("expand", "comptree", "safevor", "euclid")}

@@ -44,9 +44,17 @@ def scale_weights(edges: DataFrame) -> DataFrame:
     return edges.withColumn("len", F.ceil(F.col("len") / F.lit(least)).cast("bigint")) if least else edges
 
 
-def _sample(vertices: DataFrame, multiplier: int, shift: int, n: int) -> DataFrame:
-    order = (F.col("vid") * multiplier + shift) % SAMPLE_MODULUS
-    return vertices.select("vid", order.alias("o")).orderBy("o", "vid").limit(n)
+def _sample(vertices: DataFrame, multiplier: int, shift: int, n: int, bands: int = 1000) -> DataFrame:
+    """The n vertices least in a hash order. Counts of `bands` ranges of the order tell the range that holds the n-th; only
+    that one is sorted, all before it are taken as they are."""
+    rows = vertices.select("vid", ((F.col("vid") * multiplier + shift) % SAMPLE_MODULUS).alias("o")).withColumn("band", F.floor(F.col("o") * bands / SAMPLE_MODULUS))
+    taken = 0
+    for band, size in rows.groupBy("band").count().orderBy("band").collect():  # at most `bands` rows
+        if taken + size >= n:
+            edge = rows.where(F.col("band") == band).orderBy("o", "vid").limit(n - taken)
+            return rows.where(F.col("band") < band).unionAll(edge).drop("band")
+        taken += size
+    return rows.drop("band")
 
 
 def sample_pois(vertices: DataFrame, rho: float, n: int) -> DataFrame:

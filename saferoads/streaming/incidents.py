@@ -3,18 +3,21 @@
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from dataclasses import replace
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from saferoads.plans.runtime import exists, mark, names_in
+
 EVENTS = "event_id bigint, ts timestamp, user_id bigint, event_type string, value double, props string"
 
 
-def incident_stream(spark: SparkSession, path: str, delay: str = "2 days", kinds: tuple[str, ...] = ("error",), edges: int = 500, files: int = 1) -> DataFrame:
+def incident_stream(spark: SparkSession, path: str, delay: str = "2 days", kinds: tuple[str, ...] = ("error",), edges: int = 500, files: int = 1, pattern: str = "*.parquet") -> DataFrame:
     """Incidents of the listed kinds with the edge they fall on, without repeats inside the watermark."""
-    raw = spark.readStream.schema(EVENTS.replace("ts timestamp", "ts timestamp_ntz")).option("maxFilesPerTrigger", files).parquet(path)
+    raw = spark.readStream.schema(EVENTS.replace("ts timestamp", "ts timestamp_ntz")).option("maxFilesPerTrigger", files).option("pathGlobFilter", pattern).parquet(path)
     timed = raw.where(F.col("event_type").isin(*kinds)).withColumn("ts", F.col("ts").cast("timestamp"))
     unique = timed.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["event_id"])
     return unique.withColumn("eid", F.col("event_id") * 611953 % edges)
@@ -30,7 +33,9 @@ def session_counts(incidents: DataFrame, gap: str = "6 hours") -> DataFrame:
 
 
 def level_changes(incidents: DataFrame, smax: int, per_level: int) -> DataFrame:
-    """eid, ess, n: a row whenever an edge's running count moves its level (a level for each `per_level` incidents)."""
+    """eid, ess, n: a row whenever an edge's running count moves its level (a level for each `per_level` incidents).
+
+    The state is one count for each edge, so the network bounds it; a timeout would forget incidents."""
 
     def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         n, level = state.get if state.exists else (0, smax)
@@ -62,17 +67,41 @@ def apply_batches(changes: DataFrame, apply: Callable[[DataFrame, int], None], c
 class VersionedIndex:
     """Applies change batches to a network and its component tree; each batch leaves a version in the shared folder.
 
-    A batch number whose version is complete is skipped, so a batch that is sent again after a failure counts once."""
+    A version holds the network, the tree and, written last, a mark. A new object goes on from the newest marked version in
+    its folder, and a batch number whose version is marked is skipped: a batch that is sent again counts once, also after
+    the driver was started anew."""
+
+    MARK = "_complete"
 
     def __init__(self, net, tree, root: str):
         self.net, self.tree, self.root, self.applied = net, tree, root, -1
+        spark = net.edges.sparkSession
+        known = sorted((int(x.split("=")[1]) for x in names_in(spark, root) if x.startswith("version=")), reverse=True)
+        for number in known:
+            if exists(spark, f"{self.at(number)}/{self.MARK}"):
+                self.load(number)
+                break
+
+    def at(self, number: int) -> str:
+        return f"{self.root}/version={number}"
+
+    def load(self, number: int) -> None:
+        from saferoads.operators.update import load_index
+
+        spark, path = self.net.edges.sparkSession, self.at(number)
+        read = lambda name: spark.read.schema(getattr(self.net, name).schema).parquet(f"{path}/net_{name}")
+        self.net = replace(self.net, vertices=read("vertices"), edges=read("edges"), pois=read("pois"))
+        self.tree, self.applied = load_index(spark, path, self.tree), number
 
     def __call__(self, changes: DataFrame, number: int) -> None:
         from saferoads.operators.update import comptree_update, save_index
 
         if number <= self.applied:
             return
-        self.net, self.tree = comptree_update(self.net, self.tree, changes)
-        save_index(self.tree, f"{self.root}/version={number}")
-        self.net.edges.write.mode("overwrite").parquet(f"{self.root}/version={number}/edges")
-        self.applied = number
+        net, tree = comptree_update(self.net, self.tree, changes)
+        path = self.at(number)
+        save_index(tree, path)
+        for name in ("vertices", "edges", "pois"):
+            getattr(net, name).write.mode("overwrite").parquet(f"{path}/net_{name}")
+        mark(net.edges.sparkSession, f"{path}/{self.MARK}")
+        self.load(number)

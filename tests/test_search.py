@@ -190,3 +190,60 @@ def test_versioned_index(spark, case, tmp_path):
     built = comptree.build_comptree_local(keeper.net)
     assert same(keeper.tree.borders, built.borders)
     assert same(update.load_index(spark, f"{tmp_path}/version=0", keeper.tree).nodes, built.nodes)
+    # A new driver goes on from the newest complete version; a version without its mark does not count.
+    (tmp_path / "version=7").mkdir()
+    again = VersionedIndex(net, comptree.build_comptree_local(net), str(tmp_path))
+    assert again.applied == 0 and same(again.net.edges, keeper.net.edges) and same(again.tree.borders, built.borders)
+    again(changes, 0)
+    assert same(again.net.edges, keeper.net.edges)
+    u, w, _, s = edges[6]
+    again(spark.createDataFrame([("ess", u, w, None, s % SMAX + 1, None, None)], update.CHANGES), 1)
+    assert VersionedIndex(net, keeper.tree, str(tmp_path)).applied == 1
+    both = {(r["u"], r["w"]): r["ess"] for r in again.net.edges.collect()}
+    assert all(both[e[0], e[1]] == e[3] % SMAX + 1 for e in (edges[4], edges[6]))
+
+
+def test_one_entrance(spark, case):
+    from saferoads.operators.topk import safest_topk
+
+    _, _, net, queries, _ = case
+    want = sorted((r["qid"], r["rnk"], r["poi"], r["dist"]) for r in expand.expand(net, queries).collect())
+    for method, engine in (("expand", "kernel"), ("comptree", "rounds"), ("safevor", "kernel"), ("euclid", "rounds"), ("brute", "auto")):
+        assert sorted((r["qid"], r["rnk"], r["poi"], r["dist"]) for r in safest_topk(net, queries, method, engine).collect()) == want, method
+    with pytest.raises(ValueError):
+        safest_topk(net, queries, "comptree", measure=ProductEss)
+    with pytest.raises(ValueError):
+        safest_topk(net, queries, "nearest")
+
+
+def test_cell_tables_equal_cells_made_on_the_spot(case):
+    import numpy as np
+
+    from saferoads.operators import kernel
+
+    _, _, net, _, _ = case
+    built, rows = kernel.build_cells_local(net), net.arcs.collect()
+    arrays = [np.array([r[c] for r in rows], np.int64) for c in ("src", "dst", "len", "ess")]
+    pois = np.sort(np.array([r["poi"] for r in net.pois.collect()], np.int64))
+    made, read = (kernel.Graph(*arrays, pois, net.smax) for _ in range(2))
+    kernel.attach_cells(made)
+    lists = lambda df, *names: [[r[n] for r in df.collect()] for n in names]
+    kernel.attach_cell_tables(read, lists(built.cells, "vid", "cell"), lists(built.ways.where("direct"), "b1", "b2", "sd", "dist"), lists(built.ends, "cell", "b", "d_border", "d_poi"))
+    for one, other in zip(made.cells, read.cells, strict=True):
+        tidy = lambda x: {k: sorted(v) if isinstance(v, list) else v for k, v in x.items() if v != []}
+        assert tidy(one) == tidy(other)
+
+
+def test_long_roads_keep_their_order():
+    """A level's length beyond 2^24 must not carry into the level above."""
+    import numpy as np
+
+    from saferoads.operators.kernel import Graph, expand_query
+
+    far = 1 << 24
+    edges = [(0, 1, far, 2), (1, 2, far, 2), (0, 2, 5, 1)]
+    src, dst, length, ess = (np.array(c, np.int64) for c in zip(*(x for u, w, n, s in edges for x in ((u, w, n, s), (w, u, n, s)))))
+    g = Graph(src, dst, length, ess, np.array([2]), 2, longest=4 * far)
+    found, *_ = expand_query(g, 0, 1, 4 * far, {1, 2})
+    (key, dist, _), = found.values()
+    assert dist == 2 * far and g.vector(key) == [0, 2 * far]
