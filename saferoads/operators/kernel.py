@@ -210,6 +210,7 @@ def safevor_query(g: Graph, start, k, dc, rules):
         heap.append((*done[own], own, True))
     heapq.heapify(heap)
     settled, listed, good, parts = set(), [], 0, {own}
+    least = {v: key for key, _, v, _ in heap}
     while heap and good < k:
         key, dist, v, is_poi = heapq.heappop(heap)
         if v in settled:
@@ -217,15 +218,14 @@ def safevor_query(g: Graph, start, k, dc, rules):
         settled.add(v)
         seen.add(v)
         parts.add(cell[v])
-        if v in g.pois:
+        if is_poi:
             listed.append((key, dist, v))
             good += dist < dc
-        for w, length, _, unit in g.out[v]:
-            if cell.get(w) != cell[v] and w not in settled:
-                heapq.heappush(heap, (key + unit * length, dist + length, w, w in g.pois))
         for w, more, far in overlay.get(v, ()):
-            if w not in settled:
-                heapq.heappush(heap, (key + more, dist + far, w, w in g.pois))
+            new = key + more
+            if w not in least or new < least[w]:
+                least[w] = new
+                heapq.heappush(heap, (new, dist + far, w, w in g.pois))
     counts["parts"] = len(parts)
     valid = [x for x in listed if x[1] < dc]
     others = {v for _, dist, v in listed if dist >= dc}
@@ -373,6 +373,15 @@ def ways_in_cell(p, out: dict, ends: set):
     return direct, home, d_border, d_poi
 
 
+def set_cells(g: Graph, cell: dict, local: dict, ways: dict, d_border: dict, d_poi: dict):
+    """The overlay: stored ways inside the cells and the arcs between them."""
+    overlay = {v: list(row) for v, row in ways.items()}
+    for ends in local.values():
+        for v in ends:
+            overlay[v] += [(w, unit * length, length) for w, length, _, unit in g.out[v] if cell.get(w) != cell[v]]
+    g.cells = (cell, local, overlay, d_border, d_poi)
+
+
 def attach_cells(g: Graph):
     """Cells and their tables, made on the spot."""
     cell = assign_cells(g)
@@ -388,7 +397,7 @@ def attach_cells(g: Graph):
         overlay |= direct
         d_border |= {b: border.get(b, inf) for b in ends[p]}
         d_poi |= home
-    g.cells = (cell, {p: sorted(e) for p, e in ends.items()}, overlay, d_border, d_poi)
+    set_cells(g, cell, {p: sorted(e) for p, e in ends.items()}, overlay, d_border, d_poi)
 
 
 def attach_cell_tables(g: Graph, cells, ways, ends):
@@ -406,7 +415,7 @@ def attach_cell_tables(g: Graph, cells, ways, ends):
             d_poi[at[b]] = home
     for a, b, sd, dist in zip(*ways, strict=True):
         overlay[at[a]].append((at[b], g.key_of(sd), dist))
-    g.cells = (cell, local, overlay, d_border, d_poi)
+    set_cells(g, cell, local, overlay, d_border, d_poi)
 
 
 @dataclass(frozen=True)
