@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from saferoads.functions.safety import LexSafety, Measure
-from saferoads.operators.expand import LABEL, answers, fixpoint, nearest_lists, seed_labels
+from saferoads.operators.expand import LABEL, answers, fixpoint, nearest_lists, seed_labels, settle
 from saferoads.plans.components import connected_components
 from saferoads.plans.runtime import durable, small_enough
 from saferoads.sources.networks import Network
@@ -224,15 +224,13 @@ def comptree_search(net: Network, tree: CompTree, queries: DataFrame, rules: Ite
 
 def level_fixpoint(before: DataFrame, frontier: DataFrame, arcs: DataFrame, seeds: DataFrame | None, deeper: int, net: Network, measure: Measure) -> DataFrame:
     """Rounds inside one level; arcs carry the limit of the step."""
-    from saferoads.functions.safety import pareto
-
-    settled, frontier, turn = durable(before.select(LABEL)), durable(frontier.select(LABEL)), 0
+    settled, frontier, turn = durable(before.select(*LABEL, F.lit(-1).alias("turn"))), durable(frontier.select(LABEL)), 0
     while not frontier.isEmpty():
         step = frontier.join(arcs, (F.col("vid") == F.col("src")) & (F.col("dist") + F.col("len") < F.col("dc")) & (F.col("dist") + F.col("limit") < F.col("dc")))
         if turn == 0 and seeds is not None:
             step = step.join(seeds, "qid", "left").where(F.col("seed") | (F.col("ess") <= deeper))
         fresh = step.select("qid", F.col("dst").alias("vid"), measure.extend("key", "ess", "len", net.smax).alias("key"), (F.col("dist") + F.col("len")).alias("dist"), F.concat("path", F.array("dst")).alias("path"), "k", "dc")
-        merged = durable(pareto(settled.withColumn("new", F.lit(0)).unionByName(fresh.withColumn("new", F.lit(1)))))
-        settled, frontier = merged.select(LABEL), merged.where("new = 1").select(LABEL)
+        settled = settle(settled, fresh, turn)
+        frontier = settled.where(F.col("turn") == turn).select(LABEL)
         turn += 1
-    return settled
+    return settled.select(LABEL)

@@ -29,6 +29,16 @@ def extend(frontier: DataFrame, arcs: DataFrame, measure: Measure, smax: int) ->
     return step.select("qid", F.col("dst").alias("vid"), measure.extend("key", "ess", "len", smax).alias("key"), (F.col("dist") + F.col("len")).alias("dist"), F.concat("path", F.array("dst")).alias("path"), "k", "dc")
 
 
+def settle(settled: DataFrame, fresh: DataFrame, turn: int) -> DataFrame:
+    """settled with the labels of a round that none of the same query and vertex equals or beats; column turn tells the round.
+
+    Known labels are read without their paths and never written again: a round writes what it adds. Labels that a later
+    round beats stay and do no harm, since answers take the best."""
+    known = settled.select(*(F.col(c).alias(f"_{c}") for c in ("qid", "vid", "key", "dist")))
+    beaten = (F.col("qid") == F.col("_qid")) & (F.col("vid") == F.col("_vid")) & (F.col("_dist") <= F.col("dist")) & (F.col("_key") <= F.col("key"))
+    return durable(pareto(fresh).join(known, beaten, "left_anti").select(*LABEL, F.lit(turn).alias("turn")), onto=settled)
+
+
 def best_pois(labels: DataFrame, pois: DataFrame) -> DataFrame:
     """The safest label of each query and POI."""
     at = labels.join(pois, labels.vid == pois.poi)
@@ -52,10 +62,9 @@ def kth_keys(labels: DataFrame, pois: DataFrame) -> DataFrame:
 
 def fixpoint(settled: DataFrame | None, frontier: DataFrame, arcs: DataFrame, net: Network, rules: Iterable[int], measure: Measure, pois: DataFrame, step_filter=None, first_arcs: DataFrame | None = None, most_labels: int = 20_000_000) -> DataFrame:
     """Labels at the end of all rounds. first_arcs: the arcs of the first round, where they differ."""
-    rules = set(rules)
+    rules, turn = set(rules), 0
     settled = frontier if settled is None else settled
-    settled, frontier = durable(settled.select(LABEL)), durable(frontier.select(LABEL))
-    turn = 0
+    settled, frontier = durable(settled.select(*LABEL, F.lit(-1).alias("turn"))), durable(frontier.select(LABEL))
     while not frontier.isEmpty():
         used = first_arcs if first_arcs is not None and turn == 0 else arcs
         fresh = extend(frontier if step_filter is None else step_filter(frontier), used, measure, net.smax)
@@ -63,16 +72,14 @@ def fixpoint(settled: DataFrame | None, frontier: DataFrame, arcs: DataFrame, ne
             if 7 in rules and turn % 3 == 2:
                 bound = kth_keys(settled, pois)
                 fresh = fresh.join(bound, "qid", "left").where(F.col("worst").isNull() | (F.col("key") <= F.col("worst"))).drop("worst")
-            both = settled.withColumn("new", F.lit(0)).unionByName(fresh.withColumn("new", F.lit(1)))
-            merged = durable(pareto(both))
-            settled, frontier = merged.select(LABEL), merged.where("new = 1").select(LABEL)
+            settled = settle(settled, fresh, turn)
         else:  # every simple valid path; the number of labels explodes with the bound
-            fresh = durable(fresh.where("size(path) = size(array_distinct(path))"))
-            settled, frontier = durable(settled.unionByName(fresh)), fresh
+            settled = durable(fresh.where("size(path) = size(array_distinct(path))").select(*LABEL, F.lit(turn).alias("turn")), onto=settled)
             if settled.count() > most_labels:
                 raise ValueError("too many paths without Rule 2; lower the bound")
+        frontier = settled.where(F.col("turn") == turn).select(LABEL)
         turn += 1
-    return settled
+    return settled.select(LABEL)
 
 
 def expand(net: Network, queries: DataFrame, rules: Iterable[int] = (1, 2, 7), measure: Measure = LexSafety, pois: DataFrame | None = None) -> DataFrame:
@@ -92,7 +99,7 @@ def safest_path(net: Network, pairs: DataFrame) -> DataFrame:
 def safest_frontier(net: Network, queries: DataFrame) -> DataFrame:
     """All paths to POIs that no other beats in both safety and length."""
     labels = fixpoint(None, seed_labels(queries, LexSafety, net.smax), net.arcs, net, (1, 2), LexSafety, net.pois)
-    return labels.join(net.pois, labels.vid == net.pois.poi).select("qid", "poi", "dist", "key", "path")
+    return pareto(labels.join(net.pois, labels.vid == net.pois.poi)).select("qid", "poi", "dist", "key", "path")
 
 
 def brute_force(net: Network, queries: DataFrame) -> DataFrame:

@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from saferoads.functions.safety import LexSafety, path_length
-from saferoads.operators.expand import answers, fixpoint, nearest_lists, seed_labels
+from saferoads.operators.expand import LABEL, answers, fixpoint, nearest_lists, seed_labels, settle
 from saferoads.plans.runtime import durable
 from saferoads.sources.networks import Network
 
@@ -129,9 +129,6 @@ def bounded(net: Network, vor: SafeVor, targets: DataFrame, worst: DataFrame, ru
 
     Rules 5 and 6 are tested on the step inside a cell from one of its border ends: it is vain if the way to another end
     breaks the bound and the cell's POI is no target, or is too far as well. Rule 7 drops labels beyond the k-th valid one."""
-    from saferoads.functions.safety import pareto
-    from saferoads.operators.expand import LABEL
-
     far = 1e18
     c = vor.cells.select("vid", "cell")
     arcs = net.arcs.join(c.withColumnsRenamed({"vid": "src", "cell": "cell"}), "src", "left").join(c.withColumnsRenamed({"vid": "dst", "cell": "c2"}), "dst", "left")
@@ -143,7 +140,8 @@ def bounded(net: Network, vor: SafeVor, targets: DataFrame, worst: DataFrame, ru
     queries = targets.select("qid", "src", "k", "dc").distinct()
     wanted = durable(targets.select("qid", F.col("poi").alias("cell"), F.lit(True).alias("target")))
     limit7 = durable(worst.join(queries.select("qid", "k"), "qid").where("n >= k").select("qid", "worst")) if 7 in rules else None
-    settled = frontier = durable(seed_labels(queries, LexSafety, net.smax))
+    frontier, turn = durable(seed_labels(queries, LexSafety, net.smax)), 0
+    settled = durable(frontier.select(*LABEL, F.lit(-1).alias("turn")))
     while not frontier.isEmpty():
         step = frontier.join(arcs, (F.col("vid") == F.col("src")) & (F.col("dist") + F.col("len") < F.col("dc")))
         step = step.join(wanted, ["qid", "cell"], "left")
@@ -151,6 +149,7 @@ def bounded(net: Network, vor: SafeVor, targets: DataFrame, worst: DataFrame, ru
         fresh = step.select("qid", F.col("dst").alias("vid"), LexSafety.extend("key", "ess", "len", net.smax).alias("key"), (F.col("dist") + F.col("len")).alias("dist"), F.concat("path", F.array("dst")).alias("path"), "k", "dc")
         if limit7 is not None:
             fresh = fresh.join(limit7, "qid", "left").where(F.col("worst").isNull() | (F.col("key") <= F.col("worst"))).drop("worst")
-        merged = durable(pareto(settled.withColumn("new", F.lit(0)).unionByName(fresh.withColumn("new", F.lit(1)))))
-        settled, frontier = merged.select(LABEL), merged.where("new = 1").select(LABEL)
-    return settled
+        settled = settle(settled, fresh, turn)
+        frontier = settled.where(F.col("turn") == turn).select(LABEL)
+        turn += 1
+    return settled.select(LABEL)
