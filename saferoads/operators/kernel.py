@@ -430,8 +430,7 @@ class Cells:
 
 def build_cells_local(net: Network) -> Cells:
     """The cell tables of a network of a checked size: one task assigns the vertices, then every cell is a group."""
-    spark = net.vertices.sparkSession
-    sent, smax = sent_network(net), net.smax
+    spark, sent, smax = net.vertices.sparkSession, sent_network(net), net.smax
 
     def assign(batches):
         for batch in batches:
@@ -441,7 +440,12 @@ def build_cells_local(net: Network) -> Cells:
                 found = assign_cells(g)
                 yield pa.RecordBatch.from_arrays([pa.array(g.vids[list(found)]), pa.array(g.vids[list(found.values())])], ["vid", "cell"])
 
-    cells = durable(spark.range(1).coalesce(1).mapInArrow(assign, "vid bigint, cell bigint"))
+    return cell_tables(net, durable(spark.range(1).coalesce(1).mapInArrow(assign, "vid bigint, cell bigint")))
+
+
+def cell_tables(net: Network, cells: DataFrame) -> Cells:
+    """The tables of given cells (vid, cell), for a network of any size: every cell is a group and has to fit a task."""
+    smax = net.smax
     of = lambda end, name: cells.withColumnsRenamed({"vid": end, "cell": name})
     steps = net.arcs.select("src", "dst", "len", "ess").join(of("src", "cell"), "src").join(of("dst", "other"), "dst")
     alone = cells.select("cell", F.col("vid").alias("src"), F.lit(None).cast("bigint").alias("dst"), F.lit(None).cast("bigint").alias("len"), F.lit(None).cast("int").alias("ess"), F.col("cell").alias("other"))

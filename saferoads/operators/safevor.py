@@ -13,9 +13,10 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from saferoads.functions.safety import LexSafety, path_length
-from saferoads.operators.expand import LABEL, answers, fixpoint, nearest_lists, seed_labels, settle
-from saferoads.plans.runtime import durable
+from saferoads.functions.safety import LexSafety, add_edge, concat_paths, path_length, zeros
+from saferoads.operators.expand import LABEL, nearest_lists, seed_labels, settle
+from saferoads.operators.kernel import Cells, cell_tables
+from saferoads.plans.runtime import drop, durable
 from saferoads.sources.networks import Network
 
 
@@ -84,7 +85,7 @@ def in_cell_distances(net: Network, cells: DataFrame, borders: DataFrame, reach:
 
 
 def build_safevor(net: Network, listed: int = 12, reach: float | None = None) -> SafeVor:
-    """listed: POIs kept for each vertex; queries whose k valid POIs need a longer list go to the plain search."""
+    """listed: POIs kept for each vertex; queries whose k valid POIs need a longer list grow it cell by cell."""
     lists = durable(safest_lists(net, max(listed, 2)))
     first, second = lists.where("rnk = 1"), lists.where("rnk = 2").select("vid", F.col("sd").alias("sd2"))
     cells = durable(first.join(second, "vid", "left").select("vid", F.col("poi").alias("cell"), "sd", "dist", F.coalesce(F.col("sd") == F.col("sd2"), F.lit(False)).alias("tie")))
@@ -92,9 +93,62 @@ def build_safevor(net: Network, listed: int = 12, reach: float | None = None) ->
     return SafeVor(lists, cells, borders, durable(adjacency_of(borders)), durable(in_cell_distances(net, cells, borders, reach)), max(listed, 2))
 
 
-def next_cells(vor: SafeVor, found: DataFrame) -> DataFrame:
+def next_cells(adjacency: DataFrame, found: DataFrame) -> DataFrame:
     """found (qid, cell): the cells next to them that are not among them; the next safest POI is one of these."""
-    return found.join(vor.adjacency, "cell").select("qid", F.col("other").alias("cell")).distinct().join(found, ["qid", "cell"], "left_anti")
+    return found.join(adjacency, "cell").select("qid", F.col("other").alias("cell")).distinct().join(found, ["qid", "cell"], "left_anti")
+
+
+def relaxed(state: DataFrame, frontier: DataFrame, steps: DataFrame, allowed: DataFrame | None) -> DataFrame:
+    """state (qid, vid, key) after steps (src, dst, sd, cell) from the frontier on, as long as any makes a vertex safer. Only
+    steps into the allowed cells (qid, cell) count; without a bound one key for each vertex is enough."""
+    while not frontier.isEmpty():
+        moved = frontier.join(steps, frontier.vid == steps.src)
+        if allowed is not None:
+            moved = moved.join(allowed, ["qid", "cell"])
+        tried = moved.select("qid", F.col("dst").alias("vid"), concat_paths("key", "sd").alias("key")).groupBy("qid", "vid").agg(F.min("key").alias("key"))
+        known = state.select("qid", "vid", F.col("key").alias("had"))
+        frontier = durable(tried.join(known, ["qid", "vid"], "left").where("had is null or key < had").drop("had"))
+        before, state = state, durable(state.join(frontier, ["qid", "vid"], "left_anti").unionByName(frontier))
+        drop(before)
+    return state
+
+
+def safest_by_growth(net: Network, tables: Cells, adjacency: DataFrame, queries: DataFrame) -> DataFrame:
+    """qid, rnk, poi, key, dist: every query's POIs in order of safety without a bound, until k of them have such a path
+    within the bound or none is left.
+
+    The first is the POI of the query's cell. The next one after any of them lies in a cell next to those found, and its
+    path stays in these cells; so each turn adds the neighbours of the cell found last, lets the stored ways inside the
+    cells and the roads between cells carry the keys into them, and takes the safest POI that is reached."""
+    cells = tables.cells
+    c1, c2 = cells.withColumnsRenamed({"vid": "src", "cell": "c1"}), cells.withColumnsRenamed({"vid": "dst", "cell": "cell"})
+    roads = net.arcs.join(c1, "src").join(c2, "dst").select("src", "dst", add_edge(zeros(net.smax), "ess", "len").alias("sd"), "c1", "cell")
+    roads = durable(roads)
+    steps = durable(roads.where("c1 <> cell").drop("c1").unionByName(tables.ways.where("direct").select(F.col("b1").alias("src"), F.col("b2").alias("dst"), "sd", "cell")))
+    home = durable(queries.join(cells, queries.src == cells.vid).select("qid", "src", "k", "dc", "cell"))
+    # Inside its own cell a query may start at any vertex; from the ends on the stored ways do.
+    seeds = durable(home.select("qid", F.col("src").alias("vid"), zeros(net.smax).alias("key")))
+    state = relaxed(durable(seeds), seeds, roads.where("c1 = cell").drop("c1"), home.select("qid", "cell"))
+    allowed = durable(home.select("qid", "cell"))
+    found, open_, rank = None, home.select("qid", "k", "dc"), 1
+    while True:
+        at = state.join(net.pois, state.vid == net.pois.poi).select("qid", "poi", "key").join(open_, "qid")
+        at = at if found is None else at.join(found.select("qid", "poi"), ["qid", "poi"], "left_anti")
+        best = at.groupBy("qid").agg(F.min(F.struct("key", "poi")).alias("b")).select("qid", "b.poi", "b.key")
+        fresh = durable(best.select("qid", F.lit(rank).alias("rnk"), "poi", "key", path_length("key").alias("dist")))
+        if fresh.isEmpty():
+            return fresh if found is None else found
+        found = fresh if found is None else durable(fresh, onto=found)
+        good = found.join(home.select("qid", "dc"), "qid").groupBy("qid").agg(F.count(F.when(F.col("dist") < F.col("dc"), 1)).alias("good"))
+        open_ = durable(home.select("qid", "k", "dc").join(fresh.select("qid"), "qid", "left_semi").join(good, "qid").where("good < k").drop("good"))
+        if open_.isEmpty():
+            return found
+        reached = found.select("qid", F.col("poi").alias("cell")).join(open_.select("qid"), "qid", "left_semi")
+        news = durable(next_cells(adjacency, reached).join(allowed, ["qid", "cell"], "left_anti"))
+        allowed = durable(news, onto=allowed)
+        edge = steps.join(news, "cell").select("qid", F.col("src").alias("vid")).distinct()
+        state = relaxed(state, durable(state.join(edge, ["qid", "vid"], "left_semi")), steps, allowed)
+        rank += 1
 
 
 def safevor_search(net: Network, vor: SafeVor, queries: DataFrame, rules: Iterable[int] = (1, 2, 5, 6, 7)) -> DataFrame:
@@ -108,7 +162,12 @@ def safevor_search(net: Network, vor: SafeVor, queries: DataFrame, rules: Iterab
     n_pois = net.pois.count()
     # Complete: k valid ones were found, or the list holds every POI that can be reached.
     enough = durable(queries.join(reached, "qid", "left").withColumn("enough", F.coalesce((F.col("n") >= F.col("k")) | (F.col("all") < min(vor.listed, n_pois)) | (F.lit(vor.listed) >= n_pois), F.lit(True))))
-    good = cut.join(enough.where("enough").select("qid"), "qid", "left_semi")
+    good = cut.join(enough.where("enough").select("qid"), "qid", "left_semi").drop("had", "rnk")
+    rest = durable(enough.where("not enough").select("qid", "src", "k", "dc"))
+    if not rest.isEmpty():  # the lists were too short: their POIs are listed by growing cells
+        grown = safest_by_growth(net, cell_tables(net, vor.cells.select("vid", "cell")), vor.adjacency, rest)
+        more = grown.join(rest, "qid").withColumn("ok", (F.col("dist") < F.col("dc")).cast("int"))
+        good = durable(good.unionByName(more.select(good.columns)))
     sure = good.where("ok = 1").select("qid", "poi", "key", "dist", F.lit(None).cast("array<bigint>").alias("path"), "k")
     worst = good.where("ok = 1").groupBy("qid").agg(F.max("key").alias("worst"), F.count("*").alias("n"))
     open_ = durable(good.where("ok = 0").select("qid", "poi", "src", "k", "dc"))
@@ -116,12 +175,7 @@ def safevor_search(net: Network, vor: SafeVor, queries: DataFrame, rules: Iterab
     hits = labels.join(open_.select("qid", F.col("poi").alias("vid")), ["qid", "vid"]).groupBy("qid", "vid", "k").agg(F.min(F.struct("key", "dist", "path")).alias("b"))
     more = hits.select("qid", F.col("vid").alias("poi"), "b.key", "b.dist", "b.path", "k")
     order = Window.partitionBy("qid").orderBy("key", "dist", "poi")
-    out = sure.unionByName(more).withColumn("rnk", F.row_number().over(order)).where("rnk <= k").select("qid", "rnk", "poi", "dist", "key", "path")
-    rest = enough.where("not enough").select("qid", "src", "k", "dc")
-    if rest.isEmpty():
-        return out
-    whole = fixpoint(None, seed_labels(rest, LexSafety, net.smax), net.arcs, net, (1, 2, 7), LexSafety, net.pois)
-    return out.unionByName(answers(whole, net.pois))
+    return sure.unionByName(more).withColumn("rnk", F.row_number().over(order)).where("rnk <= k").select("qid", "rnk", "poi", "dist", "key", "path")
 
 
 def bounded(net: Network, vor: SafeVor, targets: DataFrame, worst: DataFrame, rules: set[int]) -> DataFrame:

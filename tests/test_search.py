@@ -247,3 +247,16 @@ def test_long_roads_keep_their_order():
     found, *_ = expand_query(g, 0, 1, 4 * far, {1, 2})
     (key, dist, _), = found.values()
     assert dist == 2 * far and g.vector(key) == [0, 2 * far]
+
+
+def test_growth_of_cells_lists_the_safest(case):
+    """The order by growing cells against the lists spread from all POIs, and the search that needs it."""
+    edges, pois, net, queries, rows = case
+    every = {(r["vid"], r["rnk"]): (r["poi"], list(r["sd"])) for r in safevor.safest_lists(net, len(pois)).collect()}
+    vor = safevor.build_safevor(net, listed=2)
+    tables = safevor.cell_tables(net, vor.cells.select("vid", "cell"))
+    grown = safevor.safest_by_growth(net, tables, vor.adjacency, queries.withColumn("k", F.lit(9))).collect()
+    at = {i: v for i, v, _, _ in rows}
+    assert {(at[r["qid"]], r["rnk"]): (r["poi"], list(r["key"])) for r in grown} == {(v, n): x for (v, n), x in every.items() if v in at.values()}
+    want = {q: b for q, v, k, dc in rows if (b := brute(edges, pois, SMAX, v, 3, dc))}
+    assert found(safevor.safevor_search(net, vor, queries.withColumn("k", F.lit(3)))) == want
