@@ -96,7 +96,7 @@ def load_encoder(bpe_json: bytes, ranks: bytes, pattern: str):
     return encode
 
 
-def pack(docs: DataFrame, vocabulary: dict, window: int = WINDOW, piece: int = 192, group: int = 128, spare: int = 512, with_ids: bool = False) -> DataFrame:
+def pack(docs: DataFrame, vocabulary: dict, window: int = WINDOW, piece: int = 512, group: int = 128, spare: int = 512, with_ids: bool = False) -> DataFrame:
     """docs: doc_id, text. vocabulary: bpe_json and ranks (file contents) and pattern. One row per piece."""
 
     @lean
