@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from saferoads.functions.safety import LexSafety, Measure
-from saferoads.operators.expand import LABEL, answers, fixpoint, nearest_lists, seed_labels, settle
+from saferoads.operators.expand import LABEL, answers, nearest_lists, seed_labels, settle
 from saferoads.plans.components import connected_components
 from saferoads.plans.runtime import durable, small_enough
 from saferoads.sources.networks import Network
