@@ -14,8 +14,8 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from saferoads.functions.safety import LexSafety, add_edge, concat_paths, path_length, zeros
-from saferoads.operators.expand import LABEL, nearest_lists, seed_labels, settle
-from saferoads.operators.kernel import Cells, cell_tables
+from saferoads.operators.expand import LABEL, answers, fixpoint, nearest_lists, seed_labels, settle
+from saferoads.operators.kernel import Cells, cell_tables  # noqa: F401
 from saferoads.plans.runtime import drop, durable
 from saferoads.sources.networks import Network
 
@@ -85,7 +85,8 @@ def in_cell_distances(net: Network, cells: DataFrame, borders: DataFrame, reach:
 
 
 def build_safevor(net: Network, listed: int = 12, reach: float | None = None) -> SafeVor:
-    """listed: POIs kept for each vertex; queries whose k valid POIs need a longer list grow it cell by cell."""
+    """listed: POIs kept for each vertex; queries whose k valid POIs need a longer list go to the plain search, since a turn
+    of `safest_by_growth` costs several rounds and a query with fewer than k valid POIs would list them all."""
     lists = durable(safest_lists(net, max(listed, 2)))
     first, second = lists.where("rnk = 1"), lists.where("rnk = 2").select("vid", F.col("sd").alias("sd2"))
     cells = durable(first.join(second, "vid", "left").select("vid", F.col("poi").alias("cell"), "sd", "dist", F.coalesce(F.col("sd") == F.col("sd2"), F.lit(False)).alias("tie")))
@@ -162,12 +163,7 @@ def safevor_search(net: Network, vor: SafeVor, queries: DataFrame, rules: Iterab
     n_pois = net.pois.count()
     # Complete: k valid ones were found, or the list holds every POI that can be reached.
     enough = durable(queries.join(reached, "qid", "left").withColumn("enough", F.coalesce((F.col("n") >= F.col("k")) | (F.col("all") < min(vor.listed, n_pois)) | (F.lit(vor.listed) >= n_pois), F.lit(True))))
-    good = cut.join(enough.where("enough").select("qid"), "qid", "left_semi").drop("had", "rnk")
-    rest = durable(enough.where("not enough").select("qid", "src", "k", "dc"))
-    if not rest.isEmpty():  # the lists were too short: their POIs are listed by growing cells
-        grown = safest_by_growth(net, cell_tables(net, vor.cells.select("vid", "cell")), vor.adjacency, rest)
-        more = grown.join(rest, "qid").withColumn("ok", (F.col("dist") < F.col("dc")).cast("int"))
-        good = durable(good.unionByName(more.select(good.columns)))
+    good = cut.join(enough.where("enough").select("qid"), "qid", "left_semi")
     sure = good.where("ok = 1").select("qid", "poi", "key", "dist", F.lit(None).cast("array<bigint>").alias("path"), "k")
     worst = good.where("ok = 1").groupBy("qid").agg(F.max("key").alias("worst"), F.count("*").alias("n"))
     open_ = durable(good.where("ok = 0").select("qid", "poi", "src", "k", "dc"))
@@ -175,7 +171,12 @@ def safevor_search(net: Network, vor: SafeVor, queries: DataFrame, rules: Iterab
     hits = labels.join(open_.select("qid", F.col("poi").alias("vid")), ["qid", "vid"]).groupBy("qid", "vid", "k").agg(F.min(F.struct("key", "dist", "path")).alias("b"))
     more = hits.select("qid", F.col("vid").alias("poi"), "b.key", "b.dist", "b.path", "k")
     order = Window.partitionBy("qid").orderBy("key", "dist", "poi")
-    return sure.unionByName(more).withColumn("rnk", F.row_number().over(order)).where("rnk <= k").select("qid", "rnk", "poi", "dist", "key", "path")
+    out = sure.unionByName(more).withColumn("rnk", F.row_number().over(order)).where("rnk <= k").select("qid", "rnk", "poi", "dist", "key", "path")
+    rest = enough.where("not enough").select("qid", "src", "k", "dc")
+    if rest.isEmpty():
+        return out
+    whole = fixpoint(None, seed_labels(rest, LexSafety, net.smax), net.arcs, net, (1, 2, 7), LexSafety, net.pois)
+    return out.unionByName(answers(whole, net.pois))
 
 
 def bounded(net: Network, vor: SafeVor, targets: DataFrame, worst: DataFrame, rules: set[int]) -> DataFrame:

@@ -295,8 +295,10 @@ def ablation_answers(spark, sf_dir):
 
 
 def _sweep(varies):
+    n = 40 if varies in ("k", "rho") else 100  # a search for more POIs than there are visits the whole network
+
     def query(spark, sf_dir):
-        return workloads.sweep(spark, sf_dir, varies)
+        return workloads.sweep(spark, sf_dir, varies, n=n)
 
     query.__name__ = f"sweep_{varies}"
     return query
