@@ -159,3 +159,22 @@ def test_counters_fall_with_rules():
     pushed = {r: comptree_query(g, g.index_of(33), 2, 60, set(r))[2]["pushed"] for r in ((1, 2), (1, 2, 3), (1, 2, 3, 4))}
     assert pushed[1, 2, 3, 4] <= pushed[1, 2, 3] <= pushed[1, 2]
     assert safevor_query(g, g.index_of(33), 2, 60, {1, 2, 5, 6, 7})[2]["pushed"] <= expand_query(g, g.index_of(33), 2, 60, {1, 2})[2]["pushed"]
+
+
+def test_no_search_for_more_pois_than_are_in_reach():
+    """A line of safe roads with many POIs, all beyond the bound, and one POI in reach by an unsafe road."""
+    pois = {5001} | {i for i in range(0, 3001, 20) if i != 200}
+    g = graph([(i, i + 1, 1, 2) for i in range(3000)] + [(200, 5001, 1, 1)], pois, 2)
+    assert kernel.within(g, g.index_of(201), 10) == ({g.index_of(5001)}, 20)
+    found, _, counts = safevor_query(g, g.index_of(201), 5, 10, {1, 2, 5, 6, 7})
+    assert list(found) == [g.index_of(5001)] and counts["va"] < 300 and counts["extra"] == 1
+
+
+@pytest.mark.parametrize("spread", [0, 4])
+def test_listing_may_end_anywhere(monkeypatch, spread):
+    monkeypatch.setattr(kernel, "LISTING", spread)
+    rng = random.Random(13)
+    for _ in range(100):
+        edges, pois, smax, start, k, dc = random_case(rng)
+        g = graph(edges, pois, smax)
+        assert keys(g, safevor_query(g, g.index_of(start), k, dc, {1, 2, 5, 6, 7})[0]) == brute(edges, pois, smax, start, k, dc)

@@ -260,3 +260,50 @@ def test_growth_of_cells_lists_the_safest(case):
     assert {(at[r["qid"]], r["rnk"]): (r["poi"], list(r["key"])) for r in grown} == {(v, n): x for (v, n), x in every.items() if v in at.values()}
     want = {q: b for q, v, k, dc in rows if (b := brute(edges, pois, SMAX, v, 3, dc))}
     assert found(safevor.safevor_search(net, vor, queries.withColumn("k", F.lit(3)))) == want
+
+
+@pytest.mark.parametrize("rules", [(1, 2, 3), (1, 2, 4), (1, 2, 3, 4)])
+def test_queries_carry_their_part_of_the_tree(case, rules):
+    """The rows within the bound give the answers and the counters of the whole tree; no worker or driver holds it."""
+    from saferoads.operators import kernel
+
+    edges, _, net, queries, _ = case
+    tree = comptree.build_comptree_local(net)
+    held = kernel.tree_rows(net, queries, tree).selectExpr("size(tree) as n").collect()
+    assert held and all(r["n"] <= tree.pointers.count() for r in held)
+    arcs, pois = net.arcs.collect(), net.pois.collect()
+    import numpy as np
+
+    g = kernel.Graph(*(np.array([r[c] for r in arcs], np.int64) for c in ("src", "dst", "len", "ess")), np.array(sorted(r["poi"] for r in pois), np.int64), net.smax)
+    lists = lambda df, *names: [[r[n] for r in df.collect()] for n in names]
+    whole = lists(tree.pointers, "vid", "lvl", "comp"), lists(tree.borders, "lvl", "vid", "d_border", "d_poi")
+    kernel.attach_tree(g, *whole)
+    got = {r["qid"]: (r["va"], r["popped"], r["pushed"]) for r in grouped_search(net, queries, "comptree", rules, tree=tree).collect()}
+    for r in queries.collect():
+        start = g.index_of(r["src"])
+        k = min(r["k"], len(kernel.within(g, start, r["dc"])[0]))
+        if k:
+            counts = kernel.comptree_query(g, start, k, r["dc"], set(rules))[2]
+            assert got[r["qid"]] == tuple(counts[c] for c in ("va", "popped", "pushed"))
+
+
+def test_packed_cells_equal_the_tables(case):
+    import numpy as np
+
+    from saferoads.operators import kernel
+
+    _, _, net, _, _ = case
+    built, rows = kernel.build_cells_local(net), net.arcs.collect()
+    arrays = [np.array([r[c] for r in rows], np.int64) for c in ("src", "dst", "len", "ess")]
+    pois = np.sort(np.array([r["poi"] for r in net.pois.collect()], np.int64))
+    made, read = (kernel.Graph(*arrays, pois, net.smax) for _ in range(2))
+    kernel.attach_cells(made)
+    packed = kernel.packed_cells(built).collect()
+    cells = built.cells.collect()
+    kernel.StoredCells(read, [r["vid"] for r in cells], [r["cell"] for r in cells], [r["cell"] for r in packed], np.cumsum([0, *(len(r["data"]) for r in packed)]), b"".join(bytes(r["data"]) for r in packed))
+    for v in range(len(made.vids)):
+        assert made.cells[0].get(v) == read.cells[0].get(v)
+        assert sorted(made.cells[2].get(v, ())) == sorted(read.cells[2].get(v, ()))
+        assert made.cells[3].get(v) == read.cells[3].get(v) and made.cells[4].get(v) == read.cells[4].get(v)
+        if v in made.pois:
+            assert sorted(made.cells[1][v]) == sorted(read.cells[1][v])
