@@ -134,3 +134,11 @@ def test_sweeps(spark):
     assert e[0]["common"] >= e[-1]["common"] and e[0]["pss_safest"] <= e[-1]["pss_safest"] and e[0]["length_ratio"] <= e[-1]["length_ratio"]
     stats = workloads.index_sweep(spark, SMALL, "comptree", "smax", (5,)).first()
     assert 0 < stats["border_share"] <= 1 and stats["seconds"] > 0
+
+
+def test_level_weights_come_from_the_roads(spark):
+    from saferoads.queries import level_weights, net_p
+
+    want = {r["ess"]: r["n"] for r in net_p(spark, SMALL, smax=5).edges.groupBy("ess").agg(F.count("*").alias("n")).collect()}
+    got = level_weights(spark, SMALL).collect()
+    assert {r["s"]: r["n"] for r in got} == want and all(r["weight"] == 10.0 ** (5 - r["s"]) for r in got)
