@@ -142,3 +142,16 @@ def test_level_weights_come_from_the_roads(spark):
     want = {r["ess"]: r["n"] for r in net_p(spark, SMALL, smax=5).edges.groupBy("ess").agg(F.count("*").alias("n")).collect()}
     got = level_weights(spark, SMALL).collect()
     assert {r["s"]: r["n"] for r in got} == want and all(r["weight"] == 10.0 ** (5 - r["s"]) for r in got)
+
+
+def test_index_sizes_need_no_rounds_over_the_network(spark, monkeypatch):
+    from saferoads.plans import evaluation, workloads
+
+    def fails(*_, **__):
+        raise AssertionError("built by rounds")
+
+    for name in ("build_comptree", "build_safevor"):
+        monkeypatch.setattr(evaluation, name, fails)
+    for which in ("comptree", "safevor"):
+        stats = workloads.index_sweep(spark, SMALL, which, "rho", (0.1,)).first()
+        assert stats["rows"] > 0 and stats["bytes"] > 0 and 0 < stats["border_share"] <= 1
