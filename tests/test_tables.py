@@ -155,3 +155,52 @@ def test_index_sizes_need_no_rounds_over_the_network(spark, monkeypatch):
     for which in ("comptree", "safevor"):
         stats = workloads.index_sweep(spark, SMALL, which, "rho", (0.1,)).first()
         assert stats["rows"] > 0 and stats["bytes"] > 0 and 0 < stats["border_share"] <= 1
+
+
+def proximity(path):
+    import duckdb
+
+    with duckdb.connect() as db:
+        db.sql(f"CREATE VIEW embeddings AS SELECT * FROM '{path}/embeddings.parquet/*.parquet'")
+        return sorted(db.sql(entry.oracle_sql()["proximity_edges"]).fetchall())
+
+
+@pytest.mark.parametrize("kind", ["gaps", "copies"])
+def test_proximity_on_odd_vectors(spark, tmp_path, monkeypatch, kind):
+    """Missing components, vectors of other lengths, shared ids, ties and copies, in blocks of few rows; SQL passes over nulls."""
+    import numpy as np
+
+    from saferoads.operators import nearest
+
+    monkeypatch.setattr(nearest, "BLOCK", 64 * 8)
+    rng = np.random.default_rng(5)
+    rows = []
+    for i in range(300):
+        v = [float(x) for x in rng.normal(size=8).astype(np.float32)] if kind == "gaps" or i % 3 else [1.0] * 8
+        if kind == "gaps":
+            v = [None] * 8 if i % 50 == 0 else [None if rng.random() < 0.05 else x for x in v] if i % 4 == 0 else v[: 1 + i % 8] if i % 7 == 0 else v
+            v = [float(round(x)) if x is not None else None for x in v] if i % 5 == 0 else v
+        rows.append((None if i == 17 else i // 2 if i % 20 == 0 else i, None if i == 18 else [] if i == 19 else v, None if i == 21 else int(rng.integers(0, 3)) if i % 2 else 1))
+    spark.createDataFrame(rows, "vec_id bigint, embedding array<float>, label int").repartition(3).write.parquet(str(tmp_path / "embeddings.parquet"))
+    assert sorted(tuple(r) for r in entry.queries()["proximity_edges"](spark, str(tmp_path)).collect()) == proximity(tmp_path)
+
+
+def test_copies_are_not_all_paired():
+    """What a block sums by the definition: a few pairs for each query, however many there are."""
+    import numpy as np
+    import pyarrow as pa
+
+    from saferoads.operators import nearest
+
+    rng, n = np.random.default_rng(6), 3000
+    vectors = rng.normal(size=(2 * n, 16)).astype(np.float32)
+    table = pa.table({"asked": [True] * n + [False] * n, "vec_id": pa.array(list(range(2 * n)), pa.int64()), "label": pa.array([1] * 2 * n, pa.int32()), "embedding": pa.array(list(vectors), pa.list_(pa.float32()))})
+    summed, plain = [], nearest.gaps
+    nearest.gaps = lambda a, *rest: summed.append(len(a)) or plain(a, *rest)
+    try:
+        found = nearest.nearest_in_block(table, 4)
+    finally:
+        nearest.gaps = plain
+    assert found.num_rows == 4 * n and sum(summed) < 20 * n
+    best = np.argsort(((vectors[0] - vectors[n:]) ** 2).sum(1), kind="stable")[:4] + n
+    assert found.column("id2").to_pylist()[:4] == best.tolist()
