@@ -307,3 +307,23 @@ def test_packed_cells_equal_the_tables(case):
         assert made.cells[3].get(v) == read.cells[3].get(v) and made.cells[4].get(v) == read.cells[4].get(v)
         if v in made.pois:
             assert sorted(made.cells[1][v]) == sorted(read.cells[1][v])
+
+
+def test_lists_by_blocks(case):
+    """Blocks of three numbers of vertices hand the same lists on as one block."""
+    _, pois, net, _, _ = case
+    rows = lambda size: sorted((r["vid"], r["rnk"], r["poi"], tuple(r["sd"]), r["dist"]) for r in safevor.safest_lists(net, 2, size).collect())
+    assert rows(3) == rows(1 << 40)
+
+
+def test_safevor_without_the_plain_search(case, monkeypatch):
+    """More POIs than the lists hold: the POIs within the bound are listed, arcs of other places are not searched."""
+    edges, pois, net, queries, rows = case
+    vor, seen, plain = safevor.build_safevor(net, listed=2), [], safevor.bounded
+    monkeypatch.setattr(safevor, "bounded", lambda *a: seen.append(a[2].select("src").distinct().count()) or plain(*a))
+    for k in (4, 9):
+        want = {q: b for q, v, _, dc in rows if (b := brute(edges, pois, SMAX, v, k, dc))}
+        assert found(safevor.safevor_search(net, vor, queries.withColumn("k", F.lit(k)))) == want
+    one = queries.where(F.col("qid") == rows[0][0]).withColumn("dc", F.lit(1.0))
+    safevor.safevor_search(net, vor, one).collect()
+    assert len(seen) == 3 and seen[2] == 0
