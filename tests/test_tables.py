@@ -204,3 +204,16 @@ def test_copies_are_not_all_paired():
     assert found.num_rows == 4 * n and sum(summed) < 20 * n
     best = np.argsort(((vectors[0] - vectors[n:]) ** 2).sum(1), kind="stable")[:4] + n
     assert found.column("id2").to_pylist()[:4] == best.tolist()
+
+
+def test_a_sweep_makes_its_roads_once(spark, monkeypatch):
+    """Values of rho share the roads, their POIs are those of a network made for the value."""
+    from saferoads.plans import workloads
+
+    made, plain, roads = [], workloads.lattice_network, {}
+    monkeypatch.setattr(workloads, "lattice_network", lambda *a, **b: made.append(b) or plain(*a, **b))
+    for rho in (0.05, 0.2):
+        net, *_ = workloads.setting(spark, SMALL, n=4, roads=roads, rho=rho)
+        want = plain(spark, SMALL, rho=rho)
+        assert sorted(r[0] for r in net.pois.collect()) == sorted(r[0] for r in want.pois.collect())
+    assert len(made) == 1 and net.edges.count() == want.edges.count()
