@@ -157,6 +157,21 @@ def test_index_sizes_need_no_rounds_over_the_network(spark, monkeypatch):
         assert stats["rows"] > 0 and stats["bytes"] > 0 and 0 < stats["border_share"] <= 1
 
 
+def test_index_sizes_are_of_the_same_tables_at_any_size(spark, monkeypatch):
+    """No size of the network changes what is measured; beyond the kernel's size it is refused."""
+    from saferoads.operators import kernel
+    from saferoads.plans import evaluation, workloads
+
+    sizes = lambda: [tuple(workloads.index_sweep(spark, SMALL, which, "rho", (0.1,)).select("rows", "border_share").first()) for which in ("comptree", "safevor")]
+    want = sizes()
+    monkeypatch.setattr(evaluation, "MOST_ARCS", 2, raising=False)
+    assert sizes() == want
+    monkeypatch.setattr(kernel, "MOST_ARCS", 2)
+    for which in ("comptree", "safevor"):
+        with pytest.raises(ValueError):
+            workloads.index_sweep(spark, SMALL, which, "rho", (0.1,))
+
+
 def proximity(path):
     import duckdb
 
