@@ -1,5 +1,6 @@
 """The exact engine on small graphs against enumeration of all simple valid paths (5.1, 5.3, rules R1-R7)."""
 
+import heapq
 import random
 from math import inf
 
@@ -178,3 +179,51 @@ def test_listing_may_end_anywhere(monkeypatch, spread):
         edges, pois, smax, start, k, dc = random_case(rng)
         g = graph(edges, pois, smax)
         assert keys(g, safevor_query(g, g.index_of(start), k, dc, {1, 2, 5, 6, 7})[0]) == brute(edges, pois, smax, start, k, dc)
+
+
+@pytest.mark.parametrize("seed", range(12))
+def test_levels_by_arrays_equal_plain_searches(seed):
+    """Components, borders and both distances of every level, on graphs of several parts with ties and lone vertices."""
+    from saferoads.operators.comptree import level_rows
+
+    rng = np.random.default_rng(seed)
+    n, smax, reach = 40, 4, None if seed % 3 == 0 else float(rng.integers(4, 14))
+    vids = np.arange(n) * 3 + 5
+    pairs = sorted({tuple(sorted(rng.choice(n - 3, 2, replace=False).tolist())) for _ in range(50)})
+    u, w = (vids[[p[i] for p in pairs]] for i in (0, 1))
+    length, ess = rng.integers(1, 6, len(pairs)), rng.integers(1, smax + 1, len(pairs))
+    arcs = [np.concatenate(x) for x in ((u, w), (w, u), (length, length), (ess, ess))]
+    pois = vids[rng.choice(n, 4, replace=False)]
+    for level in range(smax):
+        out = {int(v): [] for v in vids}
+        for a, b, x, e in zip(*(c.tolist() for c in arcs)):
+            if e > level:
+                out[a].append((b, x))
+
+        def far(start):
+            heap, done = [(0, start)], {}
+            while heap:
+                d, v = heapq.heappop(heap)
+                if v not in done:
+                    done[v] = d
+                    for b, x in out[v]:
+                        heapq.heappush(heap, (d + x, b))
+            return done
+
+        ways = {v: far(v) for v in out}
+        border = {v: any(e <= level for a, e in zip(arcs[0].tolist(), arcs[3].tolist()) if a == v) for v in out}
+        least = lambda found: min((d for d in found if reach is None or d < reach), default=None)  # noqa: B023, E731
+        want = {v: (min(ways[v]), border[v], least([d for b, d in ways[v].items() if border[b] and b != v]) if border[v] else None, least([ways[v][p] for p in pois.tolist() if p in ways[v]])) for v in out}
+        lvl, vid, comp, at, other, home = (c.tolist() for c in level_rows(level, vids, arcs, pois, reach))
+        assert set(lvl) == {level} and {v: x for v, *x in zip(vid, comp, at, other, home)} == {v: list(x) for v, x in want.items()}
+
+
+def test_arcs_of_a_vertex_are_made_when_asked_for(monkeypatch):
+    """A large network costs its arrays; searches that stay near their start make few tuples, and may drop them."""
+    n = 5000
+    src, dst = np.arange(n - 1), np.arange(1, n)
+    ones = np.ones(2 * n - 2, np.int64)
+    g = Graph(np.concatenate([src, dst]), np.concatenate([dst, src]), ones, ones, np.array([100, 4000]), 2)
+    assert kernel.within(g, 95, 10.0) == ({100}, 19) and len(g.out) <= 21
+    monkeypatch.setattr(kernel, "MOST_ROWS", 7)
+    assert kernel.within(g, 95, 40.0) == ({100}, 79) and len(g.out) <= 7
