@@ -172,6 +172,26 @@ def test_index_sizes_are_of_the_same_tables_at_any_size(spark, monkeypatch):
             workloads.index_sweep(spark, SMALL, which, "rho", (0.1,))
 
 
+@pytest.mark.parametrize("varies", ["delta", "k", "smax"])
+def test_values_of_a_sweep_share_what_they_can(spark, monkeypatch, varies):
+    """Incidents are counted once, indexes built once a network; counters are those of settings made one by one."""
+    from saferoads.plans import evaluation, workloads
+
+    made, values = [], {"delta": (1.25, 2.0), "k": (2, 4), "smax": (5, 8)}[varies]
+    for name in ("lattice_counts", "build_comptree_local", "build_cells_local"):
+        plain = getattr(workloads, name)
+        monkeypatch.setattr(workloads, name, lambda *a, n=name, f=plain, **b: made.append(n) or f(*a, **b))
+    got = workloads.sweep(spark, SMALL, varies, values, n=5, rho=0.1, **({} if varies == "k" else {"k": 3})).collect()
+    networks = 2 if varies == "smax" else 1
+    assert sorted(made) == ["build_cells_local"] * networks + ["build_comptree_local"] * networks + ["lattice_counts"]
+    for value in values:
+        net, queries, tree = workloads.setting(spark, SMALL, n=5, **({"rho": 0.1, "k": 3} | {varies: value}))
+        for method in ("expand", "comptree", "safevor"):
+            alone = evaluation.counters(evaluation.grouped_search(net, queries, method, tree=tree), method, ()).first()
+            mine = next(r for r in got if r["value"] == value and r["method"] == method)
+            assert all(mine[c] == alone[c] for c in ("queries", "va", "popped", "pushed", "extra", "parts"))
+
+
 def proximity(path):
     import duckdb
 
